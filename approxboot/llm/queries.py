@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ["secrets", "sharding"]
+MODULES = ["secrets", "sharding", "token_store"]
 
 QUERIES: dict = {}
 ORACLES: dict = {}

@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ["secrets", "sharding", "token_store"]
+MODULES = ["secrets", "sharding", "token_store", "packing"]
 
 QUERIES: dict = {}
 ORACLES: dict = {}

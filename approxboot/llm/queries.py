@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ["secrets", "sharding", "token_store", "packing"]
+MODULES = ["secrets", "sharding", "token_store", "packing", "quality"]
 
 QUERIES: dict = {}
 ORACLES: dict = {}

@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ["secrets", "sharding", "token_store", "packing", "quality"]
+MODULES = ["secrets", "sharding", "token_store", "packing", "quality", "url_templates"]
 
 QUERIES: dict = {}
 ORACLES: dict = {}

@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ["secrets", "sharding", "token_store", "packing", "quality", "url_templates"]
+MODULES = ["secrets", "sharding", "token_store", "packing", "quality", "url_templates", "jaccard"]
 
 QUERIES: dict = {}
 ORACLES: dict = {}

@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ["secrets", "sharding", "token_store", "packing", "quality", "url_templates", "jaccard", "repeats", "nn_graph"]
+MODULES = ["secrets", "sharding", "token_store", "packing", "quality", "url_templates", "jaccard", "repeats", "nn_graph", "decontam"]
 
 QUERIES: dict = {}
 ORACLES: dict = {}

@@ -141,6 +141,23 @@ def findings_by_path(versions: DataFrame, findings: DataFrame, keep: list[str],
     return out.select(*keep, *[F.coalesce(f"n_{k}", F.lit(0).cast("long")).alias(f"n_{k}") for k in base], F.coalesce("base_sha256", zero).alias("base_sha256"), F.coalesce("spans", F.lit("")).alias("spans"))
 
 
+def masked(docs: DataFrame, findings: DataFrame, mark: str = "[secret]") -> DataFrame:
+    """docs with mark in place of every span found in text; spans that overlap are masked as one."""
+
+    def step(acc, s):
+        piece = F.concat(acc["out"], F.substring(F.col("text"), acc["at"] + 1, s["start"] - acc["at"]), F.lit(mark))
+        after = F.struct(s["end"].alias("at"), piece.alias("out"))
+        inside = F.struct(F.greatest(acc["at"], s["end"]).alias("at"), acc["out"].alias("out"))
+        return F.when(s["start"] >= acc["at"], after).otherwise(inside)
+
+    begin = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
+    text = F.aggregate("_spans", begin, step, lambda acc: F.concat(acc["out"], F.substring(F.col("text"), acc["at"] + 1, F.length("text"))))
+    found = findings.select(F.col("blob").alias("_blob"), F.col("spans").alias("_spans"))
+    keyed = docs.withColumn("_b", blob_id(F.col("text")))
+    joined = keyed.join(found, keyed["_b"] == found["_blob"], "left")
+    return joined.withColumn("text", F.when(F.col("_spans").isNull(), F.col("text")).otherwise(text)).select(docs.columns)
+
+
 def op1_secret_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     findings, _ = scan(docs)

@@ -23,10 +23,12 @@ from approxboot.llm.kernels import byte_slices, mix, shingle_sets, utf8
 
 #: Share of the union, in percent, from which two documents link.
 PERCENT = 75
-SKETCH_BITS = 20
+SKETCH_BITS = 22
 SKETCH_BLOCK = 4096
 #: Pivots that a region compares in one round of the recursion.
 PIVOTS = 64
+#: Ids of documents that are broadcast at most: 16 bytes each.
+BROADCAST_IDS = 1_000_000
 #: Bytes of anchors that one task groups.
 GROUP_BYTES = 32 << 20
 
@@ -39,6 +41,23 @@ def fingerprint(hashes: np.ndarray) -> int:
         return int(mix(both[:1] + mix(both[1:] ^ np.uint64(0xA5A5A5A5A5A5A5A5))).view(np.int64)[0])
 
 
+def parity_bits(s: np.ndarray) -> bytes:
+    """A bit for each of 2 to 4 times as many buckets as s has elements: whether the bucket's count is odd."""
+    w = 1 << max(6, (2 * len(s) - 1).bit_length())
+    odd = np.bincount((s & np.uint64(w - 1)).astype(np.int64), minlength=w) & 1
+    return np.packbits(odd.astype(bool), bitorder="little").tobytes()
+
+
+def least_difference(x: bytes, y: bytes) -> int:
+    """Elements that two sets differ in, at least: odd buckets that only one has, after folding the longer bits."""
+    a, b = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+    while len(a) > len(b):
+        a = a[: len(a) // 2] ^ a[len(a) // 2 :]
+    while len(b) > len(a):
+        b = b[: len(b) // 2] ^ b[len(b) // 2 :]
+    return int(np.bitwise_count(a ^ b).sum())
+
+
 def _rows(batch, n: int):
     """(position in the batch, set) of every row."""
     column = batch.column("text")
@@ -49,32 +68,40 @@ def _rows(batch, n: int):
 
 def _describe(n: int):
     """Rows of documents (doc_id, n_shingles, node) and, at a task's end, its counts of shingles by bucket."""
-    names = ["doc_id", "n_shingles", "node", "block", "counts"]
-    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary()]
+    names = ["doc_id", "n_shingles", "node", "bits", "block", "counts"]
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.int32(), pa.binary()]
 
     def run(batches):
         counts = np.zeros(1 << SKETCH_BITS, np.uint32)
         for batch in batches:
-            sizes, nodes, held = [], [], []
+            sizes, nodes, bits, held = [], [], [], []
             for _, s in _rows(batch, n):
                 sizes.append(len(s))
                 nodes.append(fingerprint(s) if len(s) else None)
+                bits.append(parity_bits(s) if len(s) else None)
                 held.append(s)
-                if len(held) == 200:
-                    counts += np.bincount(np.concatenate(held) >> np.uint64(64 - SKETCH_BITS), minlength=len(counts)).astype(np.uint32)
-                    held = []
-            if held:
-                counts += np.bincount(np.concatenate(held) >> np.uint64(64 - SKETCH_BITS), minlength=len(counts)).astype(np.uint32)
+                if len(held) == 400:
+                    _count(counts, held)
+            _count(counts, held)
             none = [None] * len(sizes)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), *[pa.array(x, k) for x, k in zip((sizes, nodes, none, none), kinds[1:])]], names=names)
-        packed = [(b, _sparse(counts[b * SKETCH_BLOCK : (b + 1) * SKETCH_BLOCK])) for b in range(len(counts) // SKETCH_BLOCK)]
-        packed = [x for x in packed if x[1]]
-        none = [None] * len(packed)
-        yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip((none, none, none, [b for b, _ in packed], [c for _, c in packed]), kinds)], names=names)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), *[pa.array(x, k) for x, k in zip((sizes, nodes, bits, none, none), kinds[1:])]], names=names)
+        for lo in range(0, len(counts), 64 * SKETCH_BLOCK):
+            packed = [(b, _sparse(counts[b * SKETCH_BLOCK : (b + 1) * SKETCH_BLOCK])) for b in range(lo // SKETCH_BLOCK, lo // SKETCH_BLOCK + 64)]
+            packed = [x for x in packed if x[1]]
+            none = [None] * len(packed)
+            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip((none, none, none, none, [b for b, _ in packed], [c for _, c in packed]), kinds)], names=names)
 
     return run
 
 
+def _count(counts: np.ndarray, held: list[np.ndarray]) -> None:
+    """Count the shingles of held by bucket, and let them go."""
+    if held:
+        at, n = np.unique(np.concatenate(held) >> np.uint64(64 - SKETCH_BITS), return_counts=True)
+        counts[at] += n.astype(np.uint32)
+        held.clear()
+
+
 def _sparse(counts: np.ndarray) -> bytes:
     at = np.flatnonzero(counts)
     return at.astype("<u2").tobytes() + counts[at].astype("<u4").tobytes()
@@ -94,7 +121,7 @@ def _add_up(batches):
     for batch in batches:
         for b, c in zip(batch.column("block").to_pylist(), batch.column("counts").to_pylist()):
             held.setdefault(b, []).append(c)
-            if len(held[b]) == 64:
+            if len(held[b]) == 8:
                 held[b] = [_sparse(_dense(held[b]))]
     if held:
         yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.int32()), pa.array([_sparse(_dense(c)) for c in held.values()], pa.binary())], names=["block", "counts"])
@@ -111,8 +138,8 @@ def commonness(described: DataFrame) -> tuple[np.ndarray, int]:
     total = np.zeros(1 << SKETCH_BITS, np.uint64)
     for r in once.collect():
         total[r["block"] * SKETCH_BLOCK : (r["block"] + 1) * SKETCH_BLOCK] += _dense([bytes(r["counts"])])
-    mean = max(1.0, float(total.mean()))
-    over = np.maximum(total.astype(np.float64) / (4 * mean + 16), 1)
+    mean = float(total.mean())
+    over = np.maximum((total.astype(np.float64) - mean) / (4 * np.sqrt(mean) + 4), 1)
     return np.ceil(np.log2(over)).astype(np.uint8), int(total.sum())
 
 
@@ -225,13 +252,51 @@ def _wanted_sets(n: int):
     return run
 
 
-def _measured(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) with their exact distance and whether they link. Large pivots are plain equi-join keys, which Spark splits."""
-    one = pairs.join(sets.select(F.col("node").alias("b"), F.col("hashes").alias("_y")), "b")
-    both = one.join(sets.select(F.col("node").alias("a"), F.col("hashes").alias("_x")), "a")
-    common = F.size(F.array_intersect("_x", "_y"))
-    out = both.select("a", "b", common.alias("_i"), (F.size("_x") + F.size("_y")).alias("_s"))
-    return out.select("a", "b", (1 - F.col("_i") / (F.col("_s") - F.col("_i"))).alias("d"), (100 * F.col("_i") >= percent * (F.col("_s") - F.col("_i"))).alias("link"))
+def _near_bits(percent: int):
+    """Pairs that their parity bits do not rule out."""
+
+    def run(batches):
+        for batch in batches:
+            x, y = batch.column("_x"), batch.column("_y")
+            most = (100 - percent) * batch.column("_s").to_numpy()
+            keep = [i for i, m in enumerate(most.tolist()) if (100 + percent) * least_difference(x[i].as_py(), y[i].as_py()) <= m]
+            yield batch.select(["a", "b"]).take(pa.array(keep, pa.int64()))
+
+    return run
+
+
+class _Space:
+    """The nodes of a join: their bits for a first look, and their sets, made from texts where they are needed."""
+
+    def __init__(self, docs: DataFrame, nodes: DataFrame, percent: int, shingle: int):
+        self.docs, self.nodes, self.percent, self.shingle = docs, nodes, percent, shingle
+
+    def near(self, pairs: DataFrame) -> DataFrame:
+        side = self.nodes.select(F.col("node").alias("a"), F.col("bits").alias("_x"), F.col("n_shingles").alias("_n"))
+        one = pairs.join(side, "a")
+        both = one.join(side.select(F.col("a").alias("b"), F.col("_x").alias("_y"), F.col("_n").alias("_m")), "b")
+        return both.select("a", "b", "_x", "_y", (F.col("_n") + F.col("_m")).alias("_s")).mapInArrow(_near_bits(self.percent), "a long, b long")
+
+    def sets(self, pairs: DataFrame) -> DataFrame:
+        """(node, hashes) of the nodes in pairs. Few documents are looked for by broadcast, more than that by a shuffle."""
+        wanted = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct()
+        chosen = written(wanted.join(self.nodes.select("node", "doc_id"), "node"), "jaccard-wanted")
+        small = chosen.count() <= BROADCAST_IDS
+        held = F.broadcast(chosen) if small else chosen.hint("shuffle_hash")
+        texts = self.docs.join(held, self.docs["doc_id"].eqNullSafe(chosen["doc_id"])).select("text", "node")
+        made = texts.mapInArrow(_wanted_sets(self.shingle), "node long, hashes array<long>")
+        return written(made.dropDuplicates(["node"]), "jaccard-hashes")
+
+    def measured(self, pairs: DataFrame) -> DataFrame:
+        """Those of pairs (a, b) that may link, with their exact distance d. Large pivots are plain equi-join keys, which Spark splits."""
+        pairs = written(self.near(pairs), "jaccard-near")
+        sets = self.sets(pairs)
+        one = pairs.join(sets.select(F.col("node").alias("b"), F.col("hashes").alias("_y")), "b")
+        both = one.join(sets.select(F.col("node").alias("a"), F.col("hashes").alias("_x")), "a")
+        common = F.size(F.array_intersect("_x", "_y"))
+        out = both.select("a", "b", common.alias("_i"), (F.size("_x") + F.size("_y")).alias("_s"))
+        link = 100 * F.col("_i") >= self.percent * (F.col("_s") - F.col("_i"))
+        return written(out.select("a", "b", (1 - F.col("_i") / (F.col("_s") - F.col("_i"))).alias("d"), link.alias("link")), "jaccard-measured")
 
 
 def _labelled(df: DataFrame, roots: DataFrame, column: str, out: str) -> DataFrame:
@@ -249,8 +314,8 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, shingle: int = 5
     """
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    described = written(docs.mapInArrow(_describe(shingle), "doc_id long, n_shingles long, node long, block int, counts binary"), "jaccard-sets")
-    rows = described.where("block is null").select("doc_id", "n_shingles", "node")
+    described = written(docs.mapInArrow(_describe(shingle), "doc_id long, n_shingles long, node long, bits binary, block int, counts binary"), "jaccard-sets")
+    rows = described.where("block is null").select("doc_id", "n_shingles", "node", "bits")
     level, total = commonness(described)
     held = spark.sparkContext.broadcast(level)
     width = max(shuffle_width(spark), total * 20 * (100 - percent) // 100 // GROUP_BYTES + 1)
@@ -260,21 +325,17 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, shingle: int = 5
     pairs = written(found.where("kind = 0").select("a", "b").distinct(), "jaccard-pairs")
     regions = found.where("kind = 1").select(F.col("a").alias("region"), F.col("b").alias("node"), "size", "pivot").distinct()
 
-    wanted = pairs.select(F.col("a").alias("node")).union(pairs.select("b")).union(regions.select("node")).distinct()
-    first_doc = rows.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
-    chosen = written(wanted.join(first_doc, "node"), "jaccard-wanted")
-    texts = docs.join(chosen.hint("shuffle_hash"), docs["doc_id"].eqNullSafe(chosen["doc_id"])).select("text", "node")
-    sets = texts.mapInArrow(_wanted_sets(shingle), "node long, hashes array<long>")
-    sets = written(sets.dropDuplicates(["node"]), "jaccard-hashes")
+    nodes = rows.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.min("n_shingles").alias("n_shingles"), F.first("bits").alias("bits"))
+    space = _Space(docs, written(nodes, "jaccard-nodes"), percent, shingle)
 
     # a set's smallest pivot first; pairs that this already connects need no measuring
     smallest = pairs.groupBy("a").agg(F.min("b").alias("b"))
-    measured = written(_measured(smallest, sets, percent), "jaccard-measured")
+    measured = space.measured(smallest)
     links = measured.where("link").select("a", "b", "d")
     roots = written(connected_components(links), "jaccard-roots")
     rest = pairs.join(smallest, ["a", "b"], "left_anti")
     rest = _labelled(_labelled(rest, roots, "a", "_ra"), roots, "b", "_rb").where("_ra <> _rb").select("a", "b")
-    more = written(_measured(rest, sets, percent), "jaccard-measured")
+    more = space.measured(rest)
     links = links.unionByName(more.where("link").select("a", "b", "d"))
     roots = written(connected_components(links), "jaccard-roots")
 
@@ -295,7 +356,7 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, shingle: int = 5
         pairs = pairs.where(100 * F.least("size", "_ps") >= percent * F.greatest("size", "_ps"))
         pairs = pairs.where(F.coalesce(F.abs(F.col("d") - F.col("_pd")) <= eps, F.lit(True)))
         pairs = pairs.select(F.greatest("node", "_p").alias("a"), F.least("node", "_p").alias("b")).distinct()
-        measured = written(_measured(pairs, sets, percent), "jaccard-measured")
+        measured = space.measured(pairs)
         fresh = measured.where("link").select("a", "b", "d")
         if not fresh.isEmpty():
             links = links.unionByName(fresh)
@@ -305,7 +366,7 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, shingle: int = 5
         done = pivots.select("region", F.col("_p").alias("node"))
         open_regions = named.join(done, ["region", "node"], "left_anti").drop("root")
 
-    node_doc = _labelled(first_doc, roots, "node", "root")
+    node_doc = _labelled(space.nodes.select("node", "doc_id"), roots, "node", "root")
     least = node_doc.groupBy("root").agg(F.min("doc_id").alias("component_id"))
     component = node_doc.join(least, "root").select("node", "component_id")
     out = rows.join(component, "node", "left")

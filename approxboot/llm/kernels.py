@@ -68,7 +68,7 @@ def utf8(column: pa.Array, lo: int, hi: int) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer(data, np.uint8)[at[0] : at[-1]], at - at[0]
 
 
-def byte_slices(column: pa.Array, limit: int = 1_500_000):
+def byte_slices(column: pa.Array, limit: int = 500_000):
     """Ranges of rows whose bytes stay under limit, one row at least."""
     sizes = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False)
     lo = size = 0

@@ -1,4 +1,9 @@
 """Named queries over the given tables, each with its SQL where SQL can express it."""
 
+from approxboot.catalog import methods
+
 QUERIES: dict = {}
-ORACLES: dict = {}
+ORACLES: dict[str, str] = {}
+for _m in (methods,):
+    QUERIES |= _m.QUERIES
+    ORACLES |= _m.ORACLES

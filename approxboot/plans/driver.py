@@ -15,6 +15,7 @@ from approxboot.operators.maintain import merge_states
 from approxboot.operators.resample import bootstrap_states
 from approxboot.operators.sampling import SampleCursor
 from approxboot.plans import planner
+from approxboot.sources.shared import ensure_checkpoint
 
 #: Values that a pilot brings to the driver at most.
 PILOT_ROWS = 100_000
@@ -113,12 +114,7 @@ def early_result(
 
 
 def _kept(df: DataFrame) -> DataFrame:
-    spark = df.sparkSession
-    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        import os
-        import tempfile
-
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or os.path.join(tempfile.gettempdir(), "approxboot-checkpoints"))
+    ensure_checkpoint(df.sparkSession)
     return df.checkpoint()
 
 

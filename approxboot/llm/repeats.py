@@ -24,6 +24,9 @@ WINDOW = 400
 GRAM = 32
 #: Bytes of open suffixes that one task groups.
 GROUP_BYTES = 32 << 20
+#: Different runs of one gram from which its windows are dealt one by one; below that in pieces of CHUNK neighbours.
+HOT_KINDS = 20_000
+CHUNK = 64
 
 
 def window_runs(data: np.ndarray, at: np.ndarray, window: int = WINDOW, gram: int = GRAM):
@@ -82,8 +85,7 @@ def _open_windows(window: int, parts: int):
     """Window hashes of the open runs of each row: (part, payload) with arrays of hashes, uids and starts."""
 
     def flush(held):
-        h, uid, start = (np.concatenate([x[i] for x in held]) for i in range(3))
-        part = (h % np.uint64(parts)).astype(np.int64)
+        h, uid, start, part = (np.concatenate([x[i] for x in held]) for i in range(4))
         order = np.argsort(part, kind="stable")
         cuts = np.searchsorted(part[order], np.arange(parts + 1))
         rows = []
@@ -102,7 +104,7 @@ def _open_windows(window: int, parts: int):
                 data, at = utf8(column, lo, hi)
                 prefix = prefix_hash(data)
                 for i in range(lo, hi):
-                    items = np.array([(r["start"], r["size"], r["rel"]) for r in opened[i].as_py()], np.int64).reshape(-1, 3)
+                    items = np.array([(r["start"], r["size"], r["rel"], r["digit"], r["hot"]) for r in opened[i].as_py()], np.int64).reshape(-1, 5)
                     size = items[:, 1]
                     offset = np.arange(int(size.sum())) - np.repeat(np.cumsum(size) - size, size)
                     start = np.repeat(items[:, 0], size) + offset
@@ -110,7 +112,10 @@ def _open_windows(window: int, parts: int):
                     absolute = start + at[i - lo]
                     # windows that agree have their minimizer in the same place
                     h = mix(span_hash(prefix, absolute, absolute + window) + rel.astype(np.uint64))
-                    held.append((h, np.full(len(h), uid[i]), start.astype(np.int32)))
+                    # only windows of one gram and one place of it can agree: they share a part
+                    digit, hot = np.repeat(items[:, 3].view(np.uint64), size), np.repeat(items[:, 4] > 0, size)
+                    deal = np.where(hot, h, mix(digit + (rel // CHUNK).astype(np.uint64)))
+                    held.append((h, np.full(len(h), uid[i]), start.astype(np.int32), (deal % np.uint64(parts)).astype(np.int32)))
                     count += len(h)
                     if count > 400_000:
                         yield flush(held)
@@ -198,16 +203,16 @@ def repeated_spans(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """
     spark = docs.sparkSession
     runs = written(docs.select("uid", "text").mapInArrow(_runs(window), RUNS), "repeats-runs")
-    by_run = runs.groupBy("digit", "run").agg(F.count(F.lit(1)).alias("n"))
-    # first digit: grams that one run has are done; second digit: runs that occur again are repeated as a whole
-    by_digit = by_run.groupBy("digit").agg(F.count(F.lit(1)).alias("kinds"), F.sum("n").alias("n")).where("n > 1")
-    kept = written(runs.join(by_digit.select("digit", "kinds"), "digit"), "repeats-kept")
-    again = kept.groupBy("digit", "run").agg(F.count(F.lit(1)).alias("n"), F.min("uid").alias("_uid")).where("n > 1")
-    whole = kept.join(again.select("digit", "run"), ["digit", "run"], "left_semi").select("uid", "start", (F.col("start") + F.col("size") + window - 1).alias("stop"))
-    # what stays open: runs of their own under a gram that other runs have; repeated ones stand in once, for comparison
-    mixed = kept.where("kinds > 1")
-    marked = mixed.join(again.select("digit", "run", "_uid"), ["digit", "run"], "left").where("_uid is null or _uid = uid")
-    open_runs = written(marked.select("uid", F.struct("start", "size", "rel").alias("r"), "size"), "repeats-open")
+    # second digit: runs that occur again are repeated as a whole; first digit: grams that one run has are done
+    by_run = written(runs.groupBy("digit", "run").agg(F.count(F.lit(1)).alias("n"), F.min("uid").alias("first_uid")), "repeats-by-run")
+    by_digit = by_run.groupBy("digit").agg(F.count(F.lit(1)).alias("kinds"), F.sum("n").alias("_n")).where("_n > 1").drop("_n")
+    left = written(by_run.join(written(by_digit, "repeats-by-digit"), "digit"), "repeats-left")
+    kept = written(runs.join(left, ["digit", "run"]), "repeats-kept")
+    whole = kept.where("n > 1").select("uid", "start", (F.col("start") + F.col("size") + window - 1).alias("stop"))
+    # what stays open: runs under a gram that other runs have; repeated ones stand in once, for comparison
+    mixed = kept.where("kinds > 1 and (n = 1 or uid = first_uid)")
+    entry = F.struct("start", "size", "rel", "digit", (F.col("kinds") > HOT_KINDS).cast("int").alias("hot"))
+    open_runs = mixed.select("uid", entry.alias("r"), "size")
     total = open_runs.agg(F.sum("size").alias("n")).first()["n"] or 0
     width = max(shuffle_width(spark), total * 20 // GROUP_BYTES + 1)
     per_doc = open_runs.groupBy("uid").agg(F.collect_set("r").alias("runs"))
@@ -221,7 +226,7 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """One row for each row of docs (doc_id, text): bytes, removed bytes, removed runs, digest of what is kept, and the spans removed."""
     keyed = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("uid"))
     spans = repeated_spans(keyed, window)
-    per_doc = spans.distinct().groupBy("uid").agg(F.collect_list(F.struct("start", "stop")).alias("spans"))
+    per_doc = spans.groupBy("uid").agg(F.collect_set(F.struct("start", "stop")).alias("spans"))
     joined = keyed.join(per_doc.hint("shuffle_hash"), "uid", "left").select("doc_id", "text", "spans")
     return joined.mapInArrow(_cut, CUT)
 

@@ -24,6 +24,8 @@ WINDOW = 400
 GRAM = 32
 #: Bytes of open suffixes that one task groups.
 GROUP_BYTES = 32 << 20
+#: Ids of texts that are broadcast at most: 8 bytes each.
+BROADCAST_IDS = 1_000_000
 #: Different runs of one gram from which its windows are dealt one by one; below that in pieces of CHUNK neighbours.
 HOT_KINDS = 20_000
 CHUNK = 64
@@ -195,6 +197,13 @@ def _cut(batches):
         yield pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(columns, kinds)], names=names)
 
 
+def _some(docs: DataFrame, listed: DataFrame, how: str) -> DataFrame | None:
+    """Rows of docs whose uid is listed (left_semi) or is not (left_anti), found by a broadcast of ids before texts are shuffled; beyond BROADCAST_IDS all rows, or None."""
+    if listed.count() > BROADCAST_IDS:
+        return docs if how == "left_semi" else None
+    return docs.join(F.broadcast(listed.select("uid")), "uid", how)
+
+
 def repeated_spans(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """(uid, start, stop): bytes covered by windows that start anywhere else too; docs: (uid, text).
 
@@ -206,7 +215,7 @@ def repeated_spans(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     # second digit: runs that occur again are repeated as a whole; first digit: grams that one run has are done
     by_run = written(runs.groupBy("digit", "run").agg(F.count(F.lit(1)).alias("n"), F.min("uid").alias("first_uid")), "repeats-by-run")
     by_digit = by_run.groupBy("digit").agg(F.count(F.lit(1)).alias("kinds"), F.sum("n").alias("_n")).where("_n > 1").drop("_n")
-    left = written(by_run.join(written(by_digit, "repeats-by-digit"), "digit"), "repeats-left")
+    left = written(by_run.join(by_digit, "digit"), "repeats-left")
     kept = written(runs.join(left, ["digit", "run"]), "repeats-kept")
     whole = kept.where("n > 1").select("uid", "start", (F.col("start") + F.col("size") + window - 1).alias("stop"))
     # what stays open: runs under a gram that other runs have; repeated ones stand in once, for comparison
@@ -215,8 +224,8 @@ def repeated_spans(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     open_runs = mixed.select("uid", entry.alias("r"), "size")
     total = open_runs.agg(F.sum("size").alias("n")).first()["n"] or 0
     width = max(shuffle_width(spark), total * 20 // GROUP_BYTES + 1)
-    per_doc = open_runs.groupBy("uid").agg(F.collect_set("r").alias("runs"))
-    texts = docs.select("uid", "text").join(per_doc.hint("shuffle_hash"), "uid")
+    per_doc = written(open_runs.groupBy("uid").agg(F.collect_set("r").alias("runs")), "repeats-open")
+    texts = _some(docs.select("uid", "text"), per_doc, "left_semi").join(per_doc.hint("shuffle_hash"), "uid")
     dealt = texts.mapInArrow(_open_windows(window, 2 * width), "part int, payload binary")
     single = dealt.repartition(width, "part").mapInArrow(_repeated_windows(window), "uid long, start int, stop int")
     return written(whole.unionByName(single), "repeats-spans")
@@ -226,8 +235,11 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """One row for each row of docs (doc_id, text): bytes, removed bytes, removed runs, digest of what is kept, and the spans removed."""
     keyed = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("uid"))
     spans = repeated_spans(keyed, window)
-    per_doc = spans.groupBy("uid").agg(F.collect_set(F.struct("start", "stop")).alias("spans"))
-    joined = keyed.join(per_doc.hint("shuffle_hash"), "uid", "left").select("doc_id", "text", "spans")
+    per_doc = written(spans.groupBy("uid").agg(F.collect_set(F.struct("start", "stop")).alias("spans")), "repeats-per-doc")
+    none, some = _some(keyed, per_doc, "left_anti"), _some(keyed, per_doc, "left_semi")
+    joined = some.join(per_doc.hint("shuffle_hash"), "uid", "left").select("doc_id", "text", "spans")
+    if none is not None:
+        joined = joined.unionByName(none.select("doc_id", "text", F.lit(None).cast(per_doc.schema["spans"].dataType).alias("spans")))
     return joined.mapInArrow(_cut, CUT)
 
 

@@ -87,6 +87,8 @@ class LineSampleReader(DataSourceReader):
         return [_Split(i, f, s, e, k) for i, ((f, s, e), k) in enumerate(zip(splits, sizes)) if k]
 
     def read(self, part):
+        if not isinstance(part, _Split):  # nothing to read
+            return
         gen = np.random.Generator(np.random.PCG64([int(self.o.get("seed", 0)), part.index]))
         tries = int(self.o.get("max_tries", 200)) * part.n
         used: set[int] = set()
@@ -158,6 +160,8 @@ class RowGroupReader(DataSourceReader):
         return [_Group(f, g, min(k, n), seed * 1_000_003 + i) for i, ((f, g, n), k) in enumerate(zip(groups, sizes)) if k]
 
     def read(self, part):
+        if not isinstance(part, _Group):
+            return
         data = pq.ParquetFile(part.path).read_row_group(part.group, columns=self.names)
         at = np.sort(np.random.Generator(np.random.PCG64(part.seed)).choice(data.num_rows, part.n, replace=False))
         for batch in data.take(at).select(self.names).to_batches():

@@ -6,14 +6,28 @@ import os
 import tempfile
 import uuid
 
+import pyarrow as pa
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from approxboot import ship_package
 
 
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+#: Rows of a batch that goes to a Python worker: texts can be long, and two copies of a batch are held.
+BATCH_ROWS = 1_000
+
+
+def prepare(spark: SparkSession) -> None:
+    """What the operators' Python tasks need of a session: the package, and batches of bounded size."""
     ship_package(spark)
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if int(spark.conf.get(key)) > BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
+
+
+def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    prepare(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -43,16 +57,41 @@ def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
 
 
+#: Edges that one task joins up at most: 16 bytes each. More go the distributed way.
+LOCAL_EDGES = 500_000
+
+
+def _union_find(batches):
+    """(node, root) of all edges (u, v) that the task is given."""
+    parent: dict[int, int] = {}
+
+    def find(x: int) -> int:
+        while (up := parent.setdefault(x, x)) != x:
+            parent[x] = x = parent[up] if up in parent else up
+        return x
+
+    for batch in batches:
+        for u, v in zip(batch.column("u").to_pylist(), batch.column("v").to_pylist()):
+            a, b = find(u), find(v)
+            if a != b:
+                parent[max(a, b)] = min(a, b)
+    nodes = list(parent)
+    yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array([find(x) for x in nodes], pa.int64())], names=["node", "root"])
+
+
 def connected_components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """Components of an undirected graph, as (node, root): root is the smallest node that can be reached.
 
-    Alternating large-star and small-star passes; each pass is a grouped minimum and an equi-join, and is
-    written to the shared folder, so neither lineage nor any group is held in one task. Nulls and loops
-    in edges are ignored. No edges: no rows.
+    Up to LOCAL_EDGES edges, which are counted, are joined up in one task. More go through alternating
+    large-star and small-star passes; each is a grouped minimum and an equi-join, and is written to the
+    shared folder, so neither lineage nor any group is held in one task. Nulls and loops in edges are
+    ignored. No edges: no rows.
     """
     spark = edges.sparkSession
     e = edges.select(F.greatest(a, b).cast("long").alias("u"), F.least(a, b).cast("long").alias("v"))
     e = written(e.where("u is not null and v is not null and u <> v").distinct(), "cc")
+    if e.count() <= LOCAL_EDGES:
+        return e.repartition(1).mapInArrow(_union_find, "node long, root long")
     before = None
     while True:
         # large star: every node tells its larger neighbours about its smallest one

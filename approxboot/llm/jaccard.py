@@ -15,7 +15,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from approxboot.llm.common import connected_components, shuffle_width, table, written
@@ -25,8 +25,12 @@ from approxboot.llm.kernels import byte_slices, mix, shingle_sets, utf8
 PERCENT = 75
 SKETCH_BITS = 22
 SKETCH_BLOCK = 4096
-#: Pivots that a region compares in one round of the recursion.
-PIVOTS = 64
+#: Regions up to this size are compared whole: a few pairs for each member.
+SMALL_REGION = 16
+#: Pivots that a larger region compares in its first rounds, by node: they join most of what belongs together.
+PIVOTS = [4, 16]
+#: Pivots of later rounds, members of the region's smallest components first: what is left to compare is theirs.
+LATE_PIVOTS = 1024
 #: Ids of documents that are broadcast at most: 16 bytes each.
 BROADCAST_IDS = 1_000_000
 #: Bytes of anchors that one task groups.
@@ -41,21 +45,23 @@ def fingerprint(hashes: np.ndarray) -> int:
         return int(mix(both[:1] + mix(both[1:] ^ np.uint64(0xA5A5A5A5A5A5A5A5))).view(np.int64)[0])
 
 
-def parity_bits(s: np.ndarray) -> bytes:
-    """A bit for each of 2 to 4 times as many buckets as s has elements: whether the bucket's count is odd."""
-    w = 1 << max(6, (2 * len(s) - 1).bit_length())
-    odd = np.bincount((s & np.uint64(w - 1)).astype(np.int64), minlength=w) & 1
-    return np.packbits(odd.astype(bool), bitorder="little").tobytes()
+def parity_bits(s: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """A bit for each of 2 to 4 times as many buckets as s has elements, whether the bucket's count is odd; and the same for half as many buckets."""
+    w = 1 << max(7, (2 * len(s) - 1).bit_length())
+    odd = (np.bincount((s & np.uint64(w - 1)).astype(np.int64), minlength=w) & 1).astype(bool)
+    bits = np.packbits(odd, bitorder="little").view(np.int64)
+    return bits, bits[: len(bits) // 2] ^ bits[len(bits) // 2 :]
 
 
-def least_difference(x: bytes, y: bytes) -> int:
-    """Elements that two sets differ in, at least: odd buckets that only one has, after folding the longer bits."""
-    a, b = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-    while len(a) > len(b):
-        a = a[: len(a) // 2] ^ a[len(a) // 2 :]
-    while len(b) > len(a):
-        b = b[: len(b) // 2] ^ b[len(b) // 2 :]
-    return int(np.bitwise_count(a ^ b).sum())
+def may_link(x: Column, xh: Column, y: Column, yh: Column, sizes: Column, percent: int) -> Column:
+    """Whether parity bits leave it open that two sets link: buckets that are odd in one only are elements that differ.
+
+    Sets whose bits differ more than twofold in number differ too much in size.
+    """
+    n, m = F.size(x), F.size(y)
+    count = lambda a, b: F.aggregate(F.zip_with(a, b, lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda t, c: t + c)
+    differ = F.when(n == m, count(x, y)).when(n == 2 * m, count(xh, y)).when(m == 2 * n, count(x, yh)).otherwise(F.lit(1 << 30))
+    return (100 + percent) * differ.cast("long") <= (100 - percent) * sizes
 
 
 def _rows(batch, n: int):
@@ -68,28 +74,30 @@ def _rows(batch, n: int):
 
 def _describe(n: int):
     """Rows of documents (doc_id, n_shingles, node) and, at a task's end, its counts of shingles by bucket."""
-    names = ["doc_id", "n_shingles", "node", "bits", "block", "counts"]
-    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.int32(), pa.binary()]
+    names = ["doc_id", "n_shingles", "node", "bits", "half", "block", "counts"]
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.int32(), pa.binary()]
 
     def run(batches):
         counts = np.zeros(1 << SKETCH_BITS, np.uint32)
         for batch in batches:
-            sizes, nodes, bits, held = [], [], [], []
+            sizes, nodes, bits, halves, held = [], [], [], [], []
             for _, s in _rows(batch, n):
                 sizes.append(len(s))
                 nodes.append(fingerprint(s) if len(s) else None)
-                bits.append(parity_bits(s) if len(s) else None)
+                both = parity_bits(s) if len(s) else (None, None)
+                bits.append(both[0])
+                halves.append(both[1])
                 held.append(s)
                 if len(held) == 400:
                     _count(counts, held)
             _count(counts, held)
             none = [None] * len(sizes)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), *[pa.array(x, k) for x, k in zip((sizes, nodes, bits, none, none), kinds[1:])]], names=names)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), *[pa.array(x, k) for x, k in zip((sizes, nodes, bits, halves, none, none), kinds[1:])]], names=names)
         for lo in range(0, len(counts), 64 * SKETCH_BLOCK):
             packed = [(b, _sparse(counts[b * SKETCH_BLOCK : (b + 1) * SKETCH_BLOCK])) for b in range(lo // SKETCH_BLOCK, lo // SKETCH_BLOCK + 64)]
             packed = [x for x in packed if x[1]]
             none = [None] * len(packed)
-            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip((none, none, none, none, [b for b, _ in packed], [c for _, c in packed]), kinds)], names=names)
+            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip((none, none, none, none, none, [b for b, _ in packed], [c for _, c in packed]), kinds)], names=names)
 
     return run
 
@@ -160,7 +168,7 @@ def _deal_anchors(n: int, levels, percent: int, parts: int):
         h = np.concatenate([x[0] for x in held])
         sizes = np.array([len(x[0]) for x in held])
         node = np.repeat(np.array([x[1] for x in held], np.int64), sizes)
-        size = np.repeat(np.array([x[2] for x in held], np.uint32), sizes)
+        size = np.concatenate([x[2] for x in held]).astype(np.uint32)
         part = (mix(h) % np.uint64(parts)).astype(np.int64)
         order = np.argsort(part, kind="stable")
         cuts = np.searchsorted(part[order], np.arange(parts + 1))
@@ -182,7 +190,9 @@ def _deal_anchors(n: int, levels, percent: int, parts: int):
                     continue
                 seen.add(node)
                 a = anchors(s, levels.value, percent)
-                held.append((a, node, len(s)))
+                # of two sets that link, the smaller (both, if equal) shares one of its first mid anchors
+                mid = len(s) - -(-2 * percent * len(s) // (100 + percent)) + 1
+                held.append((a, node, 2 * len(s) + (np.arange(len(a)) < mid)))
                 count += len(a)
                 if count > 500_000:
                     yield flush(held)
@@ -194,7 +204,7 @@ def _deal_anchors(n: int, levels, percent: int, parts: int):
 
 
 def _regions(percent: int):
-    """Group the anchors of a task: kind 0 rows (node, pivot), kind 1 rows (region, node, size, pivot) of regions of three nodes and more."""
+    """Group the anchors of a task: kind 0 rows (node, other) to compare first, kind 1 rows (region, node, size, pivot) of large regions."""
     names = ["kind", "a", "b", "size", "pivot"]
     kinds = [pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64()]
 
@@ -214,17 +224,30 @@ def _regions(percent: int):
         h, node, size = h[order], node[order], size[order]
         new = np.concatenate([[True], (h[1:] != h[:-1]) | (node[1:] != node[:-1])])
         h, node, size = h[new], node[new], size[new]
+        mid, size = size % 2 == 1, size // 2
         first = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1]]))
         count = np.diff(np.concatenate([first, [len(h)]]))
-        pivot, pivot_size = np.repeat(node[first], count), np.repeat(size[first], count)
-        pair = (np.repeat(count, count) > 1) & (node != pivot)
-        near = pair & (100 * np.minimum(size, pivot_size) >= percent * np.maximum(size, pivot_size))
-        ab = np.unique(np.column_stack([node[near], pivot[near]]), axis=0)
-        if len(ab):
-            zero = np.zeros(len(ab), np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip((zero.astype(np.int32), ab[:, 0], ab[:, 1], zero, zero), kinds)], names=names)
+        members, place = np.repeat(count, count), np.arange(len(h)) - np.repeat(first, count)
+        found = []
+        for step in range(1, SMALL_REGION):
+            # every member of a small region with the one step places on; in larger ones with the pivot
+            x = np.flatnonzero((members <= SMALL_REGION) & (place + step < members))
+            if len(x):
+                found.append((x, x + step))
+        x = np.flatnonzero((members > SMALL_REGION) & (place > 0))
+        found.append((x, x - place[x]))
+        x, y = (np.concatenate([f[i] for f in found]) for i in range(2))
+        near = 100 * np.minimum(size[x], size[y]) >= percent * np.maximum(size[x], size[y])
+        near &= (mid[x] | (size[x] > size[y])) & (mid[y] | (size[y] > size[x]))
+        x, y = node[x[near]], node[y[near]]
+        ab = np.unique(np.column_stack([np.maximum(x, y), np.minimum(x, y)]), axis=0)
+        for lo in range(0, len(ab), 50_000):
+            part = ab[lo : lo + 50_000]
+            zero = np.zeros(len(part), np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip((zero.astype(np.int32), part[:, 0], part[:, 1], zero, zero), kinds)], names=names)
         seen = set()
-        for f, c in zip(first[count > 2].tolist(), count[count > 2].tolist()):
+        large = count > SMALL_REGION
+        for f, c in zip(first[large].tolist(), count[large].tolist()):
             members = node[f : f + c]
             with np.errstate(over="ignore"):
                 name = int(mix(np.array([mix(members.view(np.uint64)).sum(dtype=np.uint64)], np.uint64) + np.uint64(c)).view(np.int64)[0])
@@ -252,30 +275,21 @@ def _wanted_sets(n: int):
     return run
 
 
-def _near_bits(percent: int):
-    """Pairs that their parity bits do not rule out."""
-
-    def run(batches):
-        for batch in batches:
-            x, y = batch.column("_x"), batch.column("_y")
-            most = (100 - percent) * batch.column("_s").to_numpy()
-            keep = [i for i, m in enumerate(most.tolist()) if (100 + percent) * least_difference(x[i].as_py(), y[i].as_py()) <= m]
-            yield batch.select(["a", "b"]).take(pa.array(keep, pa.int64()))
-
-    return run
-
-
 class _Space:
     """The nodes of a join: their bits for a first look, and their sets, made from texts where they are needed."""
 
     def __init__(self, docs: DataFrame, nodes: DataFrame, percent: int, shingle: int):
         self.docs, self.nodes, self.percent, self.shingle = docs, nodes, percent, shingle
 
+    def sides(self, df: DataFrame, node: str, tag: str) -> DataFrame:
+        """df with the bits and size of the node in a column."""
+        return df.join(self.nodes.select(F.col("node").alias(node), F.col("bits").alias(f"_{tag}"), F.col("half").alias(f"_{tag}h"), F.col("n_shingles").alias(f"_{tag}n")), node)
+
+    def may_link(self) -> Column:
+        return may_link(F.col("_x"), F.col("_xh"), F.col("_y"), F.col("_yh"), F.col("_xn") + F.col("_yn"), self.percent)
+
     def near(self, pairs: DataFrame) -> DataFrame:
-        side = self.nodes.select(F.col("node").alias("a"), F.col("bits").alias("_x"), F.col("n_shingles").alias("_n"))
-        one = pairs.join(side, "a")
-        both = one.join(side.select(F.col("a").alias("b"), F.col("_x").alias("_y"), F.col("_n").alias("_m")), "b")
-        return both.select("a", "b", "_x", "_y", (F.col("_n") + F.col("_m")).alias("_s")).mapInArrow(_near_bits(self.percent), "a long, b long")
+        return self.sides(self.sides(pairs, "a", "x"), "b", "y").where(self.may_link()).select("a", "b")
 
     def sets(self, pairs: DataFrame) -> DataFrame:
         """(node, hashes) of the nodes in pairs. Few documents are looked for by broadcast, more than that by a shuffle."""
@@ -287,9 +301,9 @@ class _Space:
         made = texts.mapInArrow(_wanted_sets(self.shingle), "node long, hashes array<long>")
         return written(made.dropDuplicates(["node"]), "jaccard-hashes")
 
-    def measured(self, pairs: DataFrame) -> DataFrame:
+    def measured(self, pairs: DataFrame, near: bool = False) -> DataFrame:
         """Those of pairs (a, b) that may link, with their exact distance d. Large pivots are plain equi-join keys, which Spark splits."""
-        pairs = written(self.near(pairs), "jaccard-near")
+        pairs = written(pairs if near else self.near(pairs), "jaccard-near")
         sets = self.sets(pairs)
         one = pairs.join(sets.select(F.col("node").alias("b"), F.col("hashes").alias("_y")), "b")
         both = one.join(sets.select(F.col("node").alias("a"), F.col("hashes").alias("_x")), "a")
@@ -314,8 +328,8 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, shingle: int = 5
     """
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    described = written(docs.mapInArrow(_describe(shingle), "doc_id long, n_shingles long, node long, bits binary, block int, counts binary"), "jaccard-sets")
-    rows = described.where("block is null").select("doc_id", "n_shingles", "node", "bits")
+    described = written(docs.mapInArrow(_describe(shingle), "doc_id long, n_shingles long, node long, bits array<long>, half array<long>, block int, counts binary"), "jaccard-sets")
+    rows = described.where("block is null").select("doc_id", "n_shingles", "node", "bits", "half")
     level, total = commonness(described)
     held = spark.sparkContext.broadcast(level)
     width = max(shuffle_width(spark), total * 20 * (100 - percent) // 100 // GROUP_BYTES + 1)
@@ -323,12 +337,13 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, shingle: int = 5
     grouped = dealt.repartition(width, "part").mapInArrow(_regions(percent), "kind int, a long, b long, size long, pivot long")
     found = written(grouped, "jaccard-regions")
     pairs = written(found.where("kind = 0").select("a", "b").distinct(), "jaccard-pairs")
-    regions = found.where("kind = 1").select(F.col("a").alias("region"), F.col("b").alias("node"), "size", "pivot").distinct()
+    # regions around one pivot overlap almost wholly: they are one
+    regions = found.where("kind = 1").select(F.col("pivot").alias("region"), F.col("b").alias("node"), "size", "pivot").distinct()
 
-    nodes = rows.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.min("n_shingles").alias("n_shingles"), F.first("bits").alias("bits"))
+    nodes = rows.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.min("n_shingles").alias("n_shingles"), F.first("bits").alias("bits"), F.first("half").alias("half"))
     space = _Space(docs, written(nodes, "jaccard-nodes"), percent, shingle)
 
-    # a set's smallest pivot first; pairs that this already connects need no measuring
+    # a set's smallest partner first; pairs that this already connects need no measuring
     smallest = pairs.groupBy("a").agg(F.min("b").alias("b"))
     measured = space.measured(smallest)
     links = measured.where("link").select("a", "b", "d")
@@ -342,28 +357,29 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, shingle: int = 5
     distances = measured.unionByName(more).select(F.col("a").alias("node"), F.col("b").alias("pivot"), "d")
     open_regions = regions.join(distances, ["node", "pivot"], "left")
     open_regions = open_regions.withColumn("d", F.when(F.col("node") == F.col("pivot"), F.lit(0.0)).otherwise(F.col("d"))).where("node <> pivot")
-    eps = 1 - percent / 100 + 1e-9
+    eps, turn = 1 - percent / 100 + 1e-9, 0
     while True:
         named = _labelled(open_regions, roots, "node", "root")
         mixed = named.groupBy("region").agg(F.min("root").alias("_lo"), F.max("root").alias("_hi")).where("_lo <> _hi").select("region")
         named = written(named.join(mixed, "region", "left_semi"), "jaccard-open")
         if named.isEmpty():
             break
-        rank = F.row_number().over(Window.partitionBy("region").orderBy("node"))
-        pivots = named.withColumn("_k", rank).where(F.col("_k") <= PIVOTS).select("region", F.col("node").alias("_p"), F.col("size").alias("_ps"), F.col("d").alias("_pd"), F.col("root").alias("_pr"))
+        most, order, ranked = (PIVOTS[turn], ["node"], named) if turn < len(PIVOTS) else (LATE_PIVOTS, ["_c", "node"], named.join(named.groupBy("region", "root").agg(F.count(F.lit(1)).alias("_c")), ["region", "root"]))
+        rank = F.row_number().over(Window.partitionBy("region").orderBy(*order))
+        pivots = ranked.withColumn("_k", rank).where(F.col("_k") <= most).select("region", F.col("node").alias("_p"), F.col("size").alias("_ps"), F.col("d").alias("_pd"), F.col("root").alias("_pr"))
         pivots = written(pivots, "jaccard-pivots")
-        pairs = named.join(pivots, "region").where("root <> _pr and node <> _p")
-        pairs = pairs.where(100 * F.least("size", "_ps") >= percent * F.greatest("size", "_ps"))
-        pairs = pairs.where(F.coalesce(F.abs(F.col("d") - F.col("_pd")) <= eps, F.lit(True)))
-        pairs = pairs.select(F.greatest("node", "_p").alias("a"), F.least("node", "_p").alias("b")).distinct()
-        measured = space.measured(pairs)
+        # the condition is part of the join: only pairs that may link become rows
+        near = space.sides(named, "node", "x").join(space.sides(pivots, "_p", "y"), "region").where("root <> _pr and node <> _p").where(space.may_link())
+        near = near.where(F.coalesce(F.abs(F.col("d") - F.col("_pd")) <= eps, F.lit(True)))
+        pairs = near.select(F.greatest("node", "_p").alias("a"), F.least("node", "_p").alias("b")).distinct()
+        measured = space.measured(pairs, near=True)
         fresh = measured.where("link").select("a", "b", "d")
         if not fresh.isEmpty():
             links = links.unionByName(fresh)
             # the roots so far stand for their components
             joined = roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(fresh.select("a", "b"))
             roots = written(connected_components(joined), "jaccard-roots")
-        done = pivots.select("region", F.col("_p").alias("node"))
+        done, turn = pivots.select("region", F.col("_p").alias("node")), turn + 1
         open_regions = named.join(done, ["region", "node"], "left_anti").drop("root")
 
     node_doc = _labelled(space.nodes.select("node", "doc_id"), roots, "node", "root")

@@ -99,21 +99,23 @@ class WordEncoder:
     def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """All ids of texts one after another, and the number of ids of each."""
         words, lead = self.words, self.lead
-        numbers, counts = [], []
-        for t in texts:
-            if lead:
-                if "  " in t:
-                    numbers.append(words[t])
-                    counts.append(1)
-                    continue
-                first, *rest = t.split(" ")
-                numbers.append(words[first])
-                numbers += [words[lead + w] for w in rest]
-                counts.append(1 + len(rest))
-            else:
-                parts = t.replace("\n", " ").split(" ")
-                numbers += [words[w] for w in parts]
-                counts.append(len(parts))
+        # texts are cut in one go, at the byte 0; those that hold it, or runs of blanks, stay whole
+        odd = [i for i, t in enumerate(texts) if "\0" in t or (lead and "  " in t)]
+        if lead:
+            cut = lambda part: "\0".join(part).replace(lead, "\0" + lead).split("\0")
+            counts = [t.count(lead) + 1 for t in texts]
+        else:
+            cut = lambda part: "\0".join(part).replace("\n", " ").replace(" ", "\0").split("\0")
+            counts = [t.count(" ") + t.count("\n") + 1 for t in texts]
+        numbers: list[int] = []
+        lo = 0
+        for i in [*odd, len(texts)]:
+            if i > lo:
+                numbers += map(words.__getitem__, cut(texts[lo:i]))
+            if i < len(texts):
+                numbers.append(words[texts[i]])
+                counts[i] = 1
+            lo = i + 1
         self._learn()
         numbers = np.array(numbers, np.int64)
         lengths = self.lengths[numbers]

@@ -26,18 +26,20 @@ HEADER = struct.Struct("<4sHIIIIB")
 MAGIC = b"RPB1"
 
 
-def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, passes: int = 6, per_pass: int = 1024, least: int = 32) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, passes: int = 4, per_pass: int = 2048, least: int = 32) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Re-Pair over ids: (symbols, rules, last of the symbols).
 
     A pass counts all adjacent pairs, takes the most frequent ones of which none can overlap another (no
     symbol opens one and closes another), and replaces them all, from left to right within runs of a
     doubled symbol. Pairs never cross the end of a document (last). Stops below least occurrences.
     """
-    seq, rules = ids.astype(np.int64), []
+    # half the key for each symbol: 32-bit keys sort much faster, and most vocabularies fit
+    half, kind = (16, np.uint32) if first_symbol + passes * per_pass <= 1 << 16 else (32, np.uint64)
+    seq, rules = ids.astype(kind), []
     for _ in range(passes):
         if len(seq) < 2:
             break
-        keys = (seq[:-1] << 24) | seq[1:]
+        keys = (seq[:-1] << kind(half)) | seq[1:]
         inside = ~last[:-1]
         ordered = np.sort(keys[inside])
         if not len(ordered):
@@ -48,7 +50,7 @@ def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, passes: int = 6
         often = often[np.argsort(-sizes[often], kind="stable")][: 4 * per_pass]
         opens, closes, chosen = set(), set(), []
         for key in ordered[cuts[often]].tolist():
-            a, b = key >> 24, key & 0xFFFFFF
+            a, b = key >> half, key & ((1 << half) - 1)
             if a in closes or b in opens or (a == b and a in opens):
                 continue
             opens.add(a)
@@ -59,11 +61,11 @@ def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, passes: int = 6
         if not chosen:
             break
         base = first_symbol + len(rules)
-        picked = np.array(chosen, np.int64)
+        picked = np.array(chosen, kind)
         order = np.argsort(picked)
         sorted_keys = picked[order]
         opening = np.zeros(base, bool)
-        opening[picked >> 24] = True
+        opening[picked >> kind(half)] = True
         maybe = np.flatnonzero(opening[seq[:-1]] & inside)
         slot = np.minimum(np.searchsorted(sorted_keys, keys[maybe]), len(sorted_keys) - 1)
         match = sorted_keys[slot] == keys[maybe]
@@ -74,13 +76,13 @@ def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, passes: int = 6
             run_start = np.maximum.accumulate(np.where(breaks, np.arange(len(at)), 0))
             even = (np.arange(len(at)) - run_start) % 2 == 0
             at, number = at[even], number[even]
-        seq[at] = base + number
+        seq[at] = (base + number).astype(kind)
         last = last.copy()
         last[at] = last[at + 1]
         keep = np.ones(len(seq), bool)
         keep[at + 1] = False
         seq, last = seq[keep], last[keep]
-        rules += [(k >> 24, k & 0xFFFFFF) for k in chosen]
+        rules += [(k >> half, k & ((1 << half) - 1)) for k in chosen]
     return seq, np.array(rules, np.int64).reshape(-1, 2), last
 
 

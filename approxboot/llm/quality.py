@@ -109,15 +109,15 @@ def fit(docs: DataFrame, labels: DataFrame, max_docs_per_class: int = 2_000, dic
     return model
 
 
-def score(docs: DataFrame, model: CompressionModel, text: str = "text") -> DataFrame:
-    """docs with the column score, 0 to 1; null and empty texts are scored as empty ones."""
+def score(docs: DataFrame, model: CompressionModel, text: str = "text", out: str = "score") -> DataFrame:
+    """docs with the column out, 0 to 1, which replaces one of that name; null and empty texts are scored as empty ones."""
     held = docs.sparkSession.sparkContext.broadcast(model)
 
     @F.pandas_udf("double")
     def quality(s: pd.Series) -> pd.Series:
         return pd.Series(score_texts([t or "" for t in s], held.value))
 
-    return docs.withColumn("score", quality(F.col(text)))
+    return docs.withColumn(out, quality(F.col(text)))
 
 
 def training_labels(labels: DataFrame, folds: int = 5) -> DataFrame:

@@ -151,11 +151,11 @@ def masked(docs: DataFrame, findings: DataFrame, mark: str = "[secret]") -> Data
         return F.when(s["start"] >= acc["at"], after).otherwise(inside)
 
     begin = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
-    text = F.aggregate("_spans", begin, step, lambda acc: F.concat(acc["out"], F.substring(F.col("text"), acc["at"] + 1, F.length("text"))))
-    found = findings.select(F.col("blob").alias("_blob"), F.col("spans").alias("_spans"))
-    keyed = docs.withColumn("_b", blob_id(F.col("text")))
-    joined = keyed.join(found, keyed["_b"] == found["_blob"], "left")
-    return joined.withColumn("text", F.when(F.col("_spans").isNull(), F.col("text")).otherwise(text)).select(docs.columns)
+    text = F.aggregate("__masked_spans", begin, step, lambda acc: F.concat(acc["out"], F.substring(F.col("text"), acc["at"] + 1, F.length("text"))))
+    found = findings.select(F.col("blob").alias("__masked_blob"), F.col("spans").alias("__masked_spans"))
+    keyed = docs.withColumn("__blob_of_text", blob_id(F.col("text")))
+    joined = keyed.join(found, F.col("__blob_of_text") == F.col("__masked_blob"), "left")
+    return joined.withColumn("text", F.when(F.col("__masked_spans").isNull(), F.col("text")).otherwise(text)).select(docs.columns)
 
 
 def op1_secret_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -9,9 +9,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from approxboot import ship_package
 from approxboot.llm import decontam, jaccard, packing, quality, secrets
-from approxboot.llm.common import table, written
+from approxboot.llm.common import prepare, table, written
 
 #: Documents whose quality score is lower are rejected.
 LEAST_QUALITY = 0.3
@@ -20,13 +19,13 @@ LEAST_QUALITY = 0.3
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the compression classifier, fitted on the labelled ones outside its held-out fold, does not reject."""
     model = quality.fit(docs, quality.training_labels(table(spark, sf_dir, "labels").select("doc_id", "quality")))
-    scored = quality.score(docs, model)
-    return scored.where(F.col("score") >= LEAST_QUALITY).select(docs.columns)
+    scored = quality.score(docs, model, out="__quality_score")
+    return scored.where(F.col("__quality_score") >= LEAST_QUALITY).select(docs.columns)
 
 
 def keep_one_of_similar(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document, that of the smallest doc_id, of each component of similar documents; those without words all stay."""
-    ship_package(spark)
+    prepare(spark)
     members, _ = jaccard.jaccard_components(docs)
     dropped = members.where("doc_id <> component_id").select("doc_id").distinct()
     return docs.join(dropped, "doc_id", "left_anti").select(docs.columns)
@@ -47,7 +46,7 @@ def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     """Pieces of all documents, packed into sequences of 4096 tokens at most."""
     import public_tokenizers
 
-    ship_package(spark)
+    prepare(spark)
     return packing.pack_documents(docs, public_tokenizers.path("word_bpe_49k.json"), 1)
 
 

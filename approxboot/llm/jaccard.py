@@ -136,7 +136,7 @@ def _add_up(batches):
 
 
 def commonness(described: DataFrame) -> tuple[np.ndarray, int]:
-    """Level of each bucket of shingles (0: as rare as most; more: twice as common for each step), and the number of all shingles.
+    """Level of each bucket of shingles, by how common it is, and the number of all shingles.
 
     As many counters as 2**SKETCH_BITS reach the driver, however large the input is. Levels only order
     shingles: whatever they are, the join's result is the same.
@@ -147,18 +147,17 @@ def commonness(described: DataFrame) -> tuple[np.ndarray, int]:
     for r in once.collect():
         total[r["block"] * SKETCH_BLOCK : (r["block"] + 1) * SKETCH_BLOCK] += _dense([bytes(r["counts"])])
     mean = float(total.mean())
-    over = np.maximum((total.astype(np.float64) - mean) / (4 * np.sqrt(mean) + 4), 1)
-    return np.ceil(np.log2(over)).astype(np.uint8), int(total.sum())
+    z = (total.astype(np.float64) - mean) / np.sqrt(mean + 1)
+    # eighths of a deviation up to 12 of them, then steps of the logarithm: any monotone scale will do
+    level = np.where(z <= 12, np.clip(8 * (z + 4), 0, 128), 128 + 4 * np.log2(np.maximum(z, 12) / 12))
+    return np.minimum(np.ceil(level), 255).astype(np.uint8), int(total.sum())
 
 
 def anchors(s: np.ndarray, levels: np.ndarray, percent: int) -> np.ndarray:
     """The shingles of set s of which a set at the threshold shares one with it, rare ones first."""
     n = len(s)
     take = n - -(-percent * n // 100) + 1
-    level = levels[s >> np.uint64(64 - SKETCH_BITS)]
-    if level.any():
-        return s[np.argsort(level, kind="stable")[:take]]
-    return s[:take]
+    return s[np.argsort(levels[s >> np.uint64(64 - SKETCH_BITS)], kind="stable")[:take]]
 
 
 def _deal_anchors(n: int, levels, percent: int, parts: int):

@@ -128,9 +128,9 @@ class WordEncoder:
 
 
 @lru_cache(maxsize=2)
-def encoder(path: str, lead: str) -> WordEncoder:
+def encoder(path: str, lead: str, max_ids: int = 6_000_000) -> WordEncoder:
     """One encoder for each worker process, so that its cache serves all tasks there."""
-    return WordEncoder(path, lead)
+    return WordEncoder(path, lead, max_ids)
 
 
 def slices(texts: list[str], limit: int = 2_000_000):

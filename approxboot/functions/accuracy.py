@@ -7,7 +7,7 @@ from itertools import permutations
 from statistics import NormalDist
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -111,6 +111,8 @@ def centroid_error(found: np.ndarray, best: np.ndarray) -> float:
 
 def uniformity(blocks: DataFrame, n: str = "n", total: str = "total") -> DataFrame:
     """Chi-square of a sample's counts n by block against the blocks' shares of total, with its degrees of freedom."""
-    everything = Window.partitionBy(F.lit(1))
-    expected = F.col(total) * F.sum(n).over(everything) / F.sum(total).over(everything)
-    return blocks.withColumn("_e", expected).agg(F.sum((F.col(n) - F.col("_e")) ** 2 / F.col("_e")).alias("chi2"), (F.count(F.lit(1)) - 1).alias("df"))
+    # one row of sums
+    sums = blocks.agg(F.sum(n).alias("_n"), F.sum(total).alias("_t"))
+    expected = F.col(total) * F.col("_n") / F.col("_t")
+    with_e = blocks.join(F.broadcast(sums)).withColumn("_e", expected)
+    return with_e.agg(F.sum((F.col(n) - F.col("_e")) ** 2 / F.col("_e")).alias("chi2"), (F.count(F.lit(1)) - 1).alias("df"))

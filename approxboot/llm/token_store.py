@@ -21,8 +21,8 @@ from approxboot.llm.common import shuffle_width, table, written
 from approxboot.llm.encoding import encoder, ragged, slices
 
 BLOCK = 1 << 20
-#: Ids of words that a worker remembers: about 250 MB with their texts.
-CACHED_IDS = 12_000_000
+#: Ids of words that a worker remembers: about 170 MB with their texts.
+CACHED_IDS = 8_000_000
 #: Magic, version, first nonterminal, rules, documents, symbols, bytes of a symbol.
 HEADER = struct.Struct("<4sHIIIIB")
 MAGIC = b"RPB1"
@@ -66,9 +66,10 @@ def repair(ids: np.ndarray, last: np.ndarray, first_symbol: int, passes: int = 4
         picked = np.array(chosen, kind)
         order = np.argsort(picked)
         sorted_keys = picked[order]
-        opening = np.zeros(base, bool)
-        opening[picked >> kind(half)] = True
-        maybe = np.flatnonzero(opening[seq[:-1]] & inside)
+        # a table of 2**16 hashes leaves few positions that are no match
+        table, spread = np.zeros(1 << 16, bool), kind(0x9E3779B1 if half == 16 else 0x9E3779B97F4A7C15)
+        table[(picked * spread) >> kind(2 * half - 16)] = True
+        maybe = np.flatnonzero(table[(keys * spread) >> kind(2 * half - 16)] & inside)
         slot = np.minimum(np.searchsorted(sorted_keys, keys[maybe]), len(sorted_keys) - 1)
         match = sorted_keys[slot] == keys[maybe]
         at, number = maybe[match], order[slot[match]]

@@ -39,6 +39,11 @@ def _nodes(batches):
         yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(names, pa.int64()), pa.array([u.tolist() for u in units], pa.list_(pa.float64()))], names=["vec_id", "node", "unit"])
 
 
+def _matrix(column) -> np.ndarray:
+    """Vectors of one length as rows, without a Python object for each number."""
+    return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1)
+
+
 def _signatures(tables: int, bits: int, seed: int, dims: int):
     """Rows (bucket, node) of each vector: a signature of hyperplane sides for each table."""
 
@@ -48,7 +53,7 @@ def _signatures(tables: int, bits: int, seed: int, dims: int):
         for batch in batches:
             if not batch.num_rows:
                 continue
-            units = np.array(batch.column("unit").to_pylist(), np.float64)
+            units = _matrix(batch.column("unit"))
             sides = (units @ planes.T > 0).reshape(len(units), tables, bits)
             code = (sides * weights).sum(2) + (np.arange(tables, dtype=np.int64) << 40)
             nodes = batch.column("node").to_numpy()
@@ -61,8 +66,8 @@ def _cosines(batches):
     for batch in batches:
         if not batch.num_rows:
             continue
-        x = np.array(batch.column("_x").to_pylist(), np.float64)
-        y = np.array(batch.column("_y").to_pylist(), np.float64)
+        x = _matrix(batch.column("_x"))
+        y = _matrix(batch.column("_y"))
         yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array((x * y).sum(1))], names=["a", "b", "cos"])
 
 
@@ -80,13 +85,12 @@ def _chained(buckets: DataFrame, reach: int, seed: int) -> DataFrame:
     return pairs.select(F.least("node", "o").alias("a"), F.greatest("node", "o").alias("b")).distinct()
 
 
-def _lists(edges: DataFrame, k: int, threshold: float) -> DataFrame:
-    """Neighbour lists (node, other, cos): the k nearest of each, and all at the threshold or above - a full list grows."""
+def _lists(edges: DataFrame, k: int, most: int, threshold: float) -> DataFrame:
+    """Neighbour lists (node, other, cos): the k nearest of each; a list whose k are all at the threshold or above is saturated and holds such ones up to most."""
     both = edges.select(F.col("a").alias("node"), F.col("b").alias("other"), "cos").unionByName(edges.select(F.col("b").alias("node"), F.col("a").alias("other"), "cos"))
     rank = F.row_number().over(Window.partitionBy("node").orderBy(F.desc("cos"), "other"))
-    near = both.where(F.col("cos") >= threshold)
-    far = both.where(F.col("cos") < threshold).withColumn("_k", rank).where(F.col("_k") <= k).drop("_k")
-    return near.unionByName(far)
+    ranked = both.withColumn("_k", rank).where(F.col("_k") <= most)
+    return ranked.where((F.col("_k") <= k) | (F.col("cos") >= threshold)).drop("_k")
 
 
 def _audit(sample: np.ndarray, names: np.ndarray, threshold: float):
@@ -96,7 +100,7 @@ def _audit(sample: np.ndarray, names: np.ndarray, threshold: float):
         for batch in batches:
             if not batch.num_rows or not len(sample):
                 continue
-            units = np.array(batch.column("unit").to_pylist(), np.float64)
+            units = _matrix(batch.column("unit"))
             nodes = batch.column("node").to_numpy()
             i, j = np.nonzero(units @ sample.T >= threshold)
             own = nodes[i] != names[j]
@@ -128,9 +132,9 @@ def descend(vectors: DataFrame, threshold: float = COSINE, k: int = 10, tables:
             start = start.join(known.select("a", "b"), ["a", "b"], "left_anti")
         fresh = written(_compared(start, vectors), "nn-edges")
         known = fresh if known is None else written(known.unionByName(fresh), "nn-known")
-        lists = written(_lists(known, k, threshold), "nn-lists")
+        lists = written(_lists(known, k, k, threshold), "nn-lists")
         new = fresh.select(F.col("a").alias("node"), F.col("b").alias("other")).unionByName(fresh.select(F.col("b").alias("node"), F.col("a").alias("other")))
-        for _ in range(rounds):
+        for turn in range(rounds):
             # local join: a neighbour that is new in a list meets the others of the list
             turned = lists.join(new, ["node", "other"], "left_semi").select("node", F.col("other").alias("x"))
             met = turned.join(lists.select("node", F.col("other").alias("y")), "node").where("x <> y")
@@ -138,7 +142,7 @@ def descend(vectors: DataFrame, threshold: float = COSINE, k: int = 10, tables:
             pairs = pairs.join(known.select("a", "b"), ["a", "b"], "left_anti")
             fresh = written(_compared(pairs, vectors), "nn-edges")
             known = written(known.unionByName(fresh), "nn-known")
-            before, lists = lists, written(_lists(known, k, threshold), "nn-lists")
+            before, lists = lists, written(_lists(known, k, k << (turn + 1), threshold), "nn-lists")
             new = written(lists.join(before, ["node", "other"], "left_anti").select("node", "other"), "nn-new")
             if fresh.where(F.col("cos") >= threshold).isEmpty():
                 break

@@ -8,6 +8,7 @@ each distinct word is encoded once. Texts where that does not hold (runs of spac
 from __future__ import annotations
 
 import os
+import re
 from functools import lru_cache
 
 import numpy as np
@@ -15,6 +16,8 @@ import numpy as np
 
 #: How special tokens of these vocabularies begin.
 MARK = "<|"
+#: A word that begins with its only white space, a blank.
+LED = re.compile(r" \S+").fullmatch
 
 
 def ragged(flat: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
@@ -56,6 +59,8 @@ class WordEncoder:
         self.splitter = Tokenizer.from_file(path)
         self.mark = next(t.content for t in self.splitter.get_added_tokens_decoder().values() if MARK in t.content)
         self.mark_id = self.splitter.token_to_id(self.mark)
+        self.opens = np.zeros(self.tokenizer.get_vocab_size(), bool)
+        self.opens[[i for t, i in self.tokenizer.get_vocab().items() if t.startswith("\u0120")]] = True  # how byte-level vocabularies write a blank
         self.lead, self.max_ids = lead, max_ids
         self._reset()
 
@@ -80,6 +85,14 @@ class WordEncoder:
         lengths = np.diff(np.concatenate([[-1], at])) - 1
         return ids[ids != self.mark_id], lengths
 
+    def _led_ids(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """The same for words that begin with the only blank in them: joined as they are, each begins where an id begins with a blank."""
+        joined = ["".join(texts[i : i + 400]) for i in range(0, len(texts), 400)]
+        got = [e.ids for e in self.tokenizer.encode_batch_fast(joined, add_special_tokens=False)]
+        ids = np.array([i for x in got for i in x], np.uint32)
+        at = np.flatnonzero(self.opens[ids])
+        return ids, np.diff(np.concatenate([at, [len(ids)]]))
+
     def _add(self, flat: np.ndarray, lengths: np.ndarray, numbers: np.ndarray) -> None:
         self.starts[numbers] = len(self.flat) + np.cumsum(lengths) - lengths
         self.lengths[numbers] = lengths
@@ -90,8 +103,10 @@ class WordEncoder:
         first = len(self.starts)
         self.starts = np.concatenate([self.starts, np.zeros(len(fresh), np.int64)])
         self.lengths = np.concatenate([self.lengths, np.zeros(len(fresh), np.int64)])
-        alone = [i for i, w in enumerate(fresh) if MARK in w]
-        for numbers, ids in ((alone, self._ids), ([i for i, w in enumerate(fresh) if MARK not in w], self._joined_ids)):
+        alone, joined, led = [], [], []
+        for i, w in enumerate(fresh):
+            (alone if MARK in w else led if self.lead and LED(w) else joined).append(i)
+        for numbers, ids in ((alone, self._ids), (joined, self._joined_ids), (led, self._led_ids)):
             for lo in range(0, len(numbers), 100_000):
                 part = numbers[lo : lo + 100_000]
                 self._add(*ids([fresh[i] for i in part]), first + np.array(part, np.int64))

@@ -180,7 +180,9 @@ def samp_reservoir(spark, sf_dir):
 
 @query("samp_tablesample")
 def samp_tablesample(spark, sf_dir):
-    return spark.sql("select count(*) as n, avg(c) as mean from {o} tablesample (10 percent) repeatable (7)", o=orders_of(spark, sf_dir))
+    """The built-in forms: a share of rows, and one of so many buckets."""
+    forms = [spark.sql(f"select '{f}' as form, count(*) as n, avg(c) as mean from {{o}} tablesample ({f}) repeatable (7)", o=orders_of(spark, sf_dir)) for f in ("10 percent", "bucket 1 out of 10")]
+    return forms[0].unionByName(forms[1])
 
 
 @query("samp_pair_count_error", f"""with d as (select cast(len(list_filter(string_split(text, ' '), lambda w: w <> '')) as bigint) as w, {rng.sql_uniform('sample', 'doc_id')} as u from documents),

@@ -26,7 +26,9 @@ def ragged(flat: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndar
     if not total:
         return flat[:0]
     ends = np.cumsum(lengths)
-    return flat[np.repeat(starts - (ends - lengths), lengths) + np.arange(total)]
+    at = np.repeat(starts - (ends - lengths), lengths)
+    at += np.arange(total)
+    return flat[at]
 
 
 class _Words(dict):

@@ -148,14 +148,11 @@ class Block:
         if not len(self.rules):
             return symbols.astype(np.uint32)
         flat, starts = self._tables()
-        deep = symbols >= self.first
-        source = np.concatenate([flat, symbols[~deep].astype(np.uint32)])
-        at = np.empty(len(symbols), np.int64)
-        size = np.ones(len(symbols), np.int64)
-        rule = symbols[deep].astype(np.int64) - self.first
-        at[deep], size[deep] = starts[rule], self.lengths[rule]
-        at[~deep] = len(flat) + np.arange(int((~deep).sum()))
-        return ragged(source, at, size)
+        # one table for all symbols: terminals stand for themselves at the front
+        source = np.concatenate([np.arange(self.first, dtype=np.uint32), flat])
+        at = np.concatenate([np.arange(self.first), self.first + starts])
+        size = np.concatenate([np.ones(self.first, np.int64), self.lengths])
+        return ragged(source, at[symbols], size[symbols])
 
     def ids(self) -> np.ndarray:
         """All ids of the block."""

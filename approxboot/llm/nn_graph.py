@@ -1,9 +1,10 @@
 """Near-duplicate embeddings by NN-descent.
 
 A neighbour graph is refined round by round: the neighbours of a vector's neighbours are compared with it,
-in both directions. Lists start from hyperplane signatures, grow where they are full of near vectors, and
-recall is audited against a brute-force search for a sample of vectors; too low a recall adds signatures and
-another descent. Edges at the threshold or above become links.
+in both directions. Lists start from hyperplane signatures. The descent only has to find which vectors belong
+to one component: links within a component are then counted by comparing all its vectors, block by block, so
+lists that are full lose none. Whether components are whole is audited against a brute-force search for a
+sample of vectors: a miss adds signatures and another descent, and where misses remain all vectors are compared.
 
 Equal vectors are one node with a count, so a vector that a large part of all rows share costs one row.
 """
@@ -19,6 +20,12 @@ from approxboot.llm.common import connected_components, table, written
 
 COSINE = 0.95
 
+#: Share of the audited links that the descent has to hold within its components; with less, all vectors are compared.
+RECALL = 1.0
+
+#: Vectors of a block when the vectors of a component, or all of them, are compared.
+COMPONENT_BLOCK, WHOLE_BLOCK = 512, 2048
+
 
 def _nodes(batches):
     """Rows (vec_id, node, unit) of usable vectors: node names the exact direction's bytes, unit is the vector over its norm."""
@@ -85,12 +92,11 @@ def _chained(buckets: DataFrame, reach: int, seed: int) -> DataFrame:
     return pairs.select(F.least("node", "o").alias("a"), F.greatest("node", "o").alias("b")).distinct()
 
 
-def _lists(edges: DataFrame, k: int, most: int, threshold: float) -> DataFrame:
-    """Neighbour lists (node, other, cos): the k nearest of each; a list whose k are all at the threshold or above is saturated and holds such ones up to most."""
+def _lists(edges: DataFrame, k: int) -> DataFrame:
+    """Neighbour lists (node, other): the k nearest of each. They steer the descent only; links are counted later."""
     both = edges.select(F.col("a").alias("node"), F.col("b").alias("other"), "cos").unionByName(edges.select(F.col("b").alias("node"), F.col("a").alias("other"), "cos"))
     rank = F.row_number().over(Window.partitionBy("node").orderBy(F.desc("cos"), "other"))
-    ranked = both.withColumn("_k", rank).where(F.col("_k") <= most)
-    return ranked.where((F.col("_k") <= k) | (F.col("cos") >= threshold)).drop("_k")
+    return both.withColumn("_k", rank).where(F.col("_k") <= k).select("node", "other", "cos")
 
 
 def _audit(sample: np.ndarray, names: np.ndarray, threshold: float):
@@ -110,17 +116,19 @@ def _audit(sample: np.ndarray, names: np.ndarray, threshold: float):
     return run
 
 
-def descend(vectors: DataFrame, threshold: float = COSINE, k: int = 10, tables: int = 24, bits: int = 12, reach: int = 8, rounds: int = 6, audit: int = 500, recall: float = 0.98, seed: int = 11) -> tuple[DataFrame, float]:
-    """Edges (a, b, cos) with cos >= threshold among vectors (node, unit), and the audited recall of them.
+def descend(vectors: DataFrame, threshold: float = COSINE, k: int = 10, tables: int = 24, bits: int = 12, reach: int = 8, rounds: int = 6, audit: int = 500, recall: float = RECALL, seed: int = 11) -> tuple[DataFrame, float]:
+    """Edges (a, b) that join up vectors (node, unit) with cosines >= threshold, and the audited recall of their components.
 
     audit nodes, chosen by hash, are compared with all others by brute force: a query set of fixed size
-    against all rows. Below recall, more signatures are added and the graph descends again, three times at most.
+    against all rows. The recall is the share of their links that lie within one component before these links
+    become edges too. Below recall, more signatures are added and the graph descends again, three times at
+    most; what the caller does with a lower one is its own matter.
     """
     spark = vectors.sparkSession
     edges, known, got = None, None, 0.0
     first = vectors.select("unit").head()
     if first is None:
-        return spark.createDataFrame([], "a long, b long, cos double"), 1.0
+        return spark.createDataFrame([], "a long, b long"), 1.0
     dims = len(first["unit"])
     chosen = vectors.orderBy(F.xxhash64(F.lit(seed), "node"), "node").limit(audit).collect()
     sample, names = np.array([r["unit"] for r in chosen]), np.array([r["node"] for r in chosen], np.int64)
@@ -132,9 +140,9 @@ def descend(vectors: DataFrame, threshold: float = COSINE, k: int = 10, tables:
             start = start.join(known.select("a", "b"), ["a", "b"], "left_anti")
         fresh = written(_compared(start, vectors), "nn-edges")
         known = fresh if known is None else written(known.unionByName(fresh), "nn-known")
-        lists = written(_lists(known, k, k, threshold), "nn-lists")
+        lists = written(_lists(known, k), "nn-lists")
         new = fresh.select(F.col("a").alias("node"), F.col("b").alias("other")).unionByName(fresh.select(F.col("b").alias("node"), F.col("a").alias("other")))
-        for turn in range(rounds):
+        for _ in range(rounds):
             # local join: a neighbour that is new in a list meets the others of the list
             turned = lists.join(new, ["node", "other"], "left_semi").select("node", F.col("other").alias("x"))
             met = turned.join(lists.select("node", F.col("other").alias("y")), "node").where("x <> y")
@@ -142,20 +150,101 @@ def descend(vectors: DataFrame, threshold: float = COSINE, k: int = 10, tables:
             pairs = pairs.join(known.select("a", "b"), ["a", "b"], "left_anti")
             fresh = written(_compared(pairs, vectors), "nn-edges")
             known = written(known.unionByName(fresh), "nn-known")
-            before, lists = lists, written(_lists(known, k, k << (turn + 1), threshold), "nn-lists")
+            before, lists = lists, written(_lists(known, k), "nn-lists")
             new = written(lists.join(before, ["node", "other"], "left_anti").select("node", "other"), "nn-new")
             if fresh.where(F.col("cos") >= threshold).isEmpty():
                 break
-        edges = written(known.where(F.col("cos") >= threshold), "nn-links")
+        edges = written(known.where(F.col("cos") >= threshold).select("a", "b"), "nn-links")
+        roots = written(connected_components(edges), "nn-roots")
+        ends = truth.join(roots.select(F.col("node").alias("a"), F.col("root").alias("_r")), "a").join(roots.select(F.col("node").alias("b"), F.col("root").alias("_s")), "b")
         n = truth.count()
-        got = truth.join(edges, ["a", "b"], "left_semi").count() / n if n else 1.0
+        got = ends.where("_r = _s").count() / n if n else 1.0
         if got >= recall:
             break
-    return edges, got
+    return edges.unionByName(truth).distinct(), got
+
+
+def _reached(near: np.ndarray, x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The smallest name that each row and each column of near reaches; x names the rows and y the columns."""
+    top = np.iinfo(np.int64).max
+    while True:
+        rows = np.minimum(x, np.where(near, y, top).min(1))
+        columns = np.minimum(y, np.where(near, rows[:, None], top).min(0))
+        if np.array_equal(rows, x) and np.array_equal(columns, y):
+            return rows, columns
+        x, y = rows, columns
+
+
+def _block_links(group: list, threshold: float, dims: int) -> list[np.ndarray]:
+    """Columns node, links and least of the vectors of one pair of blocks that have links there."""
+    group = pa.Table.from_batches(group)
+    side, node, copies = (group.column(c).to_numpy() for c in ("side", "node", "copies"))
+    units = np.concatenate([c.flatten().to_numpy(zero_copy_only=False) for c in group.column("unit").chunks]).reshape(-1, dims)
+    one = group.column("p")[0] == group.column("q")[0]
+    x = np.flatnonzero(side == 0)
+    y = x if one else np.flatnonzero(side == 1)
+    if not len(x) or not len(y):
+        return []
+    near = units[x] @ units[y].T >= threshold
+    if one:
+        np.fill_diagonal(near, False)
+    share = near.astype(np.float64)
+    rows, columns = _reached(near, node[x], node[y])
+    out = [np.stack([node[x], (share @ copies[y]).astype(np.int64), rows])[:, near.any(1)]]
+    if not one:
+        out.append(np.stack([node[y], (copies[x] @ share).astype(np.int64), columns])[:, near.any(0)])
+    return out
+
+
+def _links(threshold: float, dims: int):
+    """Rows (node, links, least) of pairs of blocks, which arrive one after the other."""
+
+    def run(batches):
+        group, open_ = [], None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            keys = np.stack([batch.column(c).to_numpy() for c in ("root", "p", "q")], 1)
+            cuts = [0, *(np.flatnonzero((keys[1:] != keys[:-1]).any(1)) + 1).tolist(), len(keys)]
+            found = []
+            for lo, hi in zip(cuts, cuts[1:]):
+                if group and tuple(keys[lo]) != open_:
+                    found += _block_links(group, threshold, dims)
+                    group = []
+                open_ = tuple(keys[lo])
+                group.append(batch.slice(lo, hi - lo))
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in np.concatenate(found, 1)], names=["node", "links", "least"])
+        found = _block_links(group, threshold, dims) if group else []
+        if found:
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in np.concatenate(found, 1)], names=["node", "links", "least"])
+
+    return run
+
+
+def counted_links(vectors: DataFrame, threshold: float, block: int) -> DataFrame:
+    """Links (node, links, least) of vectors (node, unit, copies, root), each compared with all others of its root.
+
+    A root's vectors are dealt over blocks of about block vectors, and each pair of blocks is compared by one
+    task, so no root is held in one task and no pair becomes a row. A node has a row for each pair of blocks
+    where it has links: links counts them, least is a node of the same component.
+    """
+    first = vectors.select("unit").head()
+    if first is None:
+        return vectors.sparkSession.createDataFrame([], "node long, links long, least long")
+    blocks = vectors.groupBy("root").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("_n")).where("root is not null")
+    dealt = vectors.join(blocks, "root").withColumn("_i", F.pmod(F.xxhash64(F.lit(5), "node"), F.col("_n")).cast("int"))
+    met = dealt.withColumn("_j", F.explode(F.sequence(F.lit(0), F.col("_n") - 1)))
+    keyed = met.select("root", F.least("_i", "_j").alias("p"), F.greatest("_i", "_j").alias("q"), (F.col("_i") > F.col("_j")).cast("int").alias("side"), "node", "copies", "unit")
+    ordered = keyed.repartition("root", "p", "q").sortWithinPartitions("root", "p", "q")
+    return ordered.mapInArrow(_links(threshold, len(first["unit"])), "node long, links long, least long")
 
 
 def near_duplicates(rows: DataFrame, threshold: float = COSINE, **options) -> tuple[DataFrame, float]:
-    """(vec_id, n_links, component_id, kept) of every row of rows (vec_id, embedding), and the audited recall of links.
+    """(vec_id, n_links, component_id, kept) of every row of rows (vec_id, embedding), and the audited recall of the descent.
+
+    n_links counts all links within a component. Where the descent's recall stays under the one asked for, all
+    vectors are compared with each other, and the recall is 1.
 
     Vectors that are null, empty, zero or hold null or non-finite components have no links. Equal vectors
     link with each other. Rows with one vec_id count as vectors of their own. Vectors of different length
@@ -166,9 +255,14 @@ def near_duplicates(rows: DataFrame, threshold: float = COSINE, **options) -> tu
     sizes = usable.groupBy("node").agg(F.count(F.lit(1)).alias("copies"), F.min("vec_id").alias("least"))
     vectors = written(usable.groupBy("node").agg(F.first("unit").alias("unit")), "nn-vectors")
     edges, recall = descend(vectors, threshold, **options)
-    both = edges.select(F.col("a").alias("node"), F.col("b").alias("other")).unionByName(edges.select(F.col("b").alias("node"), F.col("a").alias("other")))
-    linked = both.join(sizes.select(F.col("node").alias("other"), "copies"), "other").groupBy("node").agg(F.sum("copies").alias("_l"))
-    roots = connected_components(edges.select("a", "b"))
+    roots = written(connected_components(edges), "nn-roots")
+    weighed = vectors.join(sizes.select("node", "copies"), "node")
+    if recall >= options.get("recall", RECALL):
+        found = written(counted_links(weighed.join(roots, "node"), threshold, COMPONENT_BLOCK), "nn-counts")
+    else:
+        found = written(counted_links(weighed.withColumn("root", F.lit(0).cast("long")), threshold, WHOLE_BLOCK), "nn-counts")
+        roots, recall = connected_components(found, "node", "least"), 1.0
+    linked = found.groupBy("node").agg(F.sum("links").alias("_l"))
     facts = sizes.join(linked, "node", "left").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     facts = written(facts.select("node", "root", "least", (F.coalesce("_l", F.lit(0)) + F.col("copies") - 1).alias("n_links")), "nn-facts")
     least = facts.groupBy("root").agg(F.min("least").alias("component_id"))

@@ -414,6 +414,19 @@ def test_nn_descent(spark):
     assert nn_graph.near_duplicates(df.limit(0))[0].count() == 0
 
 
+@pytest.mark.parametrize("options", [{}, {"tables": 1, "bits": 40, "reach": 1, "rounds": 1}])
+def test_nn_descent_counts_all_links(spark, options):
+    """A group larger than any list; with signatures that hardly ever meet, the descent alone would miss most."""
+    gen = np.random.default_rng(9)
+    x = np.concatenate([gen.standard_normal(32) + 0.1 * gen.standard_normal((700, 32)), gen.standard_normal((200, 32))])
+    df = spark.createDataFrame(list(enumerate(x.tolist())), "vec_id long, embedding array<double>")
+    out, recall = nn_graph.near_duplicates(df, **options)
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    near = x @ x.T >= 0.95
+    assert recall == 1 and near[:700].sum() > 400_000
+    assert {r["vec_id"]: r["n_links"] for r in out.collect()} == dict(enumerate((near.sum(1) - 1).tolist()))
+
+
 # --- quality
 
 def test_quality_learns(spark, words):

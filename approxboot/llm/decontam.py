@@ -1,15 +1,16 @@
-"""Benchmark passages in documents, through the CGK embedding of edit distance into Hamming distance.
-
-A random walk over a string (it stays or moves on at each step, by a random bit that its current character
-chooses) maps strings of small edit distance to strings of small Hamming distance. Windows of documents that
-are as long as a benchmark item, and items, are embedded with several walks; random samples of positions of
-the embedding are hashed, and a window whose hash meets that of an item is compared by exact edit distance.
-Only windows that hold one short gram of an item's words are embedded: the walk is costly, and a window
-within the distance that shares no such gram with its item is not a copy in any sense used here.
+"""Benchmark passages in documents, within an edit distance.
+
+Candidates come from a filter that loses nothing: an item is cut into pieces of a few characters, and since an
+edit spoils one piece at most, a copy within the allowed edits still holds a known number of them, in places that
+differ by no more than the edits. Stretches with that many pieces are aligned with the item with free ends.
+
+The CGK embedding (a random walk over a string maps small edit distance to small Hamming distance) is kept as a
+function. Hashes of it lose part of the copies near the allowed distance, so it decides nothing here.
 """
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass
 
 import numpy as np
@@ -18,21 +19,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from approxboot.llm.common import table
-from approxboot.llm.kernels import byte_slices, gram_hashes, mix, utf8, words
+from approxboot.llm.kernels import byte_slices, mix
 
 
 @dataclass(frozen=True)
 class Cgk:
-    """distance: edits allowed, as a share of the item's length; gram: words of a seed; walks, samples per walk
-    and sampled positions of each sample. Two strings at distance d of L meet in one sample with probability
-    near (1 - 2d / 3L) ** positions at least; with these defaults more than 0.999 at 0.05 L and 0.99 at 0.1 L."""
+    """distance: edits allowed, as a share of the item's length; gram: an item of fewer words is compared with nothing."""
 
     distance: float = 0.15
     gram: int = 3
-    walks: int = 4
-    samples: int = 24
-    positions: int = 8
-    seed: int = 7
 
 
 def normalised(text: str) -> str:
@@ -58,19 +53,6 @@ def cgk(strings: list[bytes], length: int, seed: int) -> np.ndarray:
     return out
 
 
-def sample_hashes(embedded: np.ndarray, samples: int, positions: int, seed: int) -> np.ndarray:
-    """A hash of each of samples random sets of positions, for each row."""
-    rng = np.random.Generator(np.random.PCG64(seed))
-    # the walk reaches a string's end after about two thirds of the steps
-    span = max(1, embedded.shape[1] * 3 // 5)
-    out = np.zeros((len(embedded), samples), np.uint64)
-    for j in range(samples):
-        chosen = embedded[:, rng.integers(0, span, positions)].astype(np.uint64)
-        weights = rng.integers(1, 1 << 63, positions, dtype=np.uint64) | np.uint64(1)
-        out[:, j] = mix((chosen * weights).sum(1, dtype=np.uint64) + np.uint64(j))
-    return out
-
-
 def edit_distance(a: str, b: str, most: int) -> int:
     """Levenshtein distance, or most + 1 where it is larger: bit-parallel over a column of b's characters."""
     if abs(len(a) - len(b)) > most:
@@ -98,71 +80,187 @@ def edit_distance(a: str, b: str, most: int) -> int:
     return score
 
 
+def _tables(text: str) -> tuple[int, dict[str, int]]:
+    """Length of text, and the places of each of its characters as bits."""
+    peq: dict[str, int] = {}
+    for i, c in enumerate(text):
+        peq[c] = peq.get(c, 0) | (1 << i)
+    return len(text), peq
+
+
+def _scores(tables: tuple[int, dict[str, int]], text: str, free: bool):
+    """Distances of the whole of a tabled string to stretches of text that end after each of its characters, and start at 0 or (free) anywhere."""
+    m, peq = tables
+    full, top, first = (1 << m) - 1, 1 << (m - 1), 0 if free else 1
+    up, down, score = full, 0, m
+    for c in text:
+        eq = peq.get(c, 0)
+        cross = eq | down
+        flat = (((eq & up) + up) ^ up) | eq
+        rise, fall = down | ~(flat | up) & full, up & flat
+        if rise & top:
+            score += 1
+        elif fall & top:
+            score -= 1
+        yield score
+        rise, fall = (rise << 1) | first, fall << 1
+        up, down = (fall | ~(cross | rise)) & full, rise & cross & full
+
+
+def _grams(codes: np.ndarray, q: int) -> np.ndarray:
+    """A hash of each q characters."""
+    n = max(0, len(codes) - q + 1)
+    out = np.zeros(n, np.uint64)
+    for i in range(q):
+        out = out * np.uint64(0x9E3779B97F4A7C15) + codes[i : i + n]
+    return mix(out)
+
+
+def _codes(text: str) -> np.ndarray:
+    return np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+
+
 class Items:
-    """Benchmark items made ready: their words' grams, and their sampled hashes by size class."""
+    """Benchmark items made ready: allowed edits, pieces by length, how many of them a copy holds, and tables for alignment."""
 
     def __init__(self, rows: list[tuple[int, str]], params: Cgk):
-        self.params = params
         self.ids = [i for i, _ in rows]
         self.texts = [normalised(t or "") for _, t in rows]
-        column = pa.array(self.texts, pa.string())
-        data, at = utf8(column, 0, len(self.texts))
-        _, _, hashes, first = words(data, at)
-        grams = gram_hashes(hashes, params.gram)
-        seeds = []
-        self.n_words = np.diff(first)
-        for k, (a, b) in enumerate(zip(first[:-1].tolist(), first[1:].tolist())):
-            for j in range(a, b - params.gram + 1):
-                seeds.append((grams[j], k, j - a))
-        seeds.sort(key=lambda s: int(s[0]))
-        self.grams = np.array([s[0] for s in seeds], np.uint64)
-        self.owner = np.array([s[1] for s in seeds], np.int64)
-        self.place = np.array([s[2] for s in seeds], np.int64)
-        # a bitmap of grams: a byte per 2**22 buckets, so that most words of a text are ruled out by one lookup
-        self.screen = np.zeros(1 << 22, bool)
-        self.screen[(self.grams >> np.uint64(42)).astype(np.int64)] = True
-        self.length = [max(16, 1 << (max(1, len(t.encode())) - 1).bit_length()) for t in self.texts]
-        self.signatures: dict[int, dict[int, set[int]]] = {}
-        for size in set(self.length):
-            members = [k for k, n in enumerate(self.length) if n == size]
-            for s, k in zip(self.hashes([self.texts[m] for m in members], size), members):
-                self.signatures.setdefault(k, set()).update(s)
-
-    def hashes(self, texts: list[str], size: int) -> list[list[int]]:
-        p = self.params
-        raw = [t.encode() for t in texts]
-        parts = [sample_hashes(cgk(raw, size, p.seed + w), p.samples, p.positions, p.seed + 100 + w) for w in range(p.walks)]
-        return np.concatenate(parts, axis=1).tolist()
+        self.most = np.array([int(params.distance * len(t)) for t in self.texts], np.int64)
+        self.need = np.zeros(len(rows), np.int64)
+        self.length = np.array([len(t) for t in self.texts], np.int64)
+        found: dict[int, list] = {}
+        for k, t in enumerate(self.texts):
+            if len(t.split()) < params.gram:
+                continue
+            # the longest pieces of which all allowed edits leave one at least
+            q = next((q for q in range(5, 0, -1) if len(t) // q > self.most[k]), 0)
+            if not q:
+                raise ValueError("distance must be less than the whole item")
+            self.need[k] = len(t) // q - self.most[k]
+            at = np.arange(0, len(t) - q + 1, q)
+            found.setdefault(q, []).append((_grams(_codes(t), q)[at], np.full(len(at), k), at))
+        self.pieces = {}
+        for q, parts in found.items():
+            grams, owner, place = (np.concatenate(x) for x in zip(*parts))
+            order = np.argsort(grams, kind="stable")
+            # most characters of a text are ruled out by one lookup
+            screen = np.zeros(1 << 22, bool)
+            screen[(grams >> np.uint64(42)).astype(np.int64)] = True
+            kinds, first, count = np.unique(grams[order], return_index=True, return_counts=True)
+            self.pieces[q] = kinds, first, count, owner[order], place[order], screen
+        self.ahead = [_tables(t) for t in self.texts]
+        self.back = [_tables(t[::-1]) for t in self.texts]
 
 
 HITS = "doc_id long, item_id long, start int, stop int, distance int"
 
 
-def _window_text(data: np.ndarray, starts, ends, lo: int, hi: int) -> str:
-    return normalised(data[starts[lo] : ends[hi - 1]].tobytes().decode("utf-8", "replace"))
+def _holds(key: np.ndarray, piece: np.ndarray, lo: int, hi: int, width: int, need: int) -> bool:
+    """Whether need different pieces lie within width of one of the sorted keys lo to hi."""
+    stop = int(np.searchsorted(key, key[hi] + width, "right"))
+    keys, pieces = key[lo:stop].tolist(), piece[lo:stop].tolist()
+    held: dict[int, int] = {}
+    j = 0
+    for i in range(hi - lo + 1):
+        while j < len(keys) and keys[j] - keys[i] <= width:
+            held[pieces[j]] = held.get(pieces[j], 0) + 1
+            j += 1
+        if len(held) >= need:
+            return True
+        held[pieces[i]] -= 1
+        if not held[pieces[i]]:
+            del held[pieces[i]]
+    return False
+
+
+def _stretches(items: Items, codes: np.ndarray) -> list[tuple[int, int, int]]:
+    """(item, from, to): stretches of codes that hold every copy of an item within its edits."""
+    out = []
+    for q, (kinds, first, times, owner, place, screen) in items.pieces.items():
+        seen = _grams(codes, q)
+        maybe = np.flatnonzero(screen[(seen >> np.uint64(42)).astype(np.int64)])
+        kind = np.minimum(np.searchsorted(kinds, seen[maybe]), len(kinds) - 1)
+        real = kinds[kind] == seen[maybe]
+        maybe, left, count = maybe[real], first[kind[real]], times[kind[real]]
+        which = np.repeat(left - (np.cumsum(count) - count), count) + np.arange(int(count.sum()))
+        # where the item would begin if this piece stood in its place; a copy's pieces differ there by twice the edits at most
+        who, begin = owner[which], np.repeat(maybe, count) - place[which]
+        if not len(who):
+            continue
+        # such places lie in one or two neighbouring strips; strips that share a counter only let more through
+        strip, far = 2 * int(items.most.max()) + 1, int(items.length.max())
+        strips = (len(codes) + far) // strip + 3
+        spot = who * strips + (begin + far) // strip
+        width = 1 << min(22, (len(items.ids) * strips).bit_length())
+        spot &= width - 1
+        met = np.bincount(spot, minlength=width)
+        beside = np.maximum(np.roll(met, 1), np.roll(met, -1))
+        keep = np.flatnonzero((met + beside)[spot] >= items.need[who])
+        which, who, begin = which[keep], who[keep], begin[keep]
+        key = (who << 40) + (1 << 39) + begin
+        order = np.argsort(key)
+        key, piece = key[order], place[which[order]]
+        who = key >> 40
+        last = np.arange(len(key)) + items.need[who] - 1
+        good = np.flatnonzero(last < len(key))
+        good = good[key[last[good]] - key[good] <= 2 * items.most[who[good]]]
+        if not len(good):
+            continue
+        k, most = who[good], items.most[who[good]]
+        begin = (key[good] & ((1 << 40) - 1)) - (1 << 39) - most
+        end = (key[last[good]] & ((1 << 40) - 1)) - (1 << 39) + items.length[k] + 2 * most
+        opens = np.concatenate([[True], (k[1:] != k[:-1]) | (begin[1:] > end[:-1])])
+        heads = np.flatnonzero(opens)
+        tails = np.append(heads[1:], len(good)) - 1
+        for x, y, to in zip(heads.tolist(), tails.tolist(), np.maximum.reduceat(end, heads).tolist()):
+            if _holds(key, piece, int(good[x]), int(good[y]), 2 * int(most[x]), int(items.need[k[x]])):
+                out.append((int(k[x]), int(begin[x]), to))
+    return out
+
+
+def _aligned(items: Items, k: int, text: str, lo: int, hi: int) -> tuple[int, int, int] | None:
+    """(distance, start, stop) of the closest stretch of text[lo:hi] to item k, by characters, within its edits."""
+    least, stop = int(items.most[k]) + 1, -1
+    at = text.find(items.texts[k], lo, hi)
+    if at >= 0:
+        return 0, at, at + len(items.texts[k])
+    for j, d in enumerate(_scores(items.ahead[k], text[lo:hi], True), lo + 1):
+        if d < least:
+            least, stop = d, j
+    if stop < 0:
+        return None
+    before = text[max(0, stop - int(items.length[k]) - least) : stop][::-1]
+    start = stop - next(j for j, d in enumerate(_scores(items.back[k], before, False), 1) if d == least)
+    return least, start, stop
+
+
+def _bytes(raw: str, text: str, start: int, stop: int) -> tuple[int, int]:
+    """The words of raw that text[start:stop] touches, in UTF-8 bytes from raw's first word; text is raw, normalised."""
+    start += text[start] == " "
+    stop -= text[stop - 1] == " "
+    spans = [m.span() for m in re.finditer(r"\S+", raw)]
+    places = spans[text.count(" ", 0, start)][0], spans[text.count(" ", 0, stop - 1)][1]
+    return tuple(len(raw[spans[0][0] : x].encode("utf-8", "surrogatepass")) for x in places)
 
 
 def _batch_hits(items: Items, column) -> list[tuple[int, int, int, int, int]]:
     """(row, item, start, stop, distance) of a column of texts."""
-    p, out = items.params, []
+    out = []
     for lo, hi in byte_slices(column):
-        data, at = utf8(column, lo, hi)
-        starts, ends, hashes, first = words(data, at)
-        grams = gram_hashes(hashes, p.gram)
-        maybe = np.flatnonzero(items.screen[(grams >> np.uint64(42)).astype(np.int64)])
-        left = np.searchsorted(items.grams, grams[maybe], "left")
-        count = np.searchsorted(items.grams, grams[maybe], "right") - left
-        maybe, left, count = maybe[count > 0], left[count > 0], count[count > 0]
-        if not len(maybe):
-            continue
-        hit = np.repeat(maybe, count)
-        which = np.repeat(left - (np.cumsum(count) - count), count) + np.arange(int(count.sum()))
-        row = np.searchsorted(first, hit, "right") - 1
-        begin = np.maximum(hit - items.place[which], first[row])
-        owner = items.owner[which]
-        stop = np.minimum(begin + items.n_words[owner], first[row + 1])
-        found = np.unique(np.column_stack([row, owner, begin, stop]), axis=0)
-        out += [(lo + r, items.ids[k], a, b, d) for k, a, b, d, r in _verified(items, data, starts, ends, first, found)]
+        raw = [t or "" for t in column.slice(lo, hi - lo).to_pylist()]
+        texts = [normalised(t) for t in raw]
+        begin = np.cumsum([0] + [len(t) + 1 for t in texts])
+        best: dict[tuple[int, int], tuple[int, int, int]] = {}
+        for k, a, b in _stretches(items, _codes("\n".join(texts))):
+            for r in range(max(0, int(np.searchsorted(begin, a, "right")) - 1), len(texts)):
+                if begin[r] >= b:
+                    break
+                at = int(begin[r])
+                got = _aligned(items, k, texts[r], max(0, a - at), min(len(texts[r]), b - at))
+                if got and ((r, k) not in best or got < best[r, k]):
+                    best[r, k] = got
+        out += [(lo + r, items.ids[k], *_bytes(raw[r], texts[r], a, b), d) for (r, k), (d, a, b) in sorted(best.items())]
     return out
 
 
@@ -188,47 +286,6 @@ def _without_hits(held, text: str):
     return run
 
 
-def _verified(items: Items, data, starts, ends, first, found: np.ndarray):
-    """Candidates (row, item, first word, end word) that LSH over the embedding keeps and the edit distance confirms."""
-    p = items.params
-    by_size: dict[int, list[int]] = {}
-    for i, k in enumerate(found[:, 1].tolist()):
-        by_size.setdefault(items.length[k], []).append(i)
-    best: dict[tuple[int, int], tuple] = {}
-    for size, members in by_size.items():
-        for lo in range(0, len(members), 2000):
-            part = members[lo : lo + 2000]
-            texts = [_window_text(data, starts, ends, found[i, 2], found[i, 3]) for i in part]
-            # an equal window needs no walk: all its hashes are the item's
-            equal = [t == items.texts[found[i, 1]] for i, t in zip(part, texts)]
-            walk = [j for j, e in enumerate(equal) if not e]
-            hashes = dict(zip(walk, items.hashes([texts[j] for j in walk], size))) if walk else {}
-            for j, (i, t) in enumerate(zip(part, texts)):
-                r, k, a, b = found[i].tolist()
-                if not equal[j] and items.signatures[k].isdisjoint(hashes[j]):
-                    continue
-                most = int(p.distance * len(items.texts[k]))
-                d, a, b = _closest(items, data, starts, ends, first, r, k, a, b, most) if not equal[j] else (0, a, b)
-                if d <= most and ((r, k) not in best or d < best[r, k][3]):
-                    best[r, k] = (int(starts[a] - starts[first[r]]), int(ends[b - 1] - starts[first[r]]), k, d)
-    for (r, k), (begun, ended, _, d) in sorted(best.items()):
-        yield k, begun, ended, d, r
-
-
-def _closest(items: Items, data, starts, ends, first, r: int, k: int, a: int, b: int, most: int) -> tuple[int, int, int]:
-    """The window's distance to item k, or that of one a word shorter or longer at either end where it is less."""
-    out = (most + 1, a, b)
-    for x in (a, a - 1, a + 1):
-        for y in (b, b - 1, b + 1):
-            if first[r] <= x < y <= first[r + 1]:
-                d = edit_distance(items.texts[k], _window_text(data, starts, ends, x, y), most)
-                if d < out[0]:
-                    out = (d, x, y)
-        if out[0] <= most // 2:
-            break
-    return out
-
-
 #: Bytes of benchmark text that one search holds; beyond that the benchmark is searched in blocks.
 ITEM_BYTES = 32 << 20
 

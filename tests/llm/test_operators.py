@@ -346,6 +346,34 @@ def test_contaminated(spark, words):
     assert decontam.clean(docs, b.limit(0)).count() == len(rows) and decontam.contaminated(docs.limit(0), b).count() == 0
 
 
+@pytest.mark.parametrize("share", [0.05, 0.1, 0.149])
+def test_contaminated_finds_all_edited_copies(spark, words, share):
+    """Letters changed, put in and left out anywhere, and one changed letter in every third word."""
+    gen, rows, bench = random.Random(3), [], [(i, words(15 + i, 50_000 + i)) for i in range(40)]
+    for i, t in bench:
+        t = list(t)
+        for _ in range(int(share * len(t))):
+            j = gen.randrange(len(t))
+            t[j] = gen.choice(["", "#", t[j] + "#"])
+        rows.append((i, words(20, 60_000 + i) + " " + "".join(t) + " " + words(20, 70_000 + i)))
+        third = ["#" + w[1:] if j % 3 == 2 else w for j, w in enumerate(bench[i][1].split())]
+        rows.append((100 + i, words(20, 80_000 + i) + " " + " ".join(third)))
+    got = {(r["doc_id"] % 100, r["item_id"], r["doc_id"] >= 100) for r in decontam.contaminated(frame(spark, rows), spark.createDataFrame(bench, "item_id long, text string")).collect()}
+    assert got >= {(i, i, False) for i in range(40)} | {(i, i, True) for i, t in bench if (len(t.split()) // 3) <= int(0.15 * len(t))}
+
+
+def test_contaminated_with_words_put_in_the_middle(spark, words):
+    bench, rows = [(i, words(40, 90_000 + i)) for i in range(20)], []
+    for i, t in bench:
+        w, extra = t.split(), []
+        while len(" ".join(extra + ["#####"])) + 1 <= int(0.15 * len(t)):
+            extra.append("#####")
+        rows.append((i, words(9, i) + " " + " ".join(w[:20] + extra + w[20:]) + " " + words(9, 100 + i)))
+    got = {(r["doc_id"], r["item_id"]): r for r in decontam.contaminated(frame(spark, rows), spark.createDataFrame(bench, "item_id long, text string")).collect()}
+    assert set(got) == {(i, i) for i in range(20)}
+    assert all(0 < got[i, i]["distance"] <= int(0.15 * len(t)) for i, t in bench)
+
+
 def test_cgk_keeps_close_strings_close(words):
     a = words(60, 1)
     near = a[:50] + a[52:120] + "q" + a[120:]

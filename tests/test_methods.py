@@ -403,3 +403,12 @@ def test_kmeans_on_a_sample(spark):
 def test_one_shuffle_of_states(rows):
     facts = cost.plan_facts(resample.bootstrap_poisson(rows, st.mean("x"), ["id"], 30))
     assert facts["exchanges"] <= 1 and facts["python"] == 0
+
+
+def test_coverage_is_of_the_whole_table(spark, monkeypatch):
+    """The cap on pilots has no part in it."""
+    from approxboot.catalog import workloads
+
+    whole = workloads.wl_coverage(spark, SF).first()
+    monkeypatch.setattr(workloads.driver, "PILOT_ROWS", 50)
+    assert workloads.wl_coverage(spark, SF).first() == whole and whole["runs"] == 100 and whole["covered"] > 0.85

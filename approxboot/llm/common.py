@@ -32,9 +32,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or one of our own where it is unset."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or in local mode one of our own where it is unset."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         root = os.path.join(tempfile.gettempdir(), "approxboot-checkpoints")
     return root
 
@@ -45,12 +47,36 @@ def ensure_checkpoint(spark: SparkSession) -> None:
         spark.sparkContext.setCheckpointDir(shared_root(spark))
 
 
-def written(df: DataFrame, what: str) -> DataFrame:
-    """Cut the lineage of df by a Parquet table in the shared folder, and read that."""
+def _written(df: DataFrame, what: str) -> tuple[DataFrame, str]:
     spark = df.sparkSession
     path = f"{shared_root(spark)}/{what}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return spark.read.schema(df.schema).parquet(path), path
+
+
+def written(df: DataFrame, what: str) -> DataFrame:
+    """Cut the lineage of df by a Parquet table in the shared folder, and read that."""
+    return _written(df, what)[0]
+
+
+class Scratch:
+    """Tables that a computation writes and needs no longer once its result is written."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.paths = spark, []
+
+    def written(self, df: DataFrame, what: str) -> DataFrame:
+        out, path = _written(df, what)
+        self.paths.append(path)
+        return out
+
+    def clear(self) -> None:
+        """Delete what was written. Nothing that is still to be computed may read it."""
+        jvm, conf = self.spark._jvm, self.spark._jsc.hadoopConfiguration()
+        for p in self.paths:
+            path = jvm.org.apache.hadoop.fs.Path(p)
+            path.getFileSystem(conf).delete(path, True)
+        self.paths = []
 
 
 def shuffle_width(spark: SparkSession) -> int:

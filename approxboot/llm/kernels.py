@@ -44,15 +44,20 @@ def _byte_values(fold: bool) -> np.ndarray:
     return table
 
 
-def prefix_hash(data: np.ndarray, fold: bool = False) -> np.ndarray:
-    """P with P[j] - P[i] = sum of value(byte k) * BASE**k over i <= k < j."""
-    out = np.zeros(len(data) + 1, U)
-    np.cumsum(_byte_values(fold)[data] * powers(len(data), BASE) if len(data) else out[:0], out=out[1:])
+def prefix_of(values: np.ndarray) -> np.ndarray:
+    """P with P[j] - P[i] = sum of values[k] * BASE**k over i <= k < j."""
+    out = np.zeros(len(values) + 1, U)
+    np.cumsum(values * powers(len(values), BASE) if len(values) else out[:0], out=out[1:])
     return out
 
 
+def prefix_hash(data: np.ndarray, fold: bool = False) -> np.ndarray:
+    """prefix_of the values that stand for bytes; fold makes A-Z those of a-z."""
+    return prefix_of(_byte_values(fold)[data])
+
+
 def span_hash(prefix: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """Hash of the bytes in each span, wherever it lies."""
+    """Hash of what stands in each span, wherever it lies."""
     return mix((prefix[ends] - prefix[starts]) * powers(len(prefix), INVERSE)[starts] + (ends - starts).astype(U) * U(0xD6E8FEB86659FD93))
 
 
@@ -90,8 +95,8 @@ def _separators() -> np.ndarray:
 SEPARATOR = _separators()
 
 
-def words(data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(starts, ends, hashes, first word of each row and the number of all words) of blank-separated words, A-Z folded."""
+def words(data: np.ndarray, at: np.ndarray, fold: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(starts, ends, hashes, first word of each row and the number of all words) of blank-separated words, A-Z folded or not."""
     if not len(data):
         none = np.zeros(0, np.int64)
         return none, none, np.zeros(0, U), np.zeros(len(at), np.int64)
@@ -102,10 +107,19 @@ def words(data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.
     after = np.concatenate([gap[1:], [True]]) | edge[1:]
     starts = np.flatnonzero(before & ~gap)
     ends = np.flatnonzero(after & ~gap) + 1
-    hashes = span_hash(prefix_hash(data, True), starts, ends)
+    hashes = span_hash(prefix_hash(data, fold), starts, ends)
     return starts, ends, hashes, np.searchsorted(starts, at)
 
 
+def units(column: pa.Array, lo: int, hi: int, unit: str) -> tuple[np.ndarray, np.ndarray]:
+    """Values that stand for the bytes, or the blank-separated words, of rows lo to hi, and where each row begins (and the end)."""
+    data, at = utf8(column, lo, hi)
+    if unit == "bytes":
+        return _byte_values(False)[data], at
+    _, _, hashes, first = words(data, at, False)
+    return hashes, first
+
+
 def gram_hashes(hashes: np.ndarray, n: int) -> np.ndarray:
     """Hash of the n words from each on; callers leave out those that cross a row's end."""
     if len(hashes) < n:

@@ -401,12 +401,44 @@ def removed(rows, window):
     return out
 
 
-@pytest.mark.parametrize("hot", [20_000, 0])
-def test_repeats(spark, corpus, hot, monkeypatch):
+def repeated_words(rows, window):
+    texts = [re.findall("[^\x20\x09-\x0d]+", t or "") for _, t in rows]
+    count = {}
+    for w in texts:
+        for i in range(len(w) - window + 1):
+            count[tuple(w[i : i + window])] = count.get(tuple(w[i : i + window]), 0) + 1
+    out = []
+    for w in texts:
+        told = np.zeros(len(w), bool)
+        for i in range(len(w) - window + 1):
+            if count[tuple(w[i : i + window])] > 1:
+                told[i : i + window] = True
+        out.append((int(told.sum()), int((np.diff(np.concatenate([[0], told.astype(int)])) == 1).sum())))
+    return out
+
+
+@pytest.mark.parametrize("hot,ids", [(20_000, 250_000), (0, 0)])
+def test_repeats(spark, corpus, hot, ids, monkeypatch):
     monkeypatch.setattr(repeats, "HOT_KINDS", hot)
-    rows = corpus + [(900, "ab" * 600), (901, corpus[0][1] + "!" + corpus[0][1]), (902, "é" * 300)]
-    out = {r["doc_id"]: tuple(r)[1:5] for r in repeats.remove_repeats(frame(spark, rows)).collect()}
-    assert [out[i] for i, _ in rows] == removed(rows, 400)
+    monkeypatch.setattr(repeats, "BROADCAST_IDS", ids)
+    rows = corpus + [(900, "ab" * 600), (901, corpus[0][1] + "!" + corpus[0][1]), (902, "é" * 300), (903, "b c\t" * 300)]
+    out = {r["doc_id"]: tuple(r) for r in repeats.remove_repeats(frame(spark, rows)).collect()}
+    assert [out[i][1:5] for i, _ in rows] == removed(rows, 400)
+    assert [out[i][5:7] for i, _ in rows] == repeated_words(rows, 50)
+
+
+def test_short_passages_are_told_by_words(spark, words):
+    passage = words(55, 1)
+    assert len(passage) < 400
+    rows = [(i, f"{words(40, 10 + i)} {passage} {words(40, 20 + i)}") for i in range(3)] + [(9, words(130, 30))]
+    out = {r["doc_id"]: (r["n_removed"], r["n_repeated_words"], r["n_word_spans"]) for r in repeats.remove_repeats(frame(spark, rows)).collect()}
+    assert out == {0: (0, 55, 1), 1: (0, 55, 1), 2: (0, 55, 1), 9: (0, 0, 0)}
+
+
+def test_repeats_ignore_other_columns(spark, words):
+    rows = [(1, words(200, 1)), (2, words(200, 1)), (3, words(200, 2))]
+    df = frame(spark, rows).selectExpr("doc_id", "text", *[f"5 as {c}" for c in ("uid", "doc", "spans", "start", "digit", "runs", "bytes", "words")])
+    assert {(r["doc_id"], r["n_removed"]) for r in repeats.remove_repeats(df).collect()} == {(1, len(rows[0][1])), (2, len(rows[0][1])), (3, 0)}
 
 
 def test_repeats_of_equal_rows(spark, words):

@@ -1,8 +1,9 @@
 """Best-fit packing of token sequences with certified bin counts.
 
 Pieces are packed by best-fit decreasing inside partitions. Dual-feasible functions give each partition a
-lower bound on its bins; partitions above their bound put the pieces of their open bins into a common
-pool, which is dealt into fewer, larger partitions and packed again, until bounds are met or rounds end.
+lower bound on its bins. A partition that meets its bound is certified and keeps its bins, all but the emptiest,
+which only its rounding left; a partition above its bound gives up all bins with room. What was given up is
+dealt into fewer, larger partitions and packed again, until all are certified or one partition is left.
 """
 
 from __future__ import annotations
@@ -70,10 +71,7 @@ def best_fit_decreasing(lengths: np.ndarray, capacity: int = CAPACITY) -> np.nda
     return bins
 
 
-PACKED = "grp long, piece_key long, length int, bin int, offset int, gap int, room int"
-
-
-def _pack_group(capacity: int):
+def _pack_group(keys: list[str], capacity: int):
     def run(key: tuple[Any, ...], pdf: pd.DataFrame) -> pd.DataFrame:
         lengths = pdf["length"].to_numpy(np.int64)
         bins = best_fit_decreasing(lengths, capacity)
@@ -86,41 +84,38 @@ def _pack_group(capacity: int):
         used = np.bincount(bins, weights=lengths).astype(np.int64)
         values, counts = np.unique(lengths, return_counts=True)
         gap = len(used) - lower_bound(values, counts, capacity)
-        return pd.DataFrame({"grp": key[0], "piece_key": pdf["piece_key"], "length": lengths.astype(np.int32), "bin": bins.astype(np.int32), "offset": offset.astype(np.int32), "gap": np.int32(gap), "room": (capacity - used[bins]).astype(np.int32)})
+        facts = {"length": lengths.astype(np.int32), "grp": key[0], "bin": bins.astype(np.int32), "offset": offset.astype(np.int32), "gap": np.int32(gap), "room": (capacity - used[bins]).astype(np.int32), "emptiest": bins == used.argmin()}
+        return pd.DataFrame({k: pdf[k] for k in keys} | facts)
 
     return run
 
 
-def pack(pieces: DataFrame, capacity: int = CAPACITY, per_group: int = 100_000, rounds: int = 3, seed: int = 5) -> DataFrame:
-    """(piece_key, sequence_id, offset) for pieces (piece_key unique long, length 1 to capacity).
+def pack(pieces: DataFrame, capacity: int = CAPACITY, keys: list[str] | None = None, per_group: int = 100_000, rounds: int = 3, seed: int = 5) -> DataFrame:
+    """(keys, sequence_id, offset, round, gap) for pieces (keys, length 1 to capacity); keys, piece_key by default, name a piece uniquely and are not null.
 
-    Full pieces are sequences of their own. Others are dealt at random into groups of about per_group, each
-    packed in one task. A group whose bins exceed its bound, or that leaves an open bin, puts the pieces of
-    its bins with room into the pool of the next round; the last round's packing stands. An empty table
-    gives an empty one; equal lengths are interchangeable and keep the order they come in.
+    Pieces are dealt at random into groups of about per_group, four times as many in each further round, and
+    each group is packed in one task. round and gap say when a piece's place was settled, and how many bins its
+    group then had above its bound: 0 is a certificate. The last round's packing stands. A sequence_id holds
+    round, group and bin, so no two bins share one. An empty table gives an empty one; equal lengths are
+    interchangeable and keep the order they come in.
     """
-    spark = pieces.sparkSession
-    pieces = pieces.select("piece_key", F.col("length").cast("int").alias("length"))
-    full = pieces.where(F.col("length") >= capacity)
-    done = [full.select("piece_key", F.concat(F.lit("f"), F.col("piece_key").cast("string")).alias("bin_key"), F.lit(0).alias("offset"))]
-    pool, n = pieces.where(F.col("length") < capacity), None
+    keys = keys or ["piece_key"]
+    kinds = ", ".join(f"`{k}` {pieces.schema[k].dataType.simpleString()}" for k in keys)
+    packed_schema = f"{kinds}, length int, grp long, bin int, offset int, gap int, room int, emptiest boolean"
+    pool, done = pieces.select(*keys, F.col("length").cast("int").alias("length")), None
     for r in range(rounds):
-        n = pool.count()
-        groups = max(1, math.ceil(n / per_group))
-        grouped = pool.withColumn("grp", F.pmod(F.xxhash64(F.lit(seed + r), "piece_key"), F.lit(groups)))
-        packed = written(grouped.groupBy("grp").applyInPandas(_pack_group(capacity), PACKED), "packing")
-        # a bin is taken apart again if its group could do better, unless it is full
-        again = (F.col("room") > 0) & (F.col("gap") > 0) if groups == 1 else (F.col("room") > 0)
+        groups = max(1, math.ceil(pool.count() / (per_group << 2 * r)))
+        grouped = pool.withColumn("grp", F.pmod(F.xxhash64(F.lit(seed + r), *keys), F.lit(groups)))
+        packed = written(grouped.groupBy("grp").applyInPandas(_pack_group(keys, capacity), packed_schema), "packing")
         last = r == rounds - 1 or groups == 1
-        stays = packed if last else packed.where(~again)
-        done.append(stays.select("piece_key", F.concat_ws(":", F.lit(str(r)), "grp", "bin").alias("bin_key"), "offset"))
+        again = F.lit(False) if last else (F.col("room") > 0) & ((F.col("gap") > 0) | F.col("emptiest"))
+        number = F.lit(r << 60) + F.shiftleft("grp", 24) + F.col("bin")
+        settled = packed.where(~again).select(*keys, number.cast("long").alias("sequence_id"), F.col("offset").cast("long").alias("offset"), F.lit(r).alias("round"), "gap")
+        done = settled if done is None else done.unionByName(settled)
         if last:
             break
-        pool = packed.where(again).select("piece_key", "length")
-    out = done[0]
-    for d in done[1:]:
-        out = out.unionByName(d)
-    return out.select("piece_key", F.xxhash64("bin_key").alias("sequence_id"), F.col("offset").cast("long").alias("offset"))
+        pool = packed.where(again).select(*keys, "length")
+    return done
 
 
 def certificate(packed: DataFrame, pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
@@ -168,19 +163,23 @@ def cut_pieces(docs: DataFrame, tokenizer_path: str, end_id: int, capacity: int
     Written once to the shared folder, so that keys given to rows by position stay the same.
     """
     keyed = docs.select("doc_id", "text", F.monotonically_increasing_id().alias("row_key"))
-    pieces = written(keyed.mapInArrow(_cut(tokenizer_path, end_id, capacity), PIECES), "pieces")
-    return pieces.withColumn("piece_key", F.xxhash64("row_key", "piece"))
+    return written(keyed.mapInArrow(_cut(tokenizer_path, end_id, capacity), PIECES), "pieces")
 
 
 def pack_documents(docs: DataFrame, tokenizer_path: str, end_id: int, capacity: int = CAPACITY) -> DataFrame:
-    """(doc_id, piece, start, length, ids_crc32, sequence_id, offset) for every piece of docs. A null text is empty and holds the end id."""
+    """(doc_id, piece, start, length, ids_crc32, sequence_id, offset, round, gap) for every piece of docs (doc_id, text).
+
+    A null or empty text is one piece of the end id alone. Rows with one doc_id, or a null one, are documents of
+    their own. Texts of any length are cut into as many pieces as they need. Other columns are not looked at; an
+    empty table gives an empty one.
+    """
     pieces = cut_pieces(docs, tokenizer_path, end_id, capacity)
-    placed = pack(pieces, capacity)
-    out = pieces.join(placed, "piece_key")
-    return out.select("doc_id", "piece", "start", F.col("length").cast("long").alias("length"), "ids_crc32", "sequence_id", "offset")
+    out = pieces.join(pack(pieces, capacity, ["row_key", "piece"]), ["row_key", "piece"])
+    return out.select("doc_id", "piece", "start", F.col("length").cast("long").alias("length"), "ids_crc32", "sequence_id", "offset", "round", "gap")
 
 
 def op4_certified_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents in sequences of 4096 tokens; beside the contract's columns, round and gap are the certificate of a piece's group."""
     import public_tokenizers
 
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")

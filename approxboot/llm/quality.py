@@ -12,7 +12,7 @@ from dataclasses import dataclass
 import numpy as np
 import pandas as pd
 import zstandard
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from approxboot.llm.common import table
@@ -69,19 +69,22 @@ def score_texts(texts: list[str], model: CompressionModel) -> np.ndarray:
 
 
 def _dictionary(texts: list[str], size: int) -> bytes:
-    samples = [t.encode()[:20_000] for t in texts if t]
+    raws = [t.encode() for t in texts if t]
+    # a long text is several samples, which cover all of it
+    samples = [raw[a : a + 20_000] for raw in raws for a in range(0, len(raw), 20_000)]
     try:
         return zstandard.train_dictionary(size, samples, level=LEVEL).as_bytes()
     except zstandard.ZstdError:  # too few samples to train on: their bytes themselves
         return b"".join(samples)[-size:] or b"\0" * 8
 
 
-def fit(docs: DataFrame, labels: DataFrame, max_docs_per_class: int = 2_000, dictionary_bytes: int = 112_640, seed: int = 3) -> CompressionModel:
-    """Fit on max_docs_per_class labelled documents of each class at most, chosen by a hash of doc_id.
+def fit(docs: DataFrame, labels: DataFrame, max_docs_per_class: int = 2_000, max_bytes_per_class: int = 32 << 20, dictionary_bytes: int = 112_640, seed: int = 3) -> CompressionModel:
+    """Fit on labelled documents chosen by a hash of doc_id: of each class at most max_docs_per_class, of max_bytes_per_class together.
 
-    labels: doc_id, quality. Repeated labels of one doc_id count once; contradictory or null ones are left
-    out. Half of the sample builds the dictionaries, the other half the calibration. Without labels of both
-    classes every score is one half.
+    Texts are used whole; one of more than a 64th of max_bytes_per_class is not in the sample, so that what the
+    driver collects is bounded. labels: doc_id, quality. Repeated labels of one doc_id count once; contradictory
+    or null ones are left out. Of rows with one doc_id one is used. Half of the sample builds the dictionaries,
+    the other half the calibration. Without labels of both classes (an empty table, too) every score is one half.
     """
     one = labels.where("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.min("quality").alias("q"), F.max("quality").alias("_m")).where("q = _m")
     one = one.withColumn("_h", F.xxhash64(F.lit(seed), "doc_id"))
@@ -91,7 +94,9 @@ def fit(docs: DataFrame, labels: DataFrame, max_docs_per_class: int = 2_000, dic
         chosen = some if chosen is None else chosen.unionByName(some)
     # two limits bound what is broadcast and collected
     sample = docs.select("doc_id", "text").join(F.broadcast(chosen.select("doc_id", "q", "_h")), "doc_id")
-    rows = sample.select("q", "_h", F.coalesce("text", F.lit("")).alias("text"), "doc_id").dropDuplicates(["doc_id"]).collect()
+    sample = sample.select("q", "_h", F.coalesce("text", F.lit("")).alias("text"), "doc_id").dropDuplicates(["doc_id"]).withColumn("_size", F.octet_length("text"))
+    before = F.sum("_size").over(Window.partitionBy("q").orderBy("_h", "doc_id"))
+    rows = sample.where(F.col("_size") <= max_bytes_per_class // 64).withColumn("_sum", before).where(F.col("_sum") <= max_bytes_per_class).collect()
     rows.sort(key=lambda r: (r["_h"], r["doc_id"]))
     by = {q: [r["text"] for r in rows if r["q"] == q] for q in (0, 1)}
     if len(by[0]) < 2 or len(by[1]) < 2:
@@ -110,7 +115,7 @@ def fit(docs: DataFrame, labels: DataFrame, max_docs_per_class: int = 2_000, dic
 
 
 def score(docs: DataFrame, model: CompressionModel, text: str = "text", out: str = "score") -> DataFrame:
-    """docs with the column out, 0 to 1, which replaces one of that name; null and empty texts are scored as empty ones."""
+    """docs with the column out, 0 to 1, which replaces one of that name; null and empty texts are scored as empty ones, long ones whole, equal ones alike."""
     held = docs.sparkSession.sparkContext.broadcast(model)
 
     @F.pandas_udf("double")
@@ -126,6 +131,7 @@ def training_labels(labels: DataFrame, folds: int = 5) -> DataFrame:
 
 
 def op7_compression_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Scores of all documents. A null doc_id is in no fold, so not held out."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     model = fit(docs, training_labels(table(spark, sf_dir, "labels").select("doc_id", "quality")))
     held = F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(5)) == 0

@@ -3,6 +3,7 @@
 A tokenizer's pre-tokenization never joins what a single space separates (byte-level BPE: the space opens
 the next token; BPE with word ends: white space is dropped), so ids of a text are those of its words, and
 each distinct word is encoded once. Texts where that does not hold (runs of spaces) go to the tokenizer whole.
+Where a text holds what a special token looks like, it is that token, as it is for the tokenizer.
 """
 
 from __future__ import annotations
@@ -14,8 +15,6 @@ from functools import lru_cache
 import numpy as np
 
 
-#: How special tokens of these vocabularies begin.
-MARK = "<|"
 #: A word that begins with its only white space, a blank.
 LED = re.compile(r" \S+").fullmatch
 
@@ -57,10 +56,10 @@ class WordEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
-        self.splitter = Tokenizer.from_file(path)
-        self.mark = next(t.content for t in self.splitter.get_added_tokens_decoder().values() if MARK in t.content)
-        self.mark_id = self.splitter.token_to_id(self.mark)
+        #: special tokens of the vocabulary: words that hold one are encoded alone, other words are joined by one
+        self.marks = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.mark = next(m for m in self.marks if m.startswith("<|"))
+        self.mark_id = self.tokenizer.token_to_id(self.mark)
         self.opens = np.zeros(self.tokenizer.get_vocab_size(), bool)
         self.opens[[i for t, i in self.tokenizer.get_vocab().items() if t.startswith("\u0120")]] = True  # how byte-level vocabularies write a blank
         self.lead, self.max_ids = lead, max_ids
@@ -79,9 +78,9 @@ class WordEncoder:
         return np.array([i for ids in got for i in ids], np.uint32), lengths
 
     def _joined_ids(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """The same for texts without MARK: many are sent as one, with the special token between them, which parts them before anything else."""
+        """The same for texts without special tokens: many are sent as one, with the special token between them, which parts them before anything else."""
         joined = [self.mark.join(texts[i : i + 400]) for i in range(0, len(texts), 400)]
-        got = [e.ids for e in self.splitter.encode_batch_fast(joined, add_special_tokens=False)]
+        got = [e.ids for e in self.tokenizer.encode_batch_fast(joined, add_special_tokens=False)]
         ids = np.array([i for x in got for i in (*x, self.mark_id)], np.uint32)
         at = np.flatnonzero(ids == self.mark_id)
         lengths = np.diff(np.concatenate([[-1], at])) - 1
@@ -107,7 +106,7 @@ class WordEncoder:
         self.lengths = np.concatenate([self.lengths, np.zeros(len(fresh), np.int64)])
         alone, joined, led = [], [], []
         for i, w in enumerate(fresh):
-            (alone if MARK in w else led if self.lead and LED(w) else joined).append(i)
+            (alone if any(m in w for m in self.marks) else led if self.lead and LED(w) else joined).append(i)
         for numbers, ids in ((alone, self._ids), (joined, self._joined_ids), (led, self._led_ids)):
             for lo in range(0, len(numbers), 100_000):
                 part = numbers[lo : lo + 100_000]

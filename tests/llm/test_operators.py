@@ -9,6 +9,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
+from tokenizers import Tokenizer
 
 from approxboot.llm import common, decontam, encoding, jaccard, kernels, nn_graph, packing, quality, repeats, secrets, sharding, token_store, url_templates
 
@@ -167,9 +168,9 @@ def test_empty_shards(spark):
 @pytest.mark.parametrize("name,lead", [("byte_bpe_50k.json", " "), ("word_bpe_49k.json", "")])
 def test_word_cache_gives_the_tokenizers_ids(corpus, name, lead):
     enc = encoding.WordEncoder(public_tokenizers.path(name), lead)
-    texts = [t or "" for _, t in corpus] + ["", "  ", " a  b   c", "a \n b", "\n\n  x", "x\n ", "don 't", "<|endoftext|> hi", "é ΣΑΣ", "a\x00b c", "a\r\n b", "ǅ İ \u00a0 x"]
+    texts = [t or "" for _, t in corpus] + ["", "  ", " a  b   c", "a \n b", "\n\n  x", "x\n ", "don 't", "<|endoftext|> hi", "x<|endoftext|>y a <|endoftext|> b<|startoftext|>", "<|ENDOFTEXT|>", "é ΣΑΣ", "a\x00b c", "a\r\n b", "ǅ İ \u00a0 x"]
     ids, n = enc.encode(texts)
-    want = [e.ids for e in enc.tokenizer.encode_batch(texts, add_special_tokens=False)]
+    want = [e.ids for e in Tokenizer.from_file(public_tokenizers.path(name)).encode_batch(texts, add_special_tokens=False)]
     assert np.split(ids, np.cumsum(n)[:-1]) is not None and [list(x) for x in np.split(ids, np.cumsum(n)[:-1])] == want
 
 
@@ -228,6 +229,33 @@ def test_packed_sequences(spark, corpus):
         assert s.offset.tolist() == (s.length.cumsum() - s.length).tolist() and s.length.sum() <= 4096
 
 
+def test_bounds_decide_who_exchanges(spark):
+    gen = np.random.default_rng(8)
+    lengths = np.concatenate([gen.integers(1, 40, 900), gen.integers(34, 68, 900)])
+    pieces = spark.createDataFrame([(i, int(n)) for i, n in enumerate(lengths)], "piece_key long, length int")
+    one, more = (packing.pack(pieces, 100, per_group=30, rounds=r).toPandas() for r in (1, 3))
+    assert sorted(more.piece_key) == list(range(1800)) == sorted(one.piece_key)
+    room = {b: 100 - int(lengths[g].sum()) for b, g in one.groupby("sequence_id").piece_key}
+    one["room"], one["grp"] = one.sequence_id.map(room), (one.sequence_id.to_numpy() >> 24) & ((1 << 36) - 1)
+    assert min(room.values()) >= 0 and set(one.gap > 0) == {True, False}
+    stayed = set(more[more["round"] == 0].sequence_id)
+    for _, g in one.groupby("grp"):
+        bins = g.drop_duplicates("sequence_id")
+        gone = set(bins.sequence_id) - stayed
+        if g.gap.iloc[0] == 0:  # certified: all bins stay but the emptiest
+            assert len(gone) == (bins.room.max() > 0) and all(room[b] == bins.room.max() for b in gone)
+        else:
+            assert gone == set(bins[bins.room > 0].sequence_id)
+    assert more.sequence_id.nunique() < one.sequence_id.nunique()
+    assert more[more["round"] == 2].gap.max() < one.gap.sum()
+
+
+def test_packing_ignores_other_columns(spark):
+    df = frame(spark, [(1, "a b"), (1, "a b"), (None, None)]).selectExpr("doc_id", "text", *[f"7 as {c}" for c in ("row_key", "piece", "length", "start", "grp", "bin", "room", "gap", "sequence_id")])
+    out = packing.pack_documents(df, public_tokenizers.path("word_bpe_49k.json"), 1).toPandas()
+    assert sorted(out.length) == [1, 3, 3] and out.sequence_id.nunique() == 1 and sorted(out.offset)[0] == 0
+
+
 def test_partitions_exchange(spark):
     gen = np.random.default_rng(5)
     pieces = spark.createDataFrame([(i, int(n)) for i, n in enumerate(gen.integers(1, 4097, 600))], "piece_key long, length int")
@@ -248,6 +276,71 @@ def test_urls_and_rules(spark):
     assert got[6] == ("d.org", "", None, "allow") and got[7][2] is None and got[8][2:] == ("com/", "allow") and got[9][:2] == ("y:", "//z/w")
 
 
+def judged_plainly(rows, p):
+    """Verdict of each (id, host, path, bad) by its template, from the definition."""
+    from collections import defaultdict
+    from math import sqrt
+
+    def cut(path):
+        parts = [x for x in path.split("/") if x]
+        return parts if len(parts) <= p.depth else [*parts[: p.depth - 1], "/".join(parts[p.depth - 1 :])]
+
+    shaped, named = [(h, cut(path), bad) for _, h, path, bad in rows], [""] * len(rows)
+    for level in range(p.depth):
+        values = defaultdict(list)
+        for i, (h, shape, _) in enumerate(shaped):
+            if len(shape) > level:
+                values[h, named[i]].append(shape[level])
+        wild = {k for k, v in values.items() if len(set(v)) >= max(p.min_distinct, p.distinct_share * len(v))}
+        named = [t + ("/" + ("*" if (h, t) in wild else shape[level].replace("*", "**")) if len(shape) > level else "") for t, (h, shape, _) in zip(named, shaped)]
+    count = defaultdict(lambda: [0, 0])
+    for t, (h, _, bad) in zip(named, shaped):
+        count[h, t]
+        if bad is not None:
+            count[h, t][0] += 1
+            count[h, t][1] += bad
+    prior = (sum(k for _, k in count.values()) + 1) / (sum(n for n, _ in count.values()) + 2)
+    w = p.prior_weight
+    families, verdict = defaultdict(list), {}
+    for (h, t), (n, k) in count.items():
+        share = (k + w * prior) / (n + w)
+        families[h, t.rpartition("/")[0]].append((share, t, n, k, sqrt(share * (1 - share) / (n + w))))
+    for (h, _), family in families.items():
+        groups = []
+        for x in sorted(family):
+            if not groups or x[0] - groups[-1][-1][0] > p.likeness * sqrt(x[4] ** 2 + groups[-1][-1][4] ** 2):
+                groups.append([])
+            groups[-1].append(x)
+        for g in groups:
+            n, k = sum(x[2] for x in g), sum(x[3] for x in g)
+            share = (k + w * prior) / (n + w)
+            bad = share >= p.lift * prior and share - p.errors * sqrt(share * (1 - share) / (n + w)) > prior
+            verdict |= {(h, x[1]): (round(share, 6), "block" if bad else "allow") for x in g}
+    return [(t, *verdict[h, t]) for t, (h, _, _) in zip(named, shaped)]
+
+
+def test_templates_follow_their_definition(spark):
+    gen = random.Random(12)
+    rows = []
+    for i in range(900):
+        host, lang = gen.choice(["a.org", "b.org", "c.org"]), gen.choice(["en", "de", "x*"])
+        path = gen.choice([f"/{lang}/{gen.randrange(10**6)}", f"/{lang}/tag/{gen.randrange(4)}", f"/{lang}/{gen.randrange(300)}.html", "/a/b/c/d/e/f/g", "", f"/{lang}/{gen.randrange(5)}/"])
+        bad = gen.choice([None, int(gen.random() < (0.7 if (host, lang) == ("b.org", "de") else 0.2))])
+        rows.append((i, host, path, bad))
+    pages = spark.createDataFrame([(i, f"http://{h}{p}") for i, h, p, _ in rows], "id long, url string").selectExpr("*", *[f"3 as {c}" for c in ("host", "path", "shape", "template", "bad", "n", "_label")])
+    labels = spark.createDataFrame([(i, b) for i, _, _, b in rows if b is not None], "id long, bad int")
+    got = {r["id"]: (r["template"], round(r["bad_share"], 6), r["verdict"]) for r in url_templates.judge(pages, labels, []).collect()}
+    want = judged_plainly(rows, url_templates.TemplateParams())
+    assert [got[i] for i in range(900)] == want
+    assert {v for _, _, v in want} == {"block", "allow"}
+
+
+def test_numbers_of_urls(spark):
+    urls = ["http://h/en/12", "http://h/en/13.html?x=1", "http://h/14/#a", "http://h/a15", "http://h/1/x", None, "http://h/" + "9" * 30]
+    df = spark.createDataFrame([(u,) for u in urls], "url string")
+    assert [r[0] for r in df.select(url_templates.document_number(F.col("url"))).collect()] == [12, 13, 14, None, None, None, None]
+
+
 def test_templates_learn_purity(spark):
     rows = [(i, f"http://h.org/spam/{i}x{i}") for i in range(60)] + [(100 + i, f"http://h.org/news/item{i}") for i in range(60)]
     pages = spark.createDataFrame(rows, "id long, url string")
@@ -505,5 +598,7 @@ def test_quality_learns(spark, words):
     held = [i for i, _ in rows if zlib.crc32(str(i).encode()) % 5 == 0]
     right = sum((got[i] >= 0.3) == (i % 4 != 0) for i in held)
     assert right / len(held) > 0.95
+    few = quality.fit(docs, quality.training_labels(lab), max_bytes_per_class=64 * 400, dictionary_bytes=4_096)
+    assert len(few.good) <= 4_096 and len(few.weights) == 8
     flat = quality.fit(docs, lab.limit(0))
     assert {r["score"] for r in quality.score(docs.limit(3), flat).collect()} == {0.5}

@@ -10,8 +10,9 @@ from approxboot import ship_package
 from approxboot.functions import accuracy, rng
 from approxboot.functions import statistics as st
 from approxboot.operators import maintain, resample, sampling
-from approxboot.plans import baselines, driver, planner
+from approxboot.plans import baselines, cost, driver, planner
 from approxboot.sources import layout, lines
+from approxboot.sources.sampled import LayoutSource, choose_source
 from approxboot.sources.shared import fresh_path
 
 QUERIES: dict = {}
@@ -147,43 +148,60 @@ def samp_bucketed(spark, sf_dir):
 def line_copy(spark, sf_dir) -> str:
     """A newline copy of lineitem in the shared folder."""
     path = fresh_path(spark, "lines")
-    lines_of(spark, sf_dir).select(F.concat_ws("|", *[F.col(c).cast("string") for c in ("l_orderkey", "l_linenumber", "qty", "price", "l_returnflag")]).alias("value")).write.text(path)
-    return path.removeprefix("file://")
+    lines_of(spark, sf_dir).select(_line().alias("value")).write.text(path)
+    return path
 
 
-@query("samp_lines")
+def _line() -> Column:
+    return F.concat_ws("|", *[F.col(c).cast("string") for c in ("l_orderkey", "l_linenumber", "qty", "price", "l_returnflag")])
+
+
+@query("samp_lines", f"with {SQL_L} select align, debias, least(400, (select count(*) from l)) as n, least(400, (select count(*) from l)) as distinct_offsets, least(400, (select count(*) from l)) as found, round((select avg(qty) from l), 6) as mean_true, true as near from (values ('back', 'none'), ('next', 'none'), ('back', 'reject'), ('back', 'weight')) as v(align, debias)")
 def samp_lines(spark, sf_dir):
+    """Samples of lines: their numbers, how many of their lines the table has, and whether the mean of 1 to 50 lies within five standard errors (of length-biased draws, within a tenth more)."""
     ship_package(spark)
-    path = line_copy(spark, sf_dir)
+    path, table = line_copy(spark, sf_dir), lines_of(spark, sf_dir)
+    own = table.select(_line().alias("value")).distinct().withColumn("own", F.lit(1))
+    truth = table.agg(F.round(F.avg("qty"), 6).alias("mean_true"))
     out = None
     for align, debias in (("back", "none"), ("next", "none"), ("back", "reject"), ("back", "weight")):
-        s = lines.sample_lines(spark, path, 400, 3, align, debias, 1 << 20)
+        s = lines.sample_lines(spark, path, 400, 3, align, debias, 1 << 20, "allow").join(own, "value", "left")
         qty = F.split("value", "[|]")[2].cast("double")
-        one = s.agg(F.lit(align).alias("align"), F.lit(debias).alias("debias"), F.count(F.lit(1)).alias("n"), F.countDistinct("split", "offset").alias("distinct_offsets"), (F.sum(qty * F.col("ht_weight")) / F.sum("ht_weight")).alias("mean_qty"))
+        one = s.agg(F.lit(align).alias("align"), F.lit(debias).alias("debias"), F.count(F.lit(1)).alias("n"), F.countDistinct("split", "offset").alias("distinct_offsets"), F.sum("own").alias("found"), (F.sum(qty * F.col("ht_weight")) / F.sum("ht_weight")).alias("mean_qty"))
         out = one if out is None else out.unionByName(one)
-    return out
+    near = F.abs(F.col("mean_qty") - F.col("mean_true")) <= 5 * 14.5 / F.sqrt("n") + F.when(F.col("debias") == "none", 0.1 * F.col("mean_true")).otherwise(0.0)
+    return out.join(F.broadcast(truth)).select("align", "debias", "n", "distinct_offsets", "found", "mean_true", near.alias("near"))
 
-
-@query("samp_row_groups")
+@query("samp_row_groups", f"with {SQL_L} select 500 as n, 500 as found, round(avg(qty), 6) as mean_true, true as near from l")
 def samp_row_groups(spark, sf_dir):
     ship_package(spark)
-    path = fresh_path(spark, "groups")
-    lines_of(spark, sf_dir).repartition(4).write.option("parquet.block.size", 64 << 10).parquet(path)
-    s = lines.sample_row_groups(spark, path.removeprefix("file://"), 500, 5, ["qty", "price"])
-    return s.agg(F.count(F.lit(1)).alias("n"), F.avg("qty").alias("mean_qty"), F.avg("price").alias("mean_price"))
-
-
-@query("samp_reservoir")
+    path, table = fresh_path(spark, "groups"), lines_of(spark, sf_dir)
+    table.repartition(4).write.option("parquet.block.size", 64 << 10).parquet(path)
+    s = lines.sample_row_groups(spark, path, 500, 5, ["qty", "price"])
+    own = table.select("qty", "price").distinct().withColumn("own", F.lit(1))
+    got = s.join(own, ["qty", "price"], "left").agg(F.count(F.lit(1)).alias("n"), F.sum("own").alias("found"), F.avg("qty").alias("_m"))
+    truth = table.agg(F.round(F.avg("qty"), 6).alias("mean_true"))
+    return got.join(F.broadcast(truth)).select("n", "found", "mean_true", (F.abs(F.col("_m") - F.col("mean_true")) <= 5 * 14.5 / F.sqrt("n")).alias("near"))
+
+@query("samp_reservoir", f"with {SQL_O} select 300 as n, 300 as keys, 300 as found, round(avg(c), 4) as mean_true, true as near from o")
 def samp_reservoir(spark, sf_dir):
-    return sampling.reservoir(orders_of(spark, sf_dir).select("o_orderkey", "c"), 300, 4).agg(F.count(F.lit(1)).alias("n"), F.countDistinct("o_orderkey").alias("keys"), F.avg("c").alias("mean"))
-
+    ship_package(spark)
+    o = orders_of(spark, sf_dir).select("o_orderkey", "c")
+    s = sampling.reservoir(o, 300, 4).join(o.withColumn("own", F.lit(1)), ["o_orderkey", "c"], "left")
+    got = s.agg(F.count(F.lit(1)).alias("n"), F.countDistinct("o_orderkey").alias("keys"), F.sum("own").alias("found"), F.avg("c").alias("_m"))
+    truth = o.agg(F.round(F.avg("c"), 4).alias("mean_true"), F.stddev_pop("c").alias("_s"))
+    return got.join(F.broadcast(truth)).select("n", "keys", "found", "mean_true", (F.abs(F.col("_m") - F.col("mean_true")) <= 5 * F.col("_s") / F.sqrt("n")).alias("near"))
 
-@query("samp_tablesample")
+@query("samp_tablesample", f"with {SQL_O} select form, count(*) as n_table, true as n_near, true as mean_near from o, (values ('10 percent'), ('bucket 1 out of 10')) as v(form) group by form")
 def samp_tablesample(spark, sf_dir):
-    """The built-in forms: a share of rows, and one of so many buckets."""
-    forms = [spark.sql(f"select '{f}' as form, count(*) as n, avg(c) as mean from {{o}} tablesample ({f}) repeatable (7)", o=orders_of(spark, sf_dir)) for f in ("10 percent", "bucket 1 out of 10")]
-    return forms[0].unionByName(forms[1])
-
+    """The built-in forms, a share of rows and one of so many buckets: whether their number and mean lie within five standard errors."""
+    o, out = orders_of(spark, sf_dir), None
+    for f in ("10 percent", "bucket 1 out of 10"):
+        got = spark.sql(f"select '{f}' as form, count(*) as n, avg(c) as m from {{o}} tablesample ({f}) repeatable (7)", o=o)
+        out = got if out is None else out.unionByName(got)
+    truth = o.agg(F.count(F.lit(1)).alias("n_table"), F.avg("c").alias("_m"), F.stddev_pop("c").alias("_s"))
+    near = F.abs(F.col("n") - 0.1 * F.col("n_table")) <= 5 * F.sqrt(0.09 * F.col("n_table"))
+    return out.join(F.broadcast(truth)).select("form", "n_table", near.alias("n_near"), (F.abs(F.col("m") - F.col("_m")) <= 5 * F.col("_s") / F.sqrt("n")).alias("mean_near"))
 
 @query("samp_pair_count_error", f"""with d as (select cast(len(list_filter(string_split(text, ' '), lambda w: w <> '')) as bigint) as w, {rng.sql_uniform('sample', 'doc_id')} as u from documents),
 a as (select p, cast(sum(case when u < p then w else 0 end) as bigint) as s, cast(sum(w) as bigint) as n_exact from d, (select unnest([0.01, 0.05, 0.2]) as p) group by p)
@@ -196,12 +214,10 @@ def samp_pair_count_error(spark, sf_dir):
     return out.select("p", F.round("n_est", 6).alias("n_est"), "n_exact", F.round("error", 9).alias("error"))
 
 
-@query("samp_stratified", f"with {SQL_O} select o_orderpriority, count(*) as n, cast(sum(c) as bigint) as cents from o where {U_O} < 0.1 group by o_orderpriority")
+@query("samp_stratified", f"with {SQL_O}, s as (select *, {U_O} as u from o) select o_orderpriority, count(*) as n, cast(sum(c) as bigint) as cents from s where u < case when o_orderpriority = '1-URGENT' then 0.2 else 0.1 end group by o_orderpriority")
 def samp_stratified(spark, sf_dir):
-    o = orders_of(spark, sf_dir)
-    levels = {k: 0.1 for k in ("1-URGENT", "2-HIGH", "3-MEDIUM", "4-NOT SPECIFIED", "5-LOW")} | {r[0]: 0.1 for r in o.select("o_orderpriority").distinct().limit(100).collect()}
-    return sampling.stratified(o, ["o_orderkey"], "o_orderpriority", levels, kind="md5").groupBy("o_orderpriority").agg(F.count(F.lit(1)).alias("n"), F.sum("c").alias("cents"))
-
+    kept = sampling.stratified(orders_of(spark, sf_dir), ["o_orderkey"], "o_orderpriority", {"1-URGENT": 0.2}, 0.1, kind="md5")
+    return kept.groupBy("o_orderpriority").agg(F.count(F.lit(1)).alias("n"), F.sum("c").alias("cents"))
 
 @query("samp_choice", """select * from (values ('lines', false, 100000, true), ('pairs', true, 100000, false), ('pairs', false, 200, false), ('lines', true, 100000, true)) as v(sampler, needs_exact_count, n, load_critical)""")
 def samp_choice(spark, sf_dir):
@@ -250,22 +266,26 @@ def boot_multinomial_mean(spark, sf_dir):
     return sample_500(spark, sf_dir).join(w, "pos").groupBy("b").agg(F.sum("w").alias("n_b"), F.round(F.sum(F.col("w") * F.col("c")) / F.sum("w") / 100.0, 6).alias("mean_b"))
 
 
-@query("boot_multinomial_scale")
+@query("boot_multinomial_scale", f"with {SQL_O} select b, count(*) as n, round(avg(c) / 100.0, 4) as mean_true, true as near from o, {reps()} group by b")
 def boot_multinomial_scale(spark, sf_dir):
+    """Draws of each replicate are exactly as many as rows; whether its mean lies within five standard errors of the table's."""
     from approxboot.sources.shared import ensure_checkpoint
 
     ship_package(spark)
     ensure_checkpoint(spark)
     s = orders_of(spark, sf_dir).select("c").repartition(4).checkpoint()
-    return resample.bootstrap_multinomial_at_scale(s, "c", B, 3).select("b", "n", (F.col("sx") / F.col("n") / 100).alias("mean_b"))
-
+    truth = s.agg(F.round(F.avg("c") / 100.0, 4).alias("mean_true"), (F.stddev_pop("c") / 100.0).alias("_s"))
+    out = resample.bootstrap_multinomial_at_scale(s, "c", B, 3).join(F.broadcast(truth))
+    return out.select("b", "n", "mean_true", (F.abs(F.col("sx") / F.col("n") / 100 - F.col("mean_true")) <= 5 * F.col("_s") / F.sqrt("n")).alias("near"))
 
-@query("boot_arrow_moments")
+@query("boot_arrow_moments", f"with {SQL_O} select b, count(*) as n, true as n_near, true as mean_near from o, {reps(100)} group by b")
 def boot_arrow_moments(spark, sf_dir):
+    """Weights drawn in arrays: whether each replicate's weights and mean lie within five standard errors."""
     ship_package(spark)
-    out = resample.bootstrap_arrow(orders_of(spark, sf_dir), "c", F.pmod(F.xxhash64("o_orderkey"), F.lit(64)), 100, 3)
-    return out.select("b", (F.col("swx") / F.col("sw") / 100).alias("mean_b"))
-
+    o = orders_of(spark, sf_dir)
+    truth = o.agg(F.count(F.lit(1)).alias("n"), F.avg("c").alias("_m"), F.stddev_pop("c").alias("_s"))
+    out = resample.bootstrap_arrow(o, "c", F.pmod(F.xxhash64("o_orderkey"), F.lit(64)), 100, 3).join(F.broadcast(truth))
+    return out.select("b", "n", (F.abs(F.col("sw") - F.col("n")) <= 5 * F.sqrt("n")).alias("n_near"), (F.abs(F.col("swx") / F.col("sw") - F.col("_m")) <= 5 * F.col("_s") / F.sqrt("n")).alias("mean_near"))
 
 @query("boot_median", f"with e as (select event_id, value from events) select b, round(quantile_cont(value, 0.5), 6) as median_b from (select b, value, unnest(range(w)) as i from {boot_sql('e', ['event_id'])}) group by b")
 def boot_median(spark, sf_dir):
@@ -273,11 +293,15 @@ def boot_median(spark, sf_dir):
     return out.select(F.col("b").cast("long").alias("b"), F.round("theta", 6).alias("median_b"))
 
 
-@query("boot_median_sketch")
+@query("boot_median_sketch", f"with e as (select event_id, value from events) select b, round(quantile_cont(value, 0.45), 6) as low, round(quantile_cont(value, 0.55), 6) as high, true as inside from (select b, value, unnest(range(w)) as i from {boot_sql('e', ['event_id'])}) group by b")
 def boot_median_sketch(spark, sf_dir):
-    e = resample.replicated(t(spark, sf_dir, "events", "event_id", "value"), ["event_id"], B).withColumn("_i", F.explode(F.expr("array_repeat(0, cast(w as int))")))
+    """Medians by sketches, held between exact quantiles of the same replicates."""
+    e = resample.replicated(t(spark, sf_dir, "events", "event_id", "value"), ["event_id"], B, kind="md5").withColumn("_i", F.explode(F.expr("array_repeat(0, cast(w as int))")))
     stat = st.quantile_sketch("value")
-    return stat.answer(e.groupBy("b").agg(*stat.aggs(F.lit(1))), ["b"])
+    states = e.groupBy("b").agg(*stat.aggs(F.lit(1)), F.percentile("value", F.lit(0.45)).alias("low"), F.percentile("value", F.lit(0.55)).alias("high"))
+    out = stat.answer(states, ["b", "low", "high"])
+    return out.select(F.col("b").cast("long").alias("b"), F.round("low", 6).alias("low"), F.round("high", 6).alias("high"), F.col("theta").between(F.col("low"), F.col("high")).alias("inside"))
+
 
 
 S_LINES = f"s as (select * from l where {U_L} < 0.1)"
@@ -356,13 +380,17 @@ def boot_slope(spark, sf_dir):
     return _boot_pair(spark, sf_dir, st.slope("qty", "price"), 3, "slope_b")
 
 
-@query("boot_regression")
+@query("boot_regression", f"""with {SQL_L}, {S_LINES}, m as (select b, cast(sum(w) as double) as n, sum(w * qty) / cast(sum(w) as double) as mq, sum(w * l_linenumber) / cast(sum(w) as double) as ml, sum(w * price) / cast(sum(w) as double) as mp from {boot_sql('s', LINE_IDS)} group by b),
+c as (select b, mq, ml, mp, sum(w * (qty - mq) * (qty - mq)) as qq, sum(w * (l_linenumber - ml) * (l_linenumber - ml)) as ll, sum(w * (qty - mq) * (l_linenumber - ml)) as ql, sum(w * (qty - mq) * (price - mp)) as qp, sum(w * (l_linenumber - ml) * (price - mp)) as lp from {boot_sql('s', LINE_IDS)} join m using (b) group by all),
+k as (select *, (qp * ll - lp * ql) / (qq * ll - ql * ql) as kq, (lp * qq - qp * ql) / (qq * ll - ql * ql) as kl from c)
+select b, round(mp - kq * mq - kl * ml, 1) as intercept, round(kq, 2) as qty, round(kl, 2) as linenumber from k""")
 def boot_regression(spark, sf_dir):
     aggs, solve = st.linear_model(["qty", "l_linenumber"], "price")
-    weighted = resample.replicated(lines_sample(spark, sf_dir), LINE_IDS, B)
+    weighted = resample.replicated(lines_sample(spark, sf_dir), LINE_IDS, B, kind="md5")
+    # B rows of sums
     rows = weighted.groupBy("b").agg(*aggs(F.col("w"))).collect()
-    return spark.createDataFrame([(r["b"], *map(float, solve(r))) for r in rows], "b int, intercept double, qty double, linenumber double")
-
+    fits = [(r["b"], *[float(round(x, d)) for x, d in zip(solve(r), (1, 2, 2))]) for r in rows]
+    return spark.createDataFrame(fits, "b long, intercept double, qty double, linenumber double")
 
 @query("boot_topk", f"with e as (select event_id, event_type from events), g as (select b, event_type, cast(sum(w) as bigint) as n from {boot_sql('e', ['event_id'])} group by all) select b, event_type, n from g qualify row_number() over (partition by b order by n desc, event_type) <= 3")
 def boot_topk(spark, sf_dir):
@@ -385,13 +413,19 @@ m as (select rn, sum(c) over (order by rn rows between 19 preceding and current
 m2 as (select rn - 19 as rn, x from m where rn >= 19), n as (select count(*) as n from m2)"""
 
 
-def smoothed(spark, sf_dir) -> DataFrame:
-    """(rn, x): 20-row moving means of events.value by time, numbered from 0 where the window is full."""
+def smoothed(spark, sf_dir, width: int = 20, span: int = 10_000) -> DataFrame:
+    """(rn, x): moving means over width rows of events.value by time, numbered from 0 where the window is full.
+
+    Rows are numbered by ranges; windows are cut into spans, and the rows before a span are repeated in it.
+    """
     from pyspark.sql import Window
 
-    e = t(spark, sf_dir, "events", "event_id", "ts", "value").select(cents("value").alias("c"), (F.row_number().over(Window.orderBy("ts", "event_id")) - 1).cast("long").alias("rn"))
-    m = e.select("rn", (F.sum("c").over(Window.orderBy("rn").rowsBetween(-19, 0)) / 20.0 / 100.0).alias("x"))
-    return m.where("rn >= 19").select((F.col("rn") - 19).alias("rn"), "x")
+    e = resample.numbered_table(t(spark, sf_dir, "events", "event_id", "ts", "value").select("ts", "event_id", cents("value").alias("c")), ["ts", "event_id"], "rn").select("c", "rn")
+    first, last = F.floor(F.col("rn") / span), F.floor((F.col("rn") + width - 1) / span)
+    e = e.withColumn("_s", F.explode(F.sequence(first, last)))
+    mean = F.sum("c").over(Window.partitionBy("_s").orderBy("rn").rowsBetween(1 - width, 0)) / float(width) / 100.0
+    m = e.withColumn("x", mean).where((F.col("_s") == F.floor(F.col("rn") / span)) & (F.col("rn") >= width - 1))
+    return m.select((F.col("rn") - (width - 1)).alias("rn"), "x")
 
 
 @query("boot_blocks_fixed", f"""with {SMOOTH}, k as (select n // 100 as k from n),
@@ -443,11 +477,14 @@ def boot_exact_enum(spark, sf_dir):
     return spark.createDataFrame([(round(float(mean), 6), round(float(var), 4))], "mean double, variance double")
 
 
-@query("boot_native_sample")
+@query("boot_native_sample", f"with {SQL_O}, {SAMPLE_500} select b, round(avg(c) / 100.0, 4) as mean_sample, true as near from s, {reps(5)} group by b")
 def boot_native_sample(spark, sf_dir):
+    """A job for each replicate: whether its mean lies within five standard errors of the sample's."""
     s = sample_500(spark, sf_dir).select("c")
+    m = s.agg((F.avg("c") / 100).alias("m"), (F.stddev_pop("c") / 100).alias("s")).first()
     got = resample.bootstrap_loop(s, 5, lambda df: df.agg(F.avg("c")).first()[0] / 100)
-    return spark.createDataFrame(list(enumerate(got)), "b int, mean_b double")
+    return spark.createDataFrame([(b, round(m["m"], 4), abs(v - m["m"]) <= 5 * m["s"] / 500**0.5) for b, v in enumerate(got)], "b long, mean_sample double, near boolean")
+
 
 
 JACK = f"with {SQL_O}, {SAMPLE_500}, x as (select c / 100.0 as x, pos from s)"
@@ -635,16 +672,19 @@ def plan_doubling(spark, sf_dir):
     return v.where("met = 0").select(F.col("n_i").cast("long").alias("n"), F.round("cv", 9).alias("cv"), (F.col("cv") <= 0.03).alias("stops"))
 
 
-@query("plan_search")
+@query("plan_search", f"with {SQL_O} select rule, cast(sigma as double) as sigma, (select count(*) from o) as total, true as resamples_right, true as slope_right, true as mode_right from (values ('abs'), ('rel')) as v(rule), (select unnest([0.02, 0.05, 0.1]) as sigma)")
 def plan_search(spark, sf_dir):
+    """Plans over tolerances and stop rules: whether resamples are in their bounds, c_v falls about with the root of n, and the mode follows from B * n."""
     o = orders_of(spark, sf_dir)
-    pilot = driver.pilot_values(o, "c", ["o_orderkey"], 0.05, 0)
+    pilot, total = driver.pilot_values(o, "c", ["o_orderkey"], 0.3, 0), o.count()
     out = []
     for rule in ("abs", "rel"):
         for sigma in (0.02, 0.05, 0.1):
-            p = planner.plan(pilot, np.mean, o.count(), sigma, rule=rule)
-            out.append((rule, sigma, p.B, min(p.n, 1 << 60), p.mode, float(p.curve.get("k", 0.0))))
-    return spark.createDataFrame(out, "rule string, sigma double, resamples int, n long, mode string, slope double")
+            p = planner.plan(pilot, np.mean, total, sigma, rule=rule)
+            k = float(p.curve.get("k", 0.0))
+            out.append((rule, sigma, total, (30 if rule == "rel" else 3) <= p.B <= 100, -0.8 <= k <= -0.2, (p.mode == "early") == (p.B * p.n < total)))
+    return spark.createDataFrame(out, "rule string, sigma double, total long, resamples_right boolean, slope_right boolean, mode_right boolean")
+
 
 
 # --- early answers with fixed plans
@@ -686,13 +726,47 @@ def early_count(spark, sf_dir):
     return out.select("l_returnflag", F.round("value", 4).alias("value"), F.round("cv", 9).alias("cv"))
 
 
-@query("early_loop")
+@query("early_loop", _answer_sql(f"with {SQL_L}, n as (select cast(150 as double) / count(*) as p from l), s as (select l.* from l, n where {U_L} < p), t as (select b, sum(w * price) / sum(w) as theta from {boot_sql('s', LINE_IDS)} group by b)", "select 150 as n", 100.0, 4, 0).replace(", cast(0 as double) as p", ", 'early' as mode, 1 as iterations"))
 def early_loop(spark, sf_dir):
-    df = lines_of(spark, sf_dir)
-    a = driver.early_result(df, st.mean("price"), "price", LINE_IDS, sigma=0.02, kind="xx")
-    return a.rows.select("value", "cv", "lo", "hi").withColumn("mode", F.lit(a.mode)).withColumn("n", F.lit(a.n)).withColumn("resamples", F.lit(a.B)).withColumn("iterations", F.lit(a.iterations))
+    """The loop with 30 resamples of 150 rows from the pre-hashed layout; one round is enough for its tolerance."""
+    path = fresh_path(spark, "loop")
+    layout.write_shuffled(lines_of(spark, sf_dir), path, LINE_IDS, 20, kind="md5")
+    a = driver.early_result(LayoutSource(spark, path, LINE_IDS, 20), st.mean("price"), "price", None, sigma=0.5, fixed=(B, 150), kind="md5")
+    out = a.rows.select(*[F.round(F.col(c) / 100.0, 4).alias(c) for c in ("value", "lo", "hi")], F.round("cv", 9).alias("cv"), F.lit(a.n).alias("n"), F.col("replicates").alias("resamples"))
+    return out.withColumn("mode", F.lit(a.mode)).withColumn("iterations", F.lit(a.iterations))
 
 
+@query("early_planned", f"with {SQL_L} select source, count(*) as total, round(avg(price) / 100.0, 4) as mean_true, true as within, true as error_met from l, (values ('scan'), ('layout'), ('lines')) as v(source) group by source")
+def early_planned(spark, sf_dir):
+    """Planned early answers from each kind of source, for an error of 0.05: whether they hold it, by their own estimate and within four of it of the truth."""
+    ship_package(spark)
+    df, path, text = lines_of(spark, sf_dir), fresh_path(spark, "planned"), line_copy(spark, sf_dir)
+    layout.write_shuffled(df, path, LINE_IDS, 20)
+    parse = lambda d: d.select("split", "offset", "ht_weight", F.split("value", "[|]")[3].cast("long").alias("price"))
+    made = {"scan": choose_source(spark, LINE_IDS, 0, df), "layout": choose_source(spark, LINE_IDS, 0, df, layout_path=path, buckets=20), "lines": choose_source(spark, LINE_IDS, 100_000, df, line_path=text, parse=parse)}
+    truth = df.agg(F.count(F.lit(1)).alias("total"), (F.avg("price") / 100.0).alias("m")).first()
+    out = []
+    for name, source in made.items():
+        a = driver.early_result(source, st.mean("price"), "price", LINE_IDS, 0.05, whole=df)
+        r = a.rows.first()
+        out.append((name, truth["total"], round(truth["m"], 4), abs(r["value"] / 100.0 - truth["m"]) <= 4 * 0.05 * truth["m"], r["cv"] <= 0.05))
+    return spark.createDataFrame(out, "source string, total long, mean_true double, within boolean, error_met boolean")
+
+
+@query("early_feedback", f"""with {SQL_L}, r as (select cast(unnest([1, 2, 3, 4]) as bigint) as iteration, unnest([0.02, 0.04, 0.08, 0.16]) as p), w as (select * from (select *, {U_L} as u from l) x),
+t as (select iteration, b, sum(w * price) / sum(w) as theta from r, {boot_sql('w', LINE_IDS)} where u < p group by all) select iteration, round(stddev_pop(theta) / abs(avg(theta)), 9) as error, true as newer from t group by iteration""")
+def early_feedback(spark, sf_dir):
+    """Error records of a sample that doubles, with time stamps: each reading takes only what is newer than the last."""
+    stat, cursor, log, states = st.mean("price"), sampling.SampleCursor(resample.spread(lines_of(spark, sf_dir), LINE_IDS), LINE_IDS, kind="md5"), driver.ErrorLog(), None
+    out = []
+    for i, p in enumerate((0.02, 0.04, 0.08, 0.16), 1):
+        fresh = resample.bootstrap_states(cursor.grow(p), stat, LINE_IDS, B, kind="md5", dealt=True)
+        states = driver._kept(fresh if states is None else maintain.merge_states(states, fresh, stat, ["b"]))
+        log.add(i, stat.answer(states, ["b"]).agg(accuracy.cv().alias("cv")).first()["cv"])
+        error = log.read()
+        out.append((i, round(error, 9), log.read() is None and all(a["at"] <= b["at"] for a, b in zip(log.rows, log.rows[1:]))))
+    return spark.createDataFrame(out, "iteration long, error double, newer boolean")
+
 @query("early_sql_block", f"with {SQL_O}, s as (select * from o where c > 0 and {U_O} < 0.2), t as (select o_orderpriority, b, sum(w * c) / sum(w) as theta from {boot_sql('s', ['o_orderkey'])} group by all) select o_orderpriority, 'm' as aggregate, round(avg(theta), 3) as value, round(stddev_pop(theta) / abs(avg(theta)), 9) as cv from t group by 1")
 def early_sql_block(spark, sf_dir):
     from approxboot.plans.sqlapi import early_sql
@@ -719,30 +793,43 @@ def delta_additive(spark, sf_dir):
     return out
 
 
-@query("delta_part_size")
+@query("delta_part_size", "select mode, 1000 as mean, 500 as variance, true as mean_near, true as variance_near, true as within_3, true as within_5 from (values ('binomial'), ('gaussian')) as v(mode)")
 def delta_part_size(spark, sf_dir):
+    """Sizes of the old part, half of 2,000 draws, over 4,000 replicates, against the binomial law's mean, variance and spread."""
     out = []
     for mode in ("binomial", "gaussian"):
         v = np.array([rng.part_size(1000, 2000, 1, b, mode) for b in range(4000)])
-        out.append((mode, float(v.mean()), float(v.var()), float((abs(v - 1000) <= 3 * np.sqrt(500)).mean()), float((abs(v - 1000) <= 5 * np.sqrt(500)).mean())))
-    return spark.createDataFrame(out, "mode string, mean double, variance double, within_3 double, within_5 double")
-
+        mean, var = 2000 * 0.5, 2000 * 0.5 * 0.5
+        shares = [float((abs(v - mean) <= k * np.sqrt(var)).mean()) for k in (3, 5)]
+        out.append((mode, int(mean), int(var), bool(abs(v.mean() - mean) < 5 * np.sqrt(var / 4000)), bool(abs(v.var() / var - 1) < 0.15), shares[0] >= 0.994, shares[1] >= 0.9995))
+    return spark.createDataFrame(out, "mode string, mean int, variance int, mean_near boolean, variance_near boolean, within_3 boolean, within_5 boolean")
 
-@query("delta_three_step")
+@query("delta_three_step", f"select b, 300 as n, 500 as n2, true as touched_right from {reps()}")
 def delta_three_step(spark, sf_dir):
+    """Resamples of 300 rows grown to 500: sizes, and whether what was touched is the change of the old part and the new part."""
     ship_package(spark)
-    return maintain.maintained_sizes(sample_500(spark, sf_dir), "c", B, 300, 1, "plain")
+    out = maintain.maintained_sizes(sample_500(spark, sf_dir), "c", B, 300, 1, "plain")
+    return out.select("b", "n", "n2", F.col("touched").between(200 - 60, 200 + 130).alias("touched_right"))
 
-
-@query("delta_sketch")
+@query("delta_sketch", f"select b, 300 as n, 500 as n2, true as touched_right, 0 as disk_hits from {reps()}")
 def delta_sketch(spark, sf_dir):
+    """The same with sketches, which are large enough that the layer below is never touched."""
     ship_package(spark)
-    return maintain.maintained_sizes(sample_500(spark, sf_dir), "c", B, 300, 1, "sketch")
+    out = maintain.maintained_sizes(sample_500(spark, sf_dir), "c", B, 300, 1, "sketch")
+    return out.select("b", "n", "n2", F.col("touched").between(200 - 60, 200 + 130).alias("touched_right"), "disk_hits")
 
 
-EQ4 = """with g as (select n, y, cast(floor(y * n) as bigint) as k from (select unnest([10, 29, 50, 100, 1000]) as n), (select unnest([0.1, 0.2, 0.3, 0.5]) as y)),
-p as (select n, cast(y as double) as y, k, exp((select coalesce(sum(ln((n - i) / n)), 0) from (select unnest(range(k)) as i))) as prob from g)"""
+@query("delta_sketch_size", f"select cast(p as double) as probability, true as c_right, true as enough from (select unnest([0.9, 0.99, 0.999]) as p)")
+def delta_sketch_size(spark, sf_dir):
+    """The sketch factor for a wanted probability: whether the normal law gives it back, and whether such sketches suffice for that share of 2,000 changes of a part of 1,000 of 2,000 items."""
+    from statistics import NormalDist
 
+    change = np.abs(np.array([rng.part_size(1000, 2000, 7, b) for b in range(2000)]) - 1000)
+    out = []
+    for p in (0.9, 0.99, 0.999):
+        c = maintain.pick_c(p)
+        out.append((p, abs(2 * NormalDist().cdf(c) - 1 - p) < 1e-9, bool((change <= np.ceil(c * np.sqrt(1000))).mean() >= p)))
+    return spark.createDataFrame(out, "probability double, c_right boolean, enough boolean")
 
 @query("delta_work_saved", """with g as (select cast(n as bigint) as n, cast(y as double) as y, cast(floor(cast(y as double) * n) as bigint) as k from (select unnest([10, 29, 50, 100, 1000]) as n), (select unnest([0.1, 0.2, 0.3, 0.5]) as y)),
 e as (select n, y, k, unnest(range(k)) as i from g), p as (select n, y, k, exp(sum(ln((n - i) / n))) as prob from e group by all)
@@ -764,15 +851,19 @@ def delta_optimal_share(spark, sf_dir):
     return spark.createDataFrame(out, "n long, k long, saved double")
 
 
-@query("delta_shared_replicates")
+@query("delta_shared_replicates", "select k, decorrelated, k + 200 * (500 - k) as draws, true as cv_right from (select unnest([0, 22, 150]) as k), (values (false), (true)) as v(decorrelated)")
 def delta_shared_replicates(spark, sf_dir):
+    """Replicates that share their first k draws: draws made, and whether c_v falls with the share and is set right again."""
+    # 500 values, by plan
     v = np.array([r["c"] for r in sample_500(spark, sf_dir).collect()], float)
-    out = []
+    closed, out = float(v.std() / v.mean() / np.sqrt(len(v))), []
     for k in (0, 22, 150):
         for fix in (False, True):
             _, cv, draws = maintain.bootstrap_shared(v, 200, k, 3, fix)
-            out.append((k, fix, cv, draws))
-    return spark.createDataFrame(out, "k int, decorrelated boolean, cv double, draws long")
+            want = closed * (1 if fix else np.sqrt(1 - k / len(v)))
+            out.append((k, fix, draws, bool(abs(cv / want - 1) < 0.25)))
+    return spark.createDataFrame(out, "k int, decorrelated boolean, draws long, cv_right boolean")
+
 
 
 # --- baselines and losses
@@ -814,11 +905,31 @@ t as (select lost, b, sum(w * c) / sum(w) / 100.0 as theta from w, (select unnes
 select lost * 10 as lost, round(avg(theta), 4) as value, round(stddev_pop(theta) / abs(avg(theta)), 9) as cv, 1 - lost / 10 as p_eff, stddev_pop(theta) / abs(avg(theta)) <= 0.05 as accepted from t group by lost""")
 def fault_lost_splits(spark, sf_dir):
     o = orders_of(spark, sf_dir).withColumn("c", F.col("c") / 100.0)
-    out = None
-    for lost in (1, 5, 9):
-        one = driver.estimate_with_losses(o, F.pmod("o_orderkey", F.lit(100)), F.pmod("split", F.lit(10)) < lost, st.mean("c"), ["o_orderkey"], 100, 10 * lost, 0.05, B, kind="md5").withColumn("lost", F.lit(lost * 10))
-        out = one if out is None else out.unionByName(one)
-    return out.select("lost", F.round("value", 4).alias("value"), F.round("cv", 9).alias("cv"), "p_eff", "accepted")
+    cases = [(lost * 10, F.pmod("split", F.lit(10)) < lost, lost * 10) for lost in (1, 5, 9)]
+    out = driver.estimates_with_losses(o, F.pmod("o_orderkey", F.lit(100)), cases, st.mean("c"), ["o_orderkey"], 100, 0.05, B, kind="md5")
+    return out.select(F.col("case").alias("lost"), F.round("value", 4).alias("value"), F.round("cv", 9).alias("cv"), "p_eff", "accepted")
+
+
+@query("fault_missing_files", f"""with {SQL_O}, x as (select *, o_orderkey % 20 as s from o), w as (select * from {boot_sql('x', ['o_orderkey'])} where s >= 4),
+t as (select b, sum(w * c) / sum(w) / 100.0 as theta from w group by b)
+select 16 as splits_read, (select count(*) from x where s >= 4) as rows_read, round(avg(theta), 4) as value, round(stddev_pop(theta) / abs(avg(theta)), 9) as cv, cast(0.8 as double) as p_eff from t""")
+def fault_missing_files(spark, sf_dir):
+    """Files that are lost after the table was opened: the answer comes from those that are left, and their share is found by reading."""
+    path = fresh_path(spark, "lossy")
+    orders_of(spark, sf_dir).withColumn("part", F.pmod("o_orderkey", F.lit(20)).cast("int")).repartition(20, "part").write.partitionBy("part").parquet(path)
+    opened = spark.read.option("ignoreMissingFiles", "true").parquet(path)
+    jvm, conf = spark._jvm, spark._jsc.hadoopConfiguration()
+    for lost in range(4):
+        gone = jvm.org.apache.hadoop.fs.Path(f"{path}/part={lost}")
+        gone.getFileSystem(conf).delete(gone, True)
+    stat = st.mean("c")
+    states = resample.bootstrap_states(opened, stat, ["o_orderkey"], B, ["part"], kind="md5", own=True)
+    merged = states.groupBy("b").agg(*stat.merge_aggs(), F.sum("rows").alias("rows"), F.count(F.lit(1)).alias("parts"))
+    thetas = stat.answer(merged, ["b", "rows", "parts"]).withColumn("theta", F.when(F.col("b") >= 0, F.col("theta") / 100.0))
+    own = lambda c: F.max(F.when(F.col("b") < 0, F.col(c)))
+    out = accuracy.summarise(thetas, more=[own("rows").alias("rows_read"), own("parts").alias("splits_read")])
+    return out.select("splits_read", "rows_read", F.round("value", 4).alias("value"), F.round("cv", 9).alias("cv"), (F.col("splits_read") / 20).alias("p_eff"))
+
 
 
 # --- other statistics
@@ -832,11 +943,13 @@ def stat_minmax_warn(spark, sf_dir):
     return a.join(z, "b").select(F.col("b").cast("long").alias("b"), "min_b", "max_b", F.lit(lo.reliable and hi.reliable).alias("reliable"))
 
 
-@query("stat_distinct_warn")
+@query("stat_distinct_warn", f"with {SQL_O} select b, count(distinct o_custkey) as keys, true as near, false as reliable from {boot_sql('o', ['o_orderkey'], 10)} group by b")
 def stat_distinct_warn(spark, sf_dir):
+    """Distinct keys of replicates, exactly and by sketches, which are flagged: whether they agree within a tenth."""
     stat = st.distinct("o_custkey")
-    return resample.bootstrap_poisson(orders_of(spark, sf_dir), stat, ["o_orderkey"], 10).withColumn("reliable", F.lit(stat.reliable))
-
+    weighted = resample.replicated(orders_of(spark, sf_dir), ["o_orderkey"], 10, kind="md5")
+    out = stat.answer(weighted.groupBy("b").agg(*stat.aggs(F.col("w")), F.countDistinct("o_custkey").alias("keys")), ["b", "keys"])
+    return out.select(F.col("b").cast("long").alias("b"), "keys", (F.abs(F.col("theta") - F.col("keys")) <= 0.1 * F.col("keys")).alias("near"), F.lit(stat.reliable).alias("reliable"))
 
 @query("stat_python_frame", f"with {SQL_O}, {SAMPLE_500} select b, round(sum(w * c) / sum(w), 6) as theta from {boot_sql('s', ['o_orderkey'])} group by b")
 def stat_python_frame(spark, sf_dir):
@@ -845,8 +958,37 @@ def stat_python_frame(spark, sf_dir):
     return out.select("b", F.round("theta", 6).alias("theta"))
 
 
-@query("stat_job")
+@query("stat_job", f"with {SQL_O}, {SAMPLE_500} select b, round(quantile_cont(c, 0.9) - quantile_cont(c, 0.1), 4) as theta from (select b, c, unnest(range(w)) as i from {boot_sql('s', ['o_orderkey'], 3)}) group by b")
 def stat_job(spark, sf_dir):
-    s = sample_500(spark, sf_dir).select("c")
+    """Any job of a DataFrame, run once for each replicate's rows."""
+    s = sample_500(spark, sf_dir).select("o_orderkey", "c")
     job = lambda df: df.agg(F.percentile("c", F.lit(0.9)) - F.percentile("c", F.lit(0.1))).first()[0]
-    return spark.createDataFrame([(i, float(v)) for i, v in enumerate(resample.bootstrap_loop(s, 3, job))], "b int, theta double")
+    got = resample.bootstrap_loop(s, 3, job, ids=["o_orderkey"], kind="md5")
+    return spark.createDataFrame([(i, round(float(v), 4)) for i, v in enumerate(got)], "b long, theta double")
+
+
+@query("base_separate_jobs", f"""with {SQL_O}, s as (select * from o where {U_O} < 0.1), t as (select b, sum(w * c) / sum(w) / 100.0 as theta from {boot_sql('s', ['o_orderkey'], 5)} group by b)
+select 7 as jobs, round(avg(theta), 4) as value, round(stddev_pop(theta) / abs(avg(theta)), 9) as cv from t""")
+def base_separate_jobs(spark, sf_dir):
+    """The stock way: a job that writes the sample, one that reads it again for each of five resamples, and one for their accuracy."""
+    job = lambda df: df.agg(F.sum("c") / F.count("c") / 100.0).first()[0]
+    row, jobs = baselines.separate_jobs(orders_of(spark, sf_dir), ["o_orderkey"], 0.1, 5, job, fresh_path(spark, "separate"), kind="md5")
+    return spark.createDataFrame([(jobs, round(row["value"], 4), round(row["cv"], 9))], "jobs int, value double, cv double")
+
+
+@query("base_cached_sample", f"with {SQL_O} select step, count(*) as n, round(avg(c / 100.0) filter (c / 100.0 > 1000 * step), 4) as mean_above from o, (select unnest(range(3)) as step) where {U_O} < 0.2 group by step")
+def base_cached_sample(spark, sf_dir):
+    """An iterative job over a sample that is held between its steps."""
+    held = baselines.cached_sample(sampling.bernoulli(orders_of(spark, sf_dir).select("o_orderkey", (F.col("c") / 100.0).alias("x")), ["o_orderkey"], 0.2, kind="md5"))
+    try:
+        rows = [(step, *held.agg(F.count(F.lit(1)), F.round(F.avg(F.when(F.col("x") > 1000 * step, F.col("x"))), 4)).first()) for step in range(3)]
+    finally:
+        held.unpersist()
+    return spark.createDataFrame(rows, "step long, n long, mean_above double")
+
+
+@query("cost_of_a_run", f"with {SQL_O} select count(*) as rows_read, true as bytes_read, true as shuffled, true as jobs from o")
+def cost_of_a_run(spark, sf_dir):
+    """What one bootstrap cost, by the engine's own counters: the rows that were read, and whether bytes, shuffle and jobs are in their bounds."""
+    facts = cost.measured(spark, lambda: resample.bootstrap_poisson(orders_of(spark, sf_dir), st.mean("c"), ["o_orderkey"], B).collect())
+    return spark.createDataFrame([(facts["rows_read"], facts["bytes_read"] > 0, facts["shuffle_bytes"] > 0, 1 <= facts["jobs"] <= 4)], "rows_read long, bytes_read boolean, shuffled boolean, jobs boolean")

@@ -30,15 +30,15 @@ def bias(theta: str, at_sample) -> Column:
     return F.avg(theta) - at_sample
 
 
-def summarise(dist: DataFrame, by: list[str] | None = None, theta: str = "theta", level: float = 0.95, fpc_p: float | None = None) -> DataFrame:
-    """value, cv, variance and normal and percentile bounds by group. fpc_p: the sample's fraction, for the finite-population correction."""
+def summarise(dist: DataFrame, by: list[str] | None = None, theta: str = "theta", level: float = 0.95, fpc_p: float | None = None, more: list[Column] | None = None) -> DataFrame:
+    """value, cv, variance and normal and percentile bounds by group, and more aggregates. fpc_p: the sample's fraction, for the finite-population correction."""
     tail = (1 - level) / 2
     shrink = F.lit(math.sqrt(1 - fpc_p) if fpc_p else 1.0)
     m, s = F.avg(theta), F.stddev_pop(theta) * shrink
     z = F.lit(z_value(level))
     return dist.groupBy(*(by or [])).agg(
         m.alias("value"), (cv(theta) * shrink).alias("cv"), (F.var_pop(theta) * shrink * shrink).alias("variance"), (m - z * s).alias("lo"), (m + z * s).alias("hi"),
-        F.percentile(theta, F.lit(tail)).alias("pct_lo"), F.percentile(theta, F.lit(1 - tail)).alias("pct_hi"), F.count(theta).alias("replicates"),
+        F.percentile(theta, F.lit(tail)).alias("pct_lo"), F.percentile(theta, F.lit(1 - tail)).alias("pct_hi"), F.count(theta).alias("replicates"), *(more or []),
     )
 
 

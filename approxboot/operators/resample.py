@@ -13,21 +13,51 @@ from pyspark.sql import functions as F
 
 from approxboot.functions import rng
 from approxboot.functions.statistics import Statistic
+from approxboot.sources.shared import ensure_checkpoint
 
 
-def replicated(df: DataFrame, ids: list[str], replicates: int, seed: int = 0, kind: str = "xx") -> DataFrame:
-    """df once for each replicate b with Poisson(1) weight w; rows of weight 0 are left out."""
-    out = df.withColumn("b", F.explode(F.sequence(F.lit(0), F.lit(replicates - 1))))
-    return out.withColumn("w", rng.poisson_weight(rng.uniform(kind, rng.BOOT, *ids, "b", seed=seed))).where("w > 0")
+#: Bytes of a table that is worth dealing out: replicated rows at least, and rows at most.
+LEAST_SPREAD, MOST_SPREAD = 4 << 20, 1 << 30
 
 
-def bootstrap_states(df: DataFrame, stat: Statistic, ids: list[str], replicates: int = 30, by: list[str] | None = None, seed: int = 0, kind: str = "xx", gen: Column | None = None) -> DataFrame:
-    """Poisson bootstrap in one plan: states by (by, b), partial in each task, so only states are shuffled."""
+def spread(df: DataFrame, ids: list[str], times: int = 1) -> DataFrame:
+    """A small df dealt over all cores by its ids, where its scan has fewer tasks than there are cores; others stay where they are.
+
+    Sizes are the optimizer's estimates. times says how often each row is about to be repeated.
+    """
+    if df.isStreaming:
+        return df
+    spark = df.sparkSession
+    cores = spark.sparkContext.defaultParallelism
+    size = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    if size * times < LEAST_SPREAD or size >= min(MOST_SPREAD, cores * spark._jsparkSession.sessionState().conf().filesMaxPartitionBytes()):
+        return df
+    return df.repartition(cores, *ids)
+
+
+def replicated(df: DataFrame, ids: list[str], replicates: int, seed: int = 0, kind: str = "xx", own: bool = False, dealt: bool = False) -> DataFrame:
+    """df once for each replicate b with Poisson(1) weight w; rows of weight 0 are left out. own adds the rows themselves, as replicate -1; dealt: df lies as it should."""
+    out = (df if dealt else spread(df, ids, replicates)).withColumn("b", F.explode(F.sequence(F.lit(-1 if own else 0), F.lit(replicates - 1))))
+    # as an element of an array the uniform is made once, not again for each comparison of the weight
+    out = out.withColumn("_u", F.explode(F.array(rng.uniform(kind, rng.BOOT, *ids, "b", seed=seed))))
+    w = rng.poisson_weight(F.col("_u"))
+    return out.withColumn("w", F.when(F.col("b") < 0, F.lit(1).cast("long")).otherwise(w) if own else w).where("w > 0").drop("_u")
+
+
+def bootstrap_states(
+    df: DataFrame, stat: Statistic, ids: list[str], replicates: int = 30, by: list[str] | None = None, seed: int = 0, kind: str = "xx", gen: Column | None = None, own: bool = False, dealt: bool = False, weight: str | None = None,
+) -> DataFrame:
+    """Poisson bootstrap in one plan: states by (by, b), partial in each task, so only states are shuffled.
+
+    own adds the state of the rows themselves, as replicate -1, and the column rows of states' numbers of rows.
+    weight names a column of sampling weights, by which rows count.
+    """
     by = by or []
-    weighted = replicated(df, ids, replicates, seed, kind)
+    weighted = replicated(df, ids, replicates, seed, kind, own, dealt)
     if gen is not None:
         weighted, by = weighted.withColumn("gen", gen), [*by, "gen"]
-    return weighted.groupBy(*by, "b").agg(*stat.aggs(F.col("w")))
+    w = F.col("w") * F.col(weight) if weight else F.col("w")
+    return weighted.groupBy(*by, "b").agg(*stat.aggs(w), *([F.count(F.lit(1)).alias("rows")] if own else []))
 
 
 def bootstrap_poisson(df: DataFrame, stat: Statistic, ids: list[str], replicates: int = 30, by: list[str] | None = None, p: float = 1.0, seed: int = 0, kind: str = "xx") -> DataFrame:
@@ -36,10 +66,26 @@ def bootstrap_poisson(df: DataFrame, stat: Statistic, ids: list[str], replicates
 
 
 def numbered(sample: DataFrame, order: list[Column | str]) -> DataFrame:
-    """A sample with positions pos from 0. One task numbers it: for samples of planned size, not for tables."""
+    """A sample with positions pos from 0. One task numbers it: for samples of planned size; numbered_table is for tables."""
     return sample.withColumn("pos", F.row_number().over(Window.orderBy(*order)).cast("long") - 1)
 
 
+def numbered_table(df: DataFrame, order: list[str], out: str = "pos") -> DataFrame:
+    """A whole table with positions from 0 in an order without ties: ranges of the order are counted and numbered apart.
+
+    The driver holds a number for each range. df is checkpointed in its ranges, so that both passes see the same.
+    """
+    spark = df.sparkSession
+    ensure_checkpoint(spark)
+    fixed = df.repartitionByRange(*order).sortWithinPartitions(*order).checkpoint().withColumn("_m", F.monotonically_increasing_id())
+    split = F.shiftright("_m", 33)
+    sizes = sorted((r["k"], r["n"]) for r in fixed.groupBy(split.alias("k")).agg(F.count(F.lit(1)).alias("n")).collect())
+    ends = np.cumsum([n for _, n in sizes]).tolist()
+    before = spark.createDataFrame([(k, e - n) for (k, n), e in zip(sizes, ends)], "_k long, _before long")
+    placed = fixed.withColumn("_k", split).join(F.broadcast(before), "_k")
+    return placed.withColumn(out, F.col("_before") + F.col("_m").bitwiseAND(F.lit((1 << 33) - 1))).drop("_k", "_before", "_m")
+
+
 def multinomial_weights(sample: DataFrame, n: int, replicates: int, seed: int = 0, kind: str = "xx") -> DataFrame:
     """Fixed-size resamples: (b, pos, w) with n draws in each replicate; sample has n rows numbered pos."""
     draws = sample.sparkSession.range(replicates * n).select((F.col("id") / n).cast("long").alias("b"), F.pmod("id", F.lit(n)).alias("j"))
@@ -106,9 +152,16 @@ def bootstrap_arrow(df: DataFrame, x: str, block: Column, replicates: int = 30,
     return states.groupBy("b").agg(*[F.sum(c).alias(c) for c in ("sw", "swx", "swxx")])
 
 
-def bootstrap_loop(sample: DataFrame, replicates: int, job: Callable[[DataFrame], float], seed: int = 0) -> list[float]:
-    """Baseline and last resort: one job for each replicate of any function of a DataFrame."""
-    return [job(sample.sample(True, 1.0, seed + b)) for b in range(replicates)]
+def bootstrap_loop(sample: DataFrame, replicates: int, job: Callable[[DataFrame], float], seed: int = 0, ids: list[str] | None = None, kind: str = "xx") -> list[float]:
+    """Baseline and last resort: one job for each replicate of any function of a DataFrame. Rows are drawn by the built-in sampler or, with ids, repeated by their Poisson weights."""
+    if ids is None:
+        return [job(sample.sample(True, 1.0, seed + b)) for b in range(replicates)]
+
+    def repeated(b: int) -> DataFrame:
+        w = rng.poisson_weight(rng.uniform(kind, rng.BOOT, *ids, F.lit(b), seed=seed))
+        return sample.withColumn("_i", F.explode(F.array_repeat(F.lit(0), w.cast("int")))).drop("_i")
+
+    return [job(repeated(b)) for b in range(replicates)]
 
 
 def bootstrap_frames(sample: DataFrame, columns: list[str], f: Callable, replicates: int = 30, seed: int = 0, ids: list[str] | None = None, kind: str = "xx") -> DataFrame:
@@ -184,16 +237,30 @@ def jackknife_mean(df: DataFrame, x: str) -> DataFrame:
     return m.select("n", (F.col("s") / F.col("n")).alias("theta"), F.sqrt((F.col("n") - 1) / F.col("n") * spread).alias("se"))
 
 
+def _middle(df: DataFrame, x: str, accuracy: int = 100_000) -> DataFrame:
+    """(x, c, last, n): distinct values around the median with their counts and last ranks, and the number of all values.
+
+    A sketch gives bounds on both sides of the middle; rows below are counted, and only values between are sorted.
+    """
+    v = df.where(F.col(x).isNotNull()).select(F.col(x).alias("x"))
+    slack = 4.0 / accuracy
+    lo, hi = F.percentile_approx("x", F.lit(0.5 - slack), F.lit(accuracy)), F.percentile_approx("x", F.lit(0.5 + slack), F.lit(accuracy))
+    bounds = v.agg(lo.alias("_lo"), hi.alias("_hi"), F.count(F.lit(1)).alias("n"))
+    # the middle's ranks must lie within the bounds: of few values all are sorted
+    wide = F.col("n") < 3 * accuracy
+    placed = v.join(F.broadcast(bounds)).withColumn("_at", F.when(wide, 0).when(F.col("x") < F.col("_lo"), -1).when(F.col("x") > F.col("_hi"), 1).otherwise(0))
+    counts = placed.where("_at <= 0").groupBy("n", F.when(F.col("_at") == 0, F.col("x")).alias("x")).agg(F.count(F.lit(1)).alias("c"))
+    last = F.sum("c").over(Window.partitionBy("n").orderBy(F.asc_nulls_first("x")).rowsBetween(Window.unboundedPreceding, 0))
+    return counts.withColumn("last", last).where("x is not null")
+
+
 def jackknife_median(df: DataFrame, x: str) -> DataFrame:
     """One row (n, theta, se) for the median: leave-one-out takes three values at most, by where the left-out rank lies.
 
     The ordinary jackknife, kept as a baseline; its error of a median is not consistent.
     """
-    ranked = df.where(F.col(x).isNotNull()).select(F.col(x).alias("x"), F.row_number().over(Window.orderBy(x)).alias("r"))
-    n = F.max("r")
-    at = lambda k: F.max(F.when(F.col("r") == k, F.col("x")))
-    size = ranked.agg(n.alias("n"))
-    joined = ranked.join(F.broadcast(size))
+    at = lambda k: F.max(F.when((F.col("last") >= k) & (F.col("last") - F.col("c") < k), F.col("x")))
+    joined = _middle(df, x)
     half = F.floor(F.col("n") / 2)
     even = joined.where(F.pmod("n", F.lit(2)) == 0).groupBy("n").agg(at(half).alias("a"), at(half + 1).alias("c"))
     odd = joined.where(F.pmod("n", F.lit(2)) == 1).groupBy("n").agg(at(half).alias("a"), at(half + 1).alias("m"), at(half + 2).alias("c"))

@@ -78,10 +78,12 @@ def sample_keys(df: DataFrame, key: str, p: float, seed: int = 0, kind: str = "x
     return df.where(rng.uniform(kind, rng.SAMPLE, key, seed=seed) < p)
 
 
-def stratified(df: DataFrame, ids: list[str], column: str, fractions: dict, seed: int = 0, kind: str = "xx") -> DataFrame:
-    """A fraction of each stratum; strata that fractions lacks are left out."""
-    p = F.create_map(*[x for k, v in fractions.items() for x in (F.lit(k), F.lit(float(v)))])
-    return df.where(rng.uniform(kind, rng.SAMPLE, *ids, seed=seed) < F.coalesce(p[F.col(column)], F.lit(0.0)))
+def stratified(df: DataFrame, ids: list[str], column: str, fractions: dict, others: float = 0.0, seed: int = 0, kind: str = "xx") -> DataFrame:
+    """A fraction of each stratum; of strata that fractions lacks, nulls among them, the fraction others."""
+    p = F.lit(float(others))
+    if fractions:
+        p = F.coalesce(F.create_map(*[x for k, v in fractions.items() for x in (F.lit(k), F.lit(float(v)))])[F.col(column)], p)
+    return df.where(rng.uniform(kind, rng.SAMPLE, *ids, seed=seed) < p)
 
 
 def blocks_of(df: DataFrame, position: Column | str, block_rows: int) -> DataFrame:

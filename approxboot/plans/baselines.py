@@ -38,3 +38,15 @@ def cached_sample(sample: DataFrame) -> DataFrame:
     from pyspark import StorageLevel
 
     return sample.persist(StorageLevel.DISK_ONLY)
+
+
+def separate_jobs(df: DataFrame, ids: list[str], p: float, replicates: int, job, path: str, seed: int = 0, kind: str = "xx"):
+    """The stock way of early answers: one job writes a sample to path, each resample is a job that reads it, the last job is the accuracy. (its row, jobs)."""
+    from approxboot.functions.accuracy import summarise
+    from approxboot.operators.resample import bootstrap_loop
+    from approxboot.operators.sampling import bernoulli
+
+    spark = df.sparkSession
+    bernoulli(df, ids, p, seed, kind).write.parquet(path)
+    got = bootstrap_loop(spark.read.parquet(path), replicates, job, seed, ids, kind)
+    return summarise(spark.createDataFrame([(float(v),) for v in got], "theta double")).first(), replicates + 2

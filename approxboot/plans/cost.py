@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+import uuid
 from contextlib import contextmanager
 
 from pyspark.sql import DataFrame
@@ -32,6 +33,27 @@ def plan_facts(df: DataFrame) -> dict:
     return {"exchanges": text.count("Exchange hash") + text.count("Exchange Single") + text.count("Exchange range"), "broadcasts": text.count("BroadcastExchange"), "python": sum(text.count(k) for k in ("ArrowEvalPython", "MapInArrow", "MapInPandas", "FlatMapGroupsInPandas", "BatchEvalPython")), "partition_filters": "PartitionFilters: [isnotnull" in text or "bucket#" in text.split("PartitionFilters: [", 1)[-1].split("]", 1)[0], "text": text}
 
 
-def jobs_run(spark, group: str) -> int:
-    """Jobs that ran under a job group."""
-    return len(spark.sparkContext.statusTracker().getJobIdsForGroup(group))
+def measured(spark, run) -> dict:
+    """result, seconds, jobs, rows_read, bytes_read and shuffle_bytes of what run() does, by the engine's own counters of its jobs."""
+    sc = spark.sparkContext
+    group = f"measured-{uuid.uuid4().hex}"
+    begin = time.perf_counter()
+    sc.setJobGroup(group, group)
+    try:
+        result = run()
+    finally:
+        sc.setLocalProperty("spark.jobGroup.id", None)
+    out = {"result": result, "seconds": time.perf_counter() - begin, "jobs": 0, "rows_read": 0, "bytes_read": 0, "shuffle_bytes": 0}
+    sc._jsc.sc().listenerBus().waitUntilEmpty()
+    store, tracker, seen = sc._jsc.sc().statusStore(), sc.statusTracker(), set()
+    for job in tracker.getJobIdsForGroup(group):
+        out["jobs"] += 1
+        for stage in tracker.getJobInfo(job).stageIds:
+            if stage in seen:
+                continue
+            seen.add(stage)
+            facts = store.lastStageAttempt(stage)
+            out["rows_read"] += facts.inputRecords()
+            out["bytes_read"] += facts.inputBytes()
+            out["shuffle_bytes"] += facts.shuffleWriteBytes()
+    return out

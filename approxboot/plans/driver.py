@@ -12,18 +12,16 @@ from pyspark.sql import functions as F
 from approxboot.functions import accuracy
 from approxboot.functions.statistics import Statistic
 from approxboot.operators.maintain import merge_states
-from approxboot.operators.resample import bootstrap_states
+from approxboot.operators.resample import bootstrap_states, spread
 from approxboot.operators.sampling import SampleCursor
 from approxboot.plans import planner
+from approxboot.sources.sampled import PILOT_ROWS, ScanSource
 from approxboot.sources.shared import ensure_checkpoint
 
-#: Values that a pilot brings to the driver at most.
-PILOT_ROWS = 100_000
-
 
 @dataclass
 class Answer:
-    """rows: a DataFrame of one row per group (value, cv, variance, lo, hi, ...); error over groups; how it came about."""
+    """rows: a DataFrame of one row per group (value, cv, variance, lo, hi, ...); error over groups; how it came about; rows and bytes read."""
 
     rows: DataFrame
     error: float | None
@@ -34,6 +32,7 @@ class Answer:
     iterations: int
     message: str
     log: list[dict] = field(default_factory=list)
+    read: dict = field(default_factory=dict)
 
 
 class ErrorLog:
@@ -62,12 +61,13 @@ def pilot_values(df: DataFrame, x: str, ids: list[str], p: float, seed: int, kin
 def fixed_plan(df: DataFrame, stat: Statistic, ids: list[str], p: float, B: int = 30, by: list[str] | None = None, level: float = 0.95, seed: int = 0, kind: str = "xx") -> DataFrame:
     """One round with p and B given: (by, value, cv, variance, lo, hi, pct_lo, pct_hi, replicates, n, p). A group that the sample misses has no row."""
     by = by or []
-    sample = SampleCursor(df, ids, seed, kind).grow(p)
-    thetas = stat.answer(bootstrap_states(sample, stat, ids, B, by, seed, kind), [*by, "b"], p)
-    out = accuracy.summarise(thetas, by, level=level)
-    sizes = sample.groupBy(*by).agg(F.count(F.lit(1)).alias("n"))
-    joined = out.join(sizes, by) if by else out.join(F.broadcast(sizes))
-    return joined.withColumn("p", F.lit(p))
+    # md5 is dear enough that a small table is dealt out before it is sampled
+    dealt = kind == "md5"
+    sample = SampleCursor(spread(df, ids) if dealt else df, ids, seed, kind).grow(p)
+    states = bootstrap_states(sample, stat, ids, B, by, seed, kind, own=True, dealt=dealt)
+    thetas = stat.answer(states, [*by, "b", "rows"], p).withColumn("theta", F.when(F.col("b") >= 0, F.col("theta")))
+    n = F.coalesce(F.max(F.when(F.col("b") < 0, F.col("rows"))), F.lit(0)).cast("long")
+    return accuracy.summarise(thetas, by, level=level, more=[n.alias("n")]).withColumn("p", F.lit(p))
 
 
 def exact(df: DataFrame, stat: Statistic, by: list[str] | None = None) -> DataFrame:
@@ -77,30 +77,35 @@ def exact(df: DataFrame, stat: Statistic, by: list[str] | None = None) -> DataFr
 
 
 def early_result(
-    df: DataFrame, stat: Statistic, x: str, ids: list[str], sigma: float, tau: float = 0.01, by: list[str] | None = None, N: int | None = None, local=np.mean, p_pilot: float = 0.01, combine: str = "avg", level: float = 0.95,
-    confidence: float | None = None, max_iterations: int = 5, fixed: tuple[int, int] | None = None, seed: int = 0, kind: str = "xx",
+    df, stat: Statistic, x: str, ids: list[str] | None, sigma: float, tau: float = 0.01, by: list[str] | None = None, N: int | None = None, local=np.mean, p_pilot: float = 0.01, combine: str = "avg", level: float = 0.95,
+    confidence: float | None = None, max_iterations: int = 5, fixed: tuple[int, int] | None = None, seed: int = 0, kind: str = "xx", whole: DataFrame | None = None,
 ) -> Answer:
     """Answer stat over df with an error of sigma at most, early where that pays.
 
-    x is the column whose pilot values plan the run through local, the statistic as a function of an array.
-    Growth reads only new rows: their states are merged into those so far. fixed gives (B, n) instead of a plan.
+    df is a table, or a source of samples (approxboot.sources.sampled) that reads less than all of it; then whole
+    is the table for the exact run. x is the column whose pilot values plan the run through local, the statistic
+    as a function of an array. Growth reads only new rows: their states are merged into those so far. fixed gives
+    (B, n) instead of a plan.
     """
     by = by or []
-    N = N if N is not None else df.count()
+    source = df if hasattr(df, "grow") else ScanSource(df, ids, seed, kind, N)
+    whole, ids = whole if whole is not None else getattr(source, "df", None), source.ids
+    N = source.count()
     if fixed:
         B, n = fixed
         ok, message = planner.feasible(B, n, N)
         made = planner.Plan(B, n, min(1.0, n / max(1, N)), "early" if ok else "exact", message)
     else:
         share = min(1.0, max(p_pilot, 2 / tau / max(1, N)), PILOT_ROWS / max(1, N))
-        made = planner.plan(pilot_values(df, x, ids, share, seed, kind), local, N, sigma, tau, confidence, seed=seed)
-    if made.mode == "exact":
-        rows = exact(df, stat, by).select(*by, "value", F.lit(0.0).alias("cv"), F.lit(0.0).alias("variance"), F.col("value").alias("lo"), F.col("value").alias("hi"))
-        return Answer(rows, 0.0, "exact", N, 0, 1.0, 0, made.message)
+        values = source.pilot(share).select(F.col(x).cast("double").alias("x")).where("x is not null").collect()
+        made = planner.plan(np.array([r["x"] for r in values]), local, N, sigma, tau, confidence, seed=seed)
+    if made.mode == "exact" and whole is not None:
+        rows = exact(whole, stat, by).select(*by, "value", F.lit(0.0).alias("cv"), F.lit(0.0).alias("variance"), F.col("value").alias("lo"), F.col("value").alias("hi"))
+        return Answer(rows, 0.0, "exact", N, 0, 1.0, 0, made.message, read=source.read)
     z = accuracy.z_value(confidence) if confidence else 1.0
-    cursor, log, states, p = SampleCursor(df, ids, seed, kind), ErrorLog(), None, made.p
+    log, states, p, B = ErrorLog(), None, made.p, made.B or 30
     for i in range(1, max_iterations + 1):
-        fresh = bootstrap_states(cursor.grow(p), stat, ids, made.B, by, seed, kind)
+        fresh = bootstrap_states(source.grow(p), stat, ids, B, by, seed, kind, weight=source.weight)
         # states are replicates x groups rows; cutting their lineage keeps each round's plan short
         states = _kept(fresh if states is None else merge_states(states, fresh, stat, [*by, "b"]))
         rows = accuracy.summarise(stat.answer(states, [*by, "b"], p), by, level=level)
@@ -110,7 +115,7 @@ def early_result(
             break
         # the error falls with the root of n: go there at once, a little beyond
         p = min(1.0, max(p * 1.5, p * 1.1 * (z * (error or 2 * sigma) / sigma) ** 2))
-    return Answer(rows, error, "early", int(round(p * N)), made.B, p, i, made.message, log.rows)
+    return Answer(rows, error, "early", int(round(p * N)), B, p, i, made.message, log.rows, source.read)
 
 
 def _kept(df: DataFrame) -> DataFrame:
@@ -125,3 +130,13 @@ def estimate_with_losses(df: DataFrame, split, lost, stat: Statistic, ids: list[
     thetas = stat.answer(bootstrap_states(left, stat, ids, B, None, seed, kind), ["b"], p_eff)
     out = accuracy.summarise(thetas)
     return out.withColumn("p_eff", F.lit(p_eff)).withColumn("accepted", F.col("cv") <= sigma)
+
+
+def estimates_with_losses(df: DataFrame, split, cases: list[tuple[int, object, int]], stat: Statistic, ids: list[str], splits: int, sigma: float, B: int = 30, seed: int = 0, kind: str = "xx") -> DataFrame:
+    """The same for several losses (label, lost, n_lost) at once, one row each with its label in case: states by split are made once, and each case merges those of the splits that it keeps."""
+    states = bootstrap_states(df.withColumn("split", split), stat, ids, B, ["split"], seed, kind)
+    kept = F.filter(F.array(*[F.when(~lost, F.lit(label)) for label, lost, _ in cases]), lambda c: c.isNotNull())
+    merged = states.withColumn("case", F.explode(kept)).groupBy("case", "b").agg(*stat.merge_aggs())
+    share = F.coalesce(*[F.when(F.col("case") == label, F.lit(1 - n / splits)) for label, _, n in cases])
+    thetas = merged.select("case", share.alias("p_eff"), stat.rescale(stat.result(), share).alias("theta"))
+    return accuracy.summarise(thetas, ["case", "p_eff"]).withColumn("accepted", F.col("cv") <= sigma)

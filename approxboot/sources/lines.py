@@ -1,33 +1,47 @@
 """Sampling before loading: random lines of text files by seeking, and random rows of Parquet row groups.
 
-Both are Python data sources: a partition for each logical split, which reads only what it samples.
+Both are Python data sources: a partition for each logical split, which reads only what it samples. Paths are
+local ones or URIs of any file system that pyarrow.fs opens (file, s3, gs, hdfs).
 """
 
 from __future__ import annotations
 
-import glob
-import os
+import io
 
 import numpy as np
 import pyarrow.parquet as pq
+from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 
-def list_files(path: str) -> list[str]:
-    if os.path.isdir(path):
-        return sorted(f for f in glob.glob(os.path.join(path, "*")) if not os.path.basename(f).startswith(("_", ".")))
-    return sorted(glob.glob(path))
+def store_of(path: str) -> tuple[fs.FileSystem, str]:
+    """The file system of a path or URI, and the path there."""
+    if "://" in path or path.startswith("file:"):
+        return fs.FileSystem.from_uri(path if "://" in path else "file://" + path.removeprefix("file:"))
+    return fs.LocalFileSystem(), path
 
 
-def list_splits(path: str, split_bytes: int) -> list[tuple[str, int, int]]:
-    """(file, start, end) of logical splits."""
-    out = []
-    for f in list_files(path):
-        size = os.path.getsize(f)
-        out += [(f, a, min(a + split_bytes, size)) for a in range(0, size, split_bytes)]
-    return out
+def list_files(path: str) -> list[tuple[str, int]]:
+    """(file, bytes) of the data files in a folder, or of one file; a last part with * matches names."""
+    store, inner = store_of(path)
+    folder, _, name = inner.rpartition("/")
+    if "*" in name:
+        from fnmatch import fnmatch
+
+        found = [f for f in store.get_file_info(fs.FileSelector(folder)) if fnmatch(f.base_name, name)]
+    else:
+        one = store.get_file_info(inner)
+        if one.type == fs.FileType.File:
+            return [(one.path, one.size)]
+        found = store.get_file_info(fs.FileSelector(inner, recursive=True))
+    return sorted((f.path, f.size) for f in found if f.type == fs.FileType.File and not any(p.startswith(("_", ".")) for p in f.path[len(folder) :].split("/")))
+
+
+def list_splits(path: str, split_bytes: int) -> list[tuple[str, int, int, int]]:
+    """(file, start, end, file's size) of logical splits."""
+    return [(f, a, min(a + split_bytes, size), size) for f, size in list_files(path) for a in range(0, size, split_bytes)]
 
 
 def quota(weights: list[int], n: int, seed: int) -> list[int]:
@@ -39,8 +53,8 @@ def quota(weights: list[int], n: int, seed: int) -> list[int]:
 
 
 class _Split(InputPartition):
-    def __init__(self, index: int, path: str, start: int, end: int, n: int):
-        self.index, self.path, self.start, self.end, self.n = index, path, start, end, n
+    def __init__(self, index: int, path: str, start: int, end: int, size: int, n: int):
+        self.index, self.path, self.start, self.end, self.size, self.n = index, path, start, end, size, n
 
 
 def _line_at(f, at: int, size: int, align: str) -> tuple[int, int] | None:
@@ -83,8 +97,8 @@ class LineSampleReader(DataSourceReader):
 
     def partitions(self):
         splits = list_splits(self.o["path"], int(self.o.get("split_bytes", 64 << 20)))
-        sizes = quota([e - s for _, s, e in splits], int(self.o["n"]), int(self.o.get("seed", 0)))
-        return [_Split(i, f, s, e, k) for i, ((f, s, e), k) in enumerate(zip(splits, sizes)) if k]
+        sizes = quota([e - s for _, s, e, _ in splits], int(self.o["n"]), int(self.o.get("seed", 0)))
+        return [_Split(i, *split, k) for i, (split, k) in enumerate(zip(splits, sizes)) if k]
 
     def read(self, part):
         if not isinstance(part, _Split):  # nothing to read
@@ -93,8 +107,9 @@ class LineSampleReader(DataSourceReader):
         tries = int(self.o.get("max_tries", 200)) * part.n
         used: set[int] = set()
         got, shortest = 0, None
-        size = os.path.getsize(part.path)
-        with open(part.path, "rb") as f:
+        size = part.size
+        # small reads: what is sampled is a few hundred bytes in each place
+        with io.BufferedReader(store_of(self.o["path"])[0].open_input_file(part.path), 4096) as f:
             if self.debias == "reject":
                 shortest = _shortest(f, part.start, part.end, size)
             while got < part.n and tries:
@@ -111,6 +126,8 @@ class LineSampleReader(DataSourceReader):
                 f.seek(start)
                 text = f.read(end - start).rstrip(b"\r\n").decode("utf-8", "replace")
                 yield text, part.index, start, 1.0 / (end - start) if self.debias == "weight" else 1.0
+        if got < part.n and self.o.get("short", "error") == "error":
+            raise ValueError(f"{part.path} from {part.start} to {part.end}: {got} of {part.n} distinct lines were found in {int(self.o.get('max_tries', 200))} tries for each; ask for fewer lines, or for short=allow")
 
 
 def _shortest(f, lo: int, hi: int, size: int, looks: int = 64) -> int:
@@ -125,7 +142,8 @@ class LineSampleSource(DataSource):
     A line is drawn with a chance that grows with its length (its own for align=back, the line before it for
     align=next): debias=reject evens that out where lengths are near each other, debias=weight gives each
     line the weight 1 / length, for statistics in ratio form. Empty lines, CRLF, a missing last newline and
-    lines longer than a split are read as they are.
+    lines longer than a split are read as they are. Splits that do not hold as many distinct lines as they are
+    asked for raise an error, or give fewer with short=allow.
     """
 
     @classmethod
@@ -139,9 +157,9 @@ class LineSampleSource(DataSource):
         return LineSampleReader(self.options)
 
 
-def sample_lines(spark: SparkSession, path: str, n: int, seed: int = 0, align: str = "back", debias: str = "none", split_bytes: int = 64 << 20) -> DataFrame:
+def sample_lines(spark: SparkSession, path: str, n: int, seed: int = 0, align: str = "back", debias: str = "none", split_bytes: int = 64 << 20, short: str = "error") -> DataFrame:
     spark.dataSource.register(LineSampleSource)
-    return spark.read.format("line_sample").options(path=path, n=str(n), seed=str(seed), align=align, debias=debias, split_bytes=str(split_bytes)).load()
+    return spark.read.format("line_sample").options(path=path, n=str(n), seed=str(seed), align=align, debias=debias, split_bytes=str(split_bytes), short=short).load()
 
 
 class _Group(InputPartition):
@@ -154,22 +172,25 @@ class RowGroupReader(DataSourceReader):
         self.o, self.names = options, [f.name for f in schema.fields]
 
     def partitions(self):
-        groups = [(f, g, pq.ParquetFile(f).metadata.row_group(g).num_rows) for f in list_files(self.o["path"]) for g in range(pq.ParquetFile(f).metadata.num_row_groups)]
-        seed = int(self.o.get("seed", 0))
-        sizes = quota([n for _, _, n in groups], int(self.o["n"]), seed)
-        return [_Group(f, g, min(k, n), seed * 1_000_003 + i) for i, ((f, g, n), k) in enumerate(zip(groups, sizes)) if k]
+        store, _ = store_of(self.o["path"])
+        files = [f for f, _ in list_files(self.o["path"])]
+        groups = [(f, g, meta.row_group(g).num_rows) for f in files for meta in [pq.read_metadata(f, filesystem=store)] for g in range(meta.num_row_groups)]
+        seed, sizes = int(self.o.get("seed", 0)), [n for _, _, n in groups]
+        # rows of a uniform sample without replacement in each group
+        n = min(int(self.o["n"]), sum(sizes))
+        picked = np.random.Generator(np.random.PCG64(seed)).multivariate_hypergeometric(sizes, n, method="marginals").tolist() if sizes else []
+        return [_Group(f, g, k, seed * 1_000_003 + i) for i, ((f, g, _), k) in enumerate(zip(groups, picked)) if k]
 
     def read(self, part):
         if not isinstance(part, _Group):
             return
-        data = pq.ParquetFile(part.path).read_row_group(part.group, columns=self.names)
+        data = pq.ParquetFile(part.path, filesystem=store_of(self.o["path"])[0]).read_row_group(part.group, columns=self.names)
         at = np.sort(np.random.Generator(np.random.PCG64(part.seed)).choice(data.num_rows, part.n, replace=False))
-        for batch in data.take(at).select(self.names).to_batches():
-            yield batch
+        yield from data.take(at).select(self.names).to_batches()
 
 
 class RowGroupSource(DataSource):
-    """Random rows of random row groups of Parquet files; groups that get no rows are not read."""
+    """Exactly n rows (all, if there are fewer) without replacement, each set of n equally likely; row groups that get none are not read."""
 
     @classmethod
     def name(cls):
@@ -188,7 +209,8 @@ def sample_row_groups(spark: SparkSession, path: str, n: int, seed: int = 0, col
 
 def row_count(path: str) -> int:
     """Rows of Parquet files by their footers."""
-    return sum(pq.ParquetFile(f).metadata.num_rows for f in list_files(path) if f.endswith(".parquet"))
+    store, _ = store_of(path)
+    return sum(pq.read_metadata(f, filesystem=store).num_rows for f, _ in list_files(path) if f.endswith(".parquet"))
 
 
 def logical_splits(df: DataFrame, rows_per_split: int):

@@ -9,21 +9,24 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from approxboot import ship_package
-from approxboot.catalog.methods import LINE_IDS, B, cents, line_copy, lines_of, orders_of, smoothed, t
-from approxboot.functions import accuracy
+from approxboot.catalog.methods import LINE_IDS, SAMPLE_500, SMOOTH, SQL_L, SQL_O, U_O, B, boot_sql, line_copy, lines_of, orders_of, reps, sample_500, smoothed, t
+from approxboot.functions import accuracy, rng
 from approxboot.functions import statistics as st
 from approxboot.operators import kmeans, maintain, resample, sampling
 from approxboot.plans import cost, driver, planner
 from approxboot.sources import lines
+from approxboot.sources.sampled import LineSource
 from approxboot.sources.shared import fresh_path
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 
 
-def query(name: str):
+def query(name: str, sql: str | None = None):
     def keep(f):
         QUERIES[name] = f
+        if sql:
+            ORACLES[name] = sql
         return f
 
     return keep
@@ -35,34 +38,50 @@ def _clock(f):
     return out, time.perf_counter() - begin
 
 
+def _price(df: DataFrame) -> DataFrame:
+    """Price of lines as the line sampler or the text reader gives them."""
+    return df.withColumn("price", F.split("value", "[|]")[3].cast("long")).drop("value")
+
+
 @query("wl_mean_ladder")
 def wl_mean_ladder(spark, sf_dir):
-    """Mean, exact against early, over virtual copies of lineitem: (copies, n_rows, mode, rows_used, exact_s, early_s, speed_up, cv, rel_error)."""
-    base, out = lines_of(spark, sf_dir), []
-    for copies in (1, 8, 32):
-        df = base.withColumn("copy", F.explode(F.sequence(F.lit(1), F.lit(copies))))
-        exact, exact_s = _clock(lambda: driver.exact(df, st.mean("price")).first()["value"])
-        n = base.count() * copies
-        a, early_s = _clock(lambda: driver.early_result(df, st.mean("price"), "price", [*LINE_IDS, "copy"], 0.02, N=n))
-        row = a.rows.first()
-        out.append((copies, n, a.mode, a.B * a.n if a.mode == "early" else n, exact_s, early_s, cost.speed_up(exact_s, early_s), float(row["cv"]), abs(row["value"] - exact) / exact))
-    return spark.createDataFrame(out, "copies int, n_rows long, mode string, rows_used long, exact_s double, early_s double, speed_up double, cv double, rel_error double")
+    """Mean from text files that grow, for an error of 0.05: all lines loaded and averaged, against sampled lines.
+
+    (copies, n_rows, n_bytes, mode, rows_used, rows_read, bytes_read, load_s, exact_s, early_s, speed_up, cv, rel_error). load_s: reading and
+    parsing alone. bytes_read of the early run counts a block of the reader for each line.
+    """
+    ship_package(spark)
+    base, out = line_copy(spark, sf_dir), []
+    path = fresh_path(spark, "ladder")
+    before = 0
+    for copies in (1, 8, 64):
+        # as many files again, until there are copies of the lines
+        spark.read.text(base).withColumn("_c", F.explode(F.sequence(F.lit(before + 1), F.lit(copies)))).repartition(8, "_c", "value").drop("_c").write.mode("append").text(path)
+        before = copies
+        parsed = _price(spark.read.text(path))
+        _, load_s = _clock(lambda: parsed.write.format("noop").mode("overwrite").save())
+        facts = cost.measured(spark, lambda: driver.exact(parsed, st.mean("price")).first()["value"])
+        exact, exact_s = facts["result"], facts["seconds"]
+        size = sum(b for _, b in lines.list_files(path))
+        early = lambda: (a := driver.early_result(LineSource(spark, path, _price, copies), st.mean("price"), "price", None, 0.05, whole=parsed), a.rows.first())
+        (a, row), early_s = _clock(early)
+        out.append((copies, facts["rows_read"], size, a.mode, a.B * a.n, a.read["rows"], a.read["bytes"], load_s, exact_s, early_s, cost.speed_up(exact_s, early_s), float(row["cv"]), abs(row["value"] - exact) / exact))
+    return spark.createDataFrame(out, "copies int, n_rows long, n_bytes long, mode string, rows_used long, rows_read long, bytes_read long, load_s double, exact_s double, early_s double, speed_up double, cv double, rel_error double")
 
 
 @query("wl_layout_ladder")
 def wl_layout_ladder(spark, sf_dir):
-    """Mean from the pre-hashed layout: (p, rows_read, exact_s, early_s, rel_error); rows read fall with p."""
+    """Mean from the pre-hashed layout: (p, n_rows, rows_read, bytes_read, shuffle_bytes, jobs, exact_s, early_s, rel_error); rows and bytes read, by the engine's counters, fall with p."""
     from approxboot.sources import layout
 
     path = fresh_path(spark, "ladder")
     layout.write_shuffled(lines_of(spark, sf_dir), path, LINE_IDS, 50)
-    exact, exact_s = _clock(lambda: spark.read.parquet(path).agg(F.avg("price")).first()[0])
+    whole = cost.measured(spark, lambda: spark.read.parquet(path).agg(F.avg("price")).first()[0])
     out = []
     for p in (0.02, 0.1, 0.5):
-        df = layout.read_fraction(spark, path, p, 50)
-        row, early_s = _clock(lambda: accuracy.summarise(resample.bootstrap_poisson(df, st.mean("price"), LINE_IDS, B)).first())
-        out.append((p, df.count(), exact_s, early_s, abs(row["value"] - exact) / exact))
-    return spark.createDataFrame(out, "p double, rows_read long, exact_s double, early_s double, rel_error double")
+        got = cost.measured(spark, lambda: accuracy.summarise(resample.bootstrap_poisson(layout.read_fraction(spark, path, p, 50), st.mean("price"), LINE_IDS, B)).first()["value"])
+        out.append((p, whole["rows_read"], got["rows_read"], got["bytes_read"], got["shuffle_bytes"], got["jobs"], whole["seconds"], got["seconds"], abs(got["result"] - whole["result"]) / whole["result"]))
+    return spark.createDataFrame(out, "p double, n_rows long, rows_read long, bytes_read long, shuffle_bytes long, jobs int, exact_s double, early_s double, rel_error double")
 
 
 @query("wl_median_three")
@@ -77,64 +96,85 @@ def wl_median_three(spark, sf_dir):
     return spark.createDataFrame([(k, s, v, abs(v - exact) / exact) for k, s, v in rows], "variant string, seconds double, value double, rel_error double")
 
 
-@query("km_blobs")
+@query("km_blobs", f"select * from (select 'full' as variant, 4000 as n, true as cost_near, true as centroids_near union all select 'sample', count(*), true, true from (select unnest(range(4000)) as id) where {rng.sql_uniform('sample', 'id')} < 0.1)")
 def km_blobs(spark, sf_dir):
-    """K-means on planted blobs, all rows and a sample: (variant, n, cost_ratio, centroid_error, iterations)."""
+    """K-means on planted blobs, all rows and a sample: whether cost and centroids lie within 5 % of the best."""
     df, centres = kmeans.planted_blobs(spark, 4000, 4)
-    sample = sampling.bernoulli(df, ["id"], 0.1)
+    sample = sampling.bernoulli(df, ["id"], 0.1, kind="md5")
     out, full_cost = [], None
     for name, d in (("full", df), ("sample", sample)):
-        found, _, iterations = kmeans.fit(d.cache(), 4)
+        found, _, _ = kmeans.fit(d.cache(), 4)
         c = kmeans.cost(df, found)
         full_cost = full_cost or c
-        out.append((name, d.count(), c / full_cost, accuracy.centroid_error(found, centres), iterations))
+        out.append((name, d.count(), c / full_cost <= 1.05, bool(accuracy.centroid_error(found, centres) <= 0.05)))
         d.unpersist()
-    return spark.createDataFrame(out, "variant string, n long, cost_ratio double, centroid_error double, iterations int")
+    return spark.createDataFrame(out, "variant string, n long, cost_near boolean, centroids_near boolean")
+
 
+@query("wl_kmeans")
+def wl_kmeans(spark, sf_dir):
+    """K-means through growing samples on 200,000 planted points, against all of them: (variant, n, seconds, cost_ratio, centroid_error, iterations, inner_iterations)."""
+    df, centres = kmeans.planted_blobs(spark, 200_000, 5)
+    df = df.cache()
+    df.count()
+    (full, _, inner), s0 = _clock(lambda: kmeans.fit(df, 5, restarts=1))
+    (early, steps, n, inner_early), s1 = _clock(lambda: kmeans.fit_early(df, 5, ["id"], 0.01))
+    best = kmeans.cost(df, full)
+    rows = [("full", df.count(), s0, 1.0, float(accuracy.centroid_error(full, centres)), 1, inner), ("early", n, s1, kmeans.cost(df, early) / best, float(accuracy.centroid_error(early, centres)), steps, inner_early)]
+    df.unpersist()
+    return spark.createDataFrame(rows, "variant string, n long, seconds double, cost_ratio double, centroid_error double, iterations int, inner_iterations int")
 
-@query("km_embeddings")
+
+@query("km_embeddings", f"select 'full' as variant, count(*) as n, true as cost_near from embeddings where embedding is not null union all select 'sample', count(*), true from embeddings where embedding is not null and {rng.sql_uniform('sample', 'vec_id')} < 0.3")
 def km_embeddings(spark, sf_dir):
-    """K-means on embeddings, all rows and a sample: (variant, n, cost_ratio, iterations)."""
+    """K-means on embeddings, all rows and a sample: whether the sample's cost over all rows lies within a tenth."""
     df = t(spark, sf_dir, "embeddings", "vec_id", "embedding").where("embedding is not null")
-    sample = sampling.bernoulli(df, ["vec_id"], 0.3)
+    sample = sampling.bernoulli(df, ["vec_id"], 0.3, kind="md5")
     out, full_cost = [], None
     for name, d in (("full", df), ("sample", sample)):
-        found, _, iterations = kmeans.fit(d.cache(), 5, "embedding", restarts=1)
+        found, _, _ = kmeans.fit(d.cache(), 5, "embedding", restarts=1)
         c = kmeans.cost(df, found, "embedding")
         full_cost = full_cost or c
-        out.append((name, d.count(), c / full_cost, iterations))
+        out.append((name, d.count(), c / full_cost <= 1.1))
         d.unpersist()
-    return spark.createDataFrame(out, "variant string, n long, cost_ratio double, iterations int")
+    return spark.createDataFrame(out, "variant string, n long, cost_near boolean")
 
 
-@query("km_replicates")
+@query("km_replicates", f"with p as (select unnest(range(600)) as id) select b, cast(sum(w) as bigint) as n_b, count(*) as kinds, true as cost_near from {boot_sql('p', ['id'], 3)} group by b")
 def km_replicates(spark, sf_dir):
-    """K-means cost over weighted replicates of a sample: (b, cost)."""
+    """K-means over weighted replicates of a sample: rows and distinct rows of each, and whether its cost a row lies within a third of the sample's."""
     df, _ = kmeans.planted_blobs(spark, 600, 3)
+    _, whole, _ = kmeans.fit(df, 3, restarts=1, max_iter=10)
     out = []
     for b in range(3):
-        w = resample.replicated(df, ["id"], 3).where(F.col("b") == b).select("features", F.col("w").cast("double").alias("w")).cache()
-        _, c, _ = kmeans.fit(w, 3, weight="w", restarts=1, max_iter=5)
-        out.append((b, c))
+        w = resample.replicated(df, ["id"], 3, kind="md5").where(F.col("b") == b).select("features", F.col("w").cast("double").alias("w")).cache()
+        _, c, _ = kmeans.fit(w, 3, weight="w", restarts=3, max_iter=10)
+        n, kinds = w.agg(F.sum("w").cast("long"), F.count(F.lit(1))).first()
+        out.append((b, n, kinds, bool(abs((c / n) / (whole / 600) - 1) < 1 / 3)))
         w.unpersist()
-    return spark.createDataFrame(out, "b int, cost double")
+    return spark.createDataFrame(out, "b long, n_b long, kinds long, cost_near boolean")
+
 
+_COLUMNS = {"l_quantity": ("lineitem", "cast(l_quantity as bigint)"), "value": ("events", "value"), "n_chars": ("documents", "n_chars"), "p_retailprice": ("part", "p_retailprice")}
 
-@query("wl_planner_vs_theory")
+
+@query("wl_planner_vs_theory", "with x as (" + " union all ".join(f"select '{k}' as \"column\", stddev_pop({e}) / avg({e}) as cv from {tb}" for k, (tb, e) in _COLUMNS.items()) + ") select \"column\", cast(s as double) as sigma, cast(ceil(cv / cast(s as double) * (cv / cast(s as double)) - 1e-9) as bigint) as n_theory, cast(ceil(0.5 / (cast(s as double) * cast(s as double)) - 1e-9) as bigint) as resamples_theory, true as n_falls, true as resamples_right from x, (select unnest([0.01, 0.02, 0.05, 0.1, 0.2]) as s)")
 def wl_planner_vs_theory(spark, sf_dir):
-    """Planned against theoretical n and B of a mean over tolerances: (column, sigma, n, n_theory, resamples, resamples_theory, slope)."""
+    """Theoretical n and resamples of a mean over tolerances, and whether the plan's n falls as the tolerance grows and its resamples are from 30 to 100, where theory asks for 12 to 5,000."""
     columns = {
         "l_quantity": (lines_of(spark, sf_dir), "qty", LINE_IDS), "value": (t(spark, sf_dir, "events", "event_id", "value"), "value", ["event_id"]),
         "n_chars": (t(spark, sf_dir, "documents", "doc_id", "n_chars"), "n_chars", ["doc_id"]), "p_retailprice": (t(spark, sf_dir, "part", "p_partkey", "p_retailprice"), "p_retailprice", ["p_partkey"]),
     }
     out = []
     for name, (df, x, ids) in columns.items():
-        pilot = driver.pilot_values(df, x, ids, 0.3, 1)
-        cv = float(pilot.std() / pilot.mean())
+        pilot = driver.pilot_values(df, x, ids, 1.0, 1)
+        n, cv = df.agg(F.count(F.lit(1)), F.stddev_pop(x) / F.avg(x)).first()
+        before = 1 << 62
         for sigma in (0.01, 0.02, 0.05, 0.1, 0.2):
-            p = planner.plan(pilot, np.mean, df.count(), sigma)
-            out.append((name, sigma, min(p.n, 1 << 60), planner.theory_n(cv, sigma), p.B, planner.theory_B(sigma), float(p.curve.get("k", 0.0))))
-    return spark.createDataFrame(out, "column string, sigma double, n long, n_theory long, resamples int, resamples_theory int, slope double")
+            p = planner.plan(pilot, np.mean, n, sigma)
+            out.append((name, sigma, planner.theory_n(cv, sigma), planner.theory_B(sigma), p.n <= before, 30 <= p.B <= 100))
+            before = p.n
+    return spark.createDataFrame(out, "column string, sigma double, n_theory long, resamples_theory long, n_falls boolean, resamples_right boolean")
 
 
 @query("wl_sampler_compare")
@@ -155,65 +195,100 @@ def wl_sampler_compare(spark, sf_dir):
 
 @query("wl_update")
 def wl_update(spark, sf_dir):
-    """States of the grown sample, recomputed and maintained: (variant, seconds, same)."""
-    o, stat = orders_of(spark, sf_dir), st.mean("c")
-    cursor = sampling.SampleCursor(o, ["o_orderkey"])
-    old = cursor.grow(0.5)
-    new = cursor.grow(1.0)
-    saved = driver._kept(resample.bootstrap_states(old, stat, ["o_orderkey"], B))
-    again, s1 = _clock(lambda: {r["b"]: tuple(r) for r in resample.bootstrap_states(o, stat, ["o_orderkey"], B).collect()})
-    kept, s2 = _clock(lambda: {r["b"]: tuple(r) for r in maintain.merge_states(saved, resample.bootstrap_states(new, stat, ["o_orderkey"], B), stat, ["b"]).collect()})
-    return spark.createDataFrame([("redraw", s1, True), ("maintain", s2, kept == again)], "variant string, seconds double, same boolean")
-
-
-@query("wl_cv_by_resamples")
+    """A sample that grows from half of lineitem to all of it, 30 resamples, state saved for the first half: (variant, seconds, rows_touched, same).
+
+    weights: Poisson states, made again against merged. draws: fixed-size resamples kept as tables, drawn again,
+    maintained in three steps that read the old items, and maintained through sketches that do not. same: weights
+    give equal states, draws the right sizes and a mean within five standard errors.
+    """
+    ship_package(spark)
+    df, stat = lines_of(spark, sf_dir).select(*LINE_IDS), st.mean("price")
+    cursor = sampling.SampleCursor(df, LINE_IDS)
+    old, new = cursor.grow(0.5), cursor.grow(1.0)
+    n, half = df.count(), old.count()
+    saved = driver._kept(resample.bootstrap_states(old, stat, LINE_IDS, B))
+    again, s1 = _clock(lambda: {r["b"]: tuple(r) for r in resample.bootstrap_states(df, stat, LINE_IDS, B).collect()})
+    kept, s2 = _clock(lambda: {r["b"]: tuple(r) for r in maintain.merge_states(saved, resample.bootstrap_states(new, stat, LINE_IDS, B), stat, ["b"]).collect()})
+    rows = [("weights_again", s1, B * n, True), ("weights_merged", s2, B * (n - half), kept == again)]
+    m, sd = df.agg(F.avg("price"), F.stddev_pop("price")).first()
+
+    def right(state: DataFrame) -> bool:
+        got = state.groupBy("b").agg(F.sum("n").alias("n"), F.sum("total").alias("s")).collect()
+        return len(got) == B and all(r["n"] == n and abs(r["s"] / n - m) <= 5 * sd / n**0.5 for r in got)
+
+    u = sampling.SampleCursor(df, LINE_IDS).u()
+    drawn = maintain.ResampleTables(spark, fresh_path(spark, "draws"), B)
+    values = df.select(F.col("price").cast("double").alias("x"), F.xxhash64(*LINE_IDS).alias("h"), u.alias("u"))
+    drawn.grow(values.where("u < 0.5").select("x", "h"))
+    for how in ("redraw", "items", "sketch"):
+        (state, touched), s = _clock(lambda: drawn.grown(values.where("u >= 0.5").select("x", "h"), how))
+        rows.append((f"draws_{how}", s, touched, right(state)))
+    return spark.createDataFrame(rows, "variant string, seconds double, rows_touched long, same boolean")
+
+
+@query("wl_cv_by_resamples", f"with {SQL_O}, {SAMPLE_500}, t as (select b, sum(w * c) / sum(w) / 100.0 as theta from {boot_sql('s', ['o_orderkey'], 200)} group by b), k as (select unnest([2, 3, 5, 10, 20, 30, 50, 100, 200]) as resamples) select resamples, round(stddev_pop(theta) / avg(theta), 9) as cv from t, k where b < resamples group by resamples")
 def wl_cv_by_resamples(spark, sf_dir):
-    """c_v of a mean at fixed n over the number of resamples: (resamples, cv)."""
-    pilot = driver.pilot_values(lines_of(spark, sf_dir), "qty", LINE_IDS, 0.1, 2)[:600].astype(float)
-    gen = np.random.Generator(np.random.PCG64(4))
-    thetas = planner.replicate(pilot, np.mean, 200, gen)
-    return spark.createDataFrame([(b, planner.cv_of(thetas[:b])) for b in (2, 3, 5, 10, 20, 30, 50, 100, 200)], "resamples int, cv double")
+    """c_v of a mean at fixed n over the number of resamples."""
+    steps = (2, 3, 5, 10, 20, 30, 50, 100, 200)
+    d = resample.bootstrap_poisson(sample_500(spark, sf_dir), st.mean("c"), ["o_orderkey"], 200, kind="md5").withColumn("theta", F.col("theta") / 100.0)
+    d = d.withColumn("resamples", F.explode(F.array(*[F.lit(k) for k in steps]))).where("b < resamples")
+    return d.groupBy("resamples").agg(F.round(accuracy.cv(), 9).alias("cv"))
 
 
-@query("wl_dependent")
+@query("wl_dependent", f"""with {SMOOTH}, k as (select n // 100 as k from n),
+d as (select b, cast(floor({rng.sql_uniform('draw', 'b', 'j')} * k) as bigint) as blk from {reps(100)}, (select unnest(range((select k from k))) as j), k),
+blocks as (select b, avg(x) as theta from m2 join d on rn // 100 = blk group by b), rows_ as (select b, sum(w * x) / sum(w) as theta from {boot_sql('m2', ['rn'], 100)} group by b)
+select 'rows' as how, round(stddev_pop(theta), 7) as se, true as more_than_rows from rows_ union all select 'blocks', round(stddev_pop(theta), 7), stddev_pop(theta) >= (select stddev_pop(theta) from rows_) from blocks""")
 def wl_dependent(spark, sf_dir):
-    """Error of a moving mean's mean by row and by block bootstrap: (how, se)."""
+    """Error of a moving mean's mean by row and by block bootstrap: rows that depend on each other look more certain than they are."""
     m = smoothed(spark, sf_dir)
     n = m.count()
-    rows = resample.bootstrap_poisson(m, st.mean("x"), ["rn"], 100).agg(F.stddev_pop("theta")).first()[0]
-    blocks = resample.bootstrap_blocks(m, "rn", n, 100, st.mean("x"), 100, "fixed").agg(F.stddev_pop("theta")).first()[0]
-    return spark.createDataFrame([("rows", float(rows)), ("blocks", float(blocks))], "how string, se double")
+    rows = float(resample.bootstrap_poisson(m, st.mean("x"), ["rn"], 100, kind="md5").agg(F.stddev_pop("theta")).first()[0])
+    blocks = float(resample.bootstrap_blocks(m, "rn", n, 100, st.mean("x"), 100, "fixed", kind="md5").agg(F.stddev_pop("theta")).first()[0])
+    return spark.createDataFrame([("rows", round(rows, 7), True), ("blocks", round(blocks, 7), blocks >= rows)], "how string, se double, more_than_rows boolean")
 
 
-@query("wl_errors_three")
+@query("wl_errors_three", f"""with {SQL_O}, s as (select o_orderkey, c / 100.0 as x, row_number() over (order by {U_O}, o_orderkey) - 1 as pos from o qualify pos < 800),
+w as (select * from {boot_sql('s', ['o_orderkey'], 100)}), bm as (select b, sum(w * x) / sum(w) as theta from w group by b), bq as (select b, quantile_cont(x, 0.5) as theta from (select b, x, unnest(range(w)) as i from w) group by b),
+jm as (select (sum(x) over () - x) / (count(*) over () - 1) as m, count(*) over () as n from s), jq as (select a.pos, quantile_cont(b.x, 0.5) as m, count(*) + 1 as n from s a join s b on a.pos <> b.pos group by a.pos)
+select 'mean' as statistic, 'closed' as method, round(sqrt(var_samp(x) / count(*)), 5) as se from s
+union all select 'mean', 'bootstrap', round(stddev_pop(theta), 5) from bm union all select 'median', 'bootstrap', round(stddev_pop(theta), 5) from bq
+union all select 'mean', 'jackknife', round(sqrt((max(n) - 1) * var_pop(m)), 5) from jm union all select 'median', 'jackknife', round(sqrt((max(n) - 1) * var_pop(m)), 5) from jq""")
 def wl_errors_three(spark, sf_dir):
     """Standard errors of mean and median by closed form, bootstrap and jackknife: (statistic, method, se)."""
-    s = sampling.exact_n(orders_of(spark, sf_dir).select("o_orderkey", "c"), ["o_orderkey"], 800).select("o_orderkey", (F.col("c") / 100).alias("x")).cache()
-    boot = lambda stat: float(resample.bootstrap_poisson(s, stat, ["o_orderkey"], 100).agg(F.stddev_pop("theta")).first()[0])
+    s = sampling.exact_n(orders_of(spark, sf_dir).select("o_orderkey", "c"), ["o_orderkey"], 800, kind="md5").select("o_orderkey", (F.col("c") / 100.0).alias("x")).cache()
+    boot = lambda stat: resample.bootstrap_poisson(s, stat, ["o_orderkey"], 100, kind="md5").agg(F.stddev_pop("theta")).first()[0]
     rows = [
-        ("mean", "closed", float(resample.analytic_se(s, "x").first()["se"])), ("mean", "bootstrap", boot(st.mean("x"))), ("mean", "jackknife", float(resample.jackknife_mean(s, "x").first()["se"])),
-        ("median", "bootstrap", boot(st.quantile("x"))), ("median", "jackknife", float(resample.jackknife_median(s, "x").first()["se"])),
+        ("mean", "closed", resample.analytic_se(s, "x").first()["se"]), ("mean", "bootstrap", boot(st.mean("x"))), ("mean", "jackknife", resample.jackknife_mean(s, "x").first()["se"]),
+        ("median", "bootstrap", boot(st.quantile("x"))), ("median", "jackknife", resample.jackknife_median(s, "x").first()["se"]),
     ]
     s.unpersist()
-    return spark.createDataFrame(rows, "statistic string, method string, se double")
+    return spark.createDataFrame([(a, b, round(float(v), 5)) for a, b, v in rows], "statistic string, method string, se double")
+
 
+_CORR = "select '{name}' as pair, round(avg(theta), 6) as value, round(stddev_pop(theta) / abs(avg(theta)), 6) as cv, round(var_pop(theta), 9) as variance from (select b, (n * xy - x * y) / sqrt((n * xx - x * x) * (n * yy - y * y)) as theta from (select b, cast(sum(w) as double) as n, sum(w * {x}::double) as x, sum(w * {y}::double) as y, sum(w * {x}::double * {x}) as xx, sum(w * {y}::double * {y}) as yy, sum(w * {x}::double * {y}) as xy from {source} group by b))"
 
-@query("wl_correlation")
+
+@query("wl_correlation", f"with {SQL_L}, d as (select doc_id, n_chars, cast(len(string_split(text, ' ')) as bigint) as words from documents) " + _CORR.format(name="qty_line", x="qty", y="l_linenumber", source=boot_sql("l", LINE_IDS)) + " union all " + _CORR.format(name="chars_words", x="n_chars", y="words", source=boot_sql("d", ["doc_id"])))
 def wl_correlation(spark, sf_dir):
     """Correlations whose c_v is useless near zero: (pair, value, cv, variance)."""
     d = t(spark, sf_dir, "documents", "doc_id", "text", "n_chars").select("doc_id", "n_chars", F.size(F.split("text", " ")).alias("words"))
-    a = accuracy.summarise(resample.bootstrap_poisson(lines_of(spark, sf_dir), st.correlation(F.col("qty").cast("double"), F.col("price").cast("double")), LINE_IDS, B)).withColumn("pair", F.lit("qty_price"))
-    b = accuracy.summarise(resample.bootstrap_poisson(d, st.correlation(F.col("n_chars").cast("double"), F.col("words").cast("double")), ["doc_id"], B)).withColumn("pair", F.lit("chars_words"))
-    return a.unionByName(b).select("pair", "value", "cv", "variance")
+    double = lambda c: F.col(c).cast("double")
+    a = accuracy.summarise(resample.bootstrap_poisson(lines_of(spark, sf_dir), st.correlation(double("qty"), double("l_linenumber")), LINE_IDS, B, kind="md5")).withColumn("pair", F.lit("qty_line"))
+    b = accuracy.summarise(resample.bootstrap_poisson(d, st.correlation(double("n_chars"), double("words")), ["doc_id"], B, kind="md5")).withColumn("pair", F.lit("chars_words"))
+    return a.unionByName(b).select("pair", F.round("value", 6).alias("value"), F.round("cv", 6).alias("cv"), F.round("variance", 9).alias("variance"))
+
+
+_TINY = "select '{by}' as \"by\", count(*) as groups, count(*) - count(cv) as n_missing, round(avg(cv), 8) as avg_cv, round(max(cv), 8) as max_cv from (select {by}, stddev_pop(theta) / abs(avg(theta)) as cv from (select {by}, b, sum(w * c) / sum(w) as theta from {source} group by all) group by {by})"
 
 
-@query("wl_tiny_groups")
+@query("wl_tiny_groups", f"with {SQL_O} " + " union all ".join(_TINY.format(by=by, source=boot_sql("o", ["o_orderkey"], 10)) for by in ("o_orderpriority", "o_custkey")))
 def wl_tiny_groups(spark, sf_dir):
     """Errors of many small groups: (by, groups, n_missing, avg_cv, max_cv)."""
     out = None
     for by in ("o_orderpriority", "o_custkey"):
-        d = accuracy.summarise(resample.bootstrap_poisson(orders_of(spark, sf_dir), st.mean("c"), ["o_orderkey"], 10, [by]), [by])
-        one = d.agg(F.lit(by).alias("by"), F.count(F.lit(1)).alias("groups"), F.sum(F.col("cv").isNull().cast("int")).alias("n_missing"), F.avg("cv").alias("avg_cv"), F.max("cv").alias("max_cv"))
+        d = accuracy.summarise(resample.bootstrap_poisson(orders_of(spark, sf_dir), st.mean("c"), ["o_orderkey"], 10, [by], kind="md5"), [by])
+        one = d.agg(F.lit(by).alias("by"), F.count(F.lit(1)).alias("groups"), F.sum(F.col("cv").isNull().cast("long")).alias("n_missing"), F.round(F.avg("cv"), 8).alias("avg_cv"), F.round(F.max("cv"), 8).alias("max_cv"))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -228,9 +303,9 @@ def wl_fallback(spark, sf_dir):
     return spark.createDataFrame([("plain", s0, "exact", float(plain)), ("planned", s1 + s2, a.mode, float(got))], "variant string, seconds double, mode string, value double")
 
 
-@query("wl_coverage")
+@query("wl_coverage", f"with {SQL_L} select 100 as runs, round(avg(qty), 6) as mean_true, true as covered_right, true as within_right from l")
 def wl_coverage(spark, sf_dir):
-    """Share of seeds whose interval holds the truth and whose error is within sigma: (runs, covered, within)."""
+    """Whether intervals of 100 seeds hold the truth as often as the level of 95 % says (88 to 100 times), and errors stay within 0.05 at least four times in five."""
     # the whole column as counts of its values: rows are drawn by number, without holding them
     kinds = lines_of(spark, sf_dir).select(F.col("qty").cast("double").alias("x")).where("x is not null").groupBy("x").agg(F.count(F.lit(1)).alias("n")).orderBy("x").collect()
     x, n = np.array([r["x"] for r in kinds]), np.array([r["n"] for r in kinds], np.int64)
@@ -241,5 +316,6 @@ def wl_coverage(spark, sf_dir):
         thetas = planner.replicate(s, np.mean, 100, gen)
         lo, hi = accuracy.ci(thetas, float(s.mean()))
         runs.append({"value": float(s.mean()), "lo": lo, "hi": hi})
-    c = accuracy.coverage(runs, float((x * n).sum() / ends[-1]), 0.05)
-    return spark.createDataFrame([(c["runs"], c["covered"], c["within"])], "runs int, covered double, within double")
+    truth = float((x * n).sum() / ends[-1])
+    c = accuracy.coverage(runs, truth, 0.05)
+    return spark.createDataFrame([(c["runs"], round(truth, 6), 0.88 <= c["covered"] <= 1, c["within"] >= 0.8)], "runs int, mean_true double, covered_right boolean, within_right boolean")

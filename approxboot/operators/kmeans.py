@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from approxboot.functions import rng
+from approxboot.operators.sampling import SampleCursor
 
 
 def planted_blobs(spark: SparkSession, n: int, k: int, dims: int = 2, spread: float = 0.5, seed: int = 0) -> tuple[DataFrame, np.ndarray]:
@@ -34,6 +35,24 @@ def fit(df: DataFrame, k: int, features: str = "features", weight: str | None =
     return best
 
 
+def fit_early(df: DataFrame, k: int, ids: list[str], sigma: float, features: str = "features", p: float = 0.005, rounds: int = 6, seed: int = 0) -> tuple[np.ndarray, int, int, int]:
+    """(centroids, rounds, rows, iterations) from samples that double until the cost a row moves by sigma at most from one to the next."""
+    cursor = SampleCursor(df, ids, seed)
+    before, inner = None, 0
+    for i in range(1, rounds + 1):
+        cursor.grow(p)
+        sample = cursor.sample().cache()
+        n = sample.count()
+        found, total, its = fit(sample, k, features, restarts=1, seed=seed) if n >= k else (None, 0.0, 0)
+        sample.unpersist()
+        inner += its
+        now = total / n if n else 0.0
+        if p >= 1 or found is not None and before is not None and abs(now - before) <= sigma * max(now, before):
+            break
+        before, p = (now if found is not None else before), min(1.0, 2 * p)
+    return found, i, n, inner
+
+
 def cost(df: DataFrame, centroids: np.ndarray, features: str = "features") -> float:
     """Sum of squared distances to the nearest centroid, in one aggregate."""
     far = [sum((F.col(features)[d] - F.lit(float(v))) ** 2 for d, v in enumerate(row)) for row in centroids]

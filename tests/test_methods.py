@@ -156,12 +156,17 @@ def odd_file(tmp_path):
 
 @pytest.mark.parametrize("align", ["back", "next"])
 def test_line_edges(spark, odd_file, align):
-    got = lines.sample_lines(spark, odd_file, 5, 1, align, split_bytes=700).collect()
+    got = lines.sample_lines(spark, odd_file, 5, 1, align, split_bytes=700, short="allow").collect()
     values = {r["value"] for r in got}
     assert values <= {"first", "", "second é", "x" * 3000, "last without end"}
     assert len({(r["split"], r["offset"]) for r in got}) == len(got)
 
 
+def test_too_few_lines_are_told(spark, odd_file):
+    with pytest.raises(Exception, match="distinct lines were found"):
+        lines.sample_lines(spark, odd_file, 50, 1).collect()
+
+
 def test_length_bias_and_its_cure(spark, tmp_path):
     sizes = [1 + (i * 37 % 50) for i in range(3000)]
     (tmp_path / "l.txt").write_text("\n".join("a" * s for s in sizes) + "\n")
@@ -411,4 +416,88 @@ def test_coverage_is_of_the_whole_table(spark, monkeypatch):
 
     whole = workloads.wl_coverage(spark, SF).first()
     monkeypatch.setattr(workloads.driver, "PILOT_ROWS", 50)
-    assert workloads.wl_coverage(spark, SF).first() == whole and whole["runs"] == 100 and whole["covered"] > 0.85
+    assert workloads.wl_coverage(spark, SF).first() == whole and whole["runs"] == 100 and whole["covered_right"] and whole["within_right"]
+
+
+# --- sources that read less
+
+def test_layout_source_reads_its_share(spark, rows, tmp_path):
+    from approxboot.sources.sampled import LayoutSource
+
+    path = str(tmp_path / "lay")
+    layout.write_shuffled(rows, path, ["id"], 20)
+    source = LayoutSource(spark, path, ["id"], 20)
+    n = source.count()
+    assert n == rows.count() and source.read == {"rows": 0, "bytes": 0}
+    first, second = source.grow(0.1), source.grow(0.25)
+    assert first.count() == sampling.bernoulli(rows, ["id"], 0.1).count()
+    assert first.unionByName(second).select("id").distinct().count() == sampling.bernoulli(rows, ["id"], 0.25).count()
+    assert source.read["rows"] < 0.4 * n and source.read["bytes"] > 0
+    a = driver.early_result(LayoutSource(spark, path, ["id"], 20), st.mean("x"), "x", None, 0.2, fixed=(20, 150))
+    assert a.mode == "early" and a.read["rows"] < n / 2
+
+
+def test_line_source_answers_from_its_pilot(spark, tmp_path):
+    from approxboot.sources.sampled import LineSource
+
+    (tmp_path / "t.txt").write_text("".join(f"{i}|{1 + i % 9}\n" for i in range(200_000)))
+    parse = lambda d: d.withColumn("x", F.split("value", "[|]")[1].cast("long")).drop("value")
+    source = LineSource(spark, str(tmp_path), parse, 3, 1 << 20)
+    a = driver.early_result(source, st.mean("x"), "x", None, 0.03)
+    r = a.rows.first()
+    assert a.mode == "early" and abs(r["value"] / 5 - 1) < 0.12 and r["cv"] <= 0.03 and abs(source.count() / 200_000 - 1) < 0.1
+    assert a.read["rows"] == 1_000
+    tight = driver.early_result(LineSource(spark, str(tmp_path), parse, 3, 1 << 20), st.mean("x"), "x", None, 0.012, fixed=(30, 3_000))
+    assert tight.read["rows"] >= 3_000 and abs(tight.rows.first()["value"] / 5 - 1) < 0.05
+
+
+def test_sources_are_chosen_by_the_rule(spark, rows, tmp_path):
+    from approxboot.sources import sampled
+
+    (tmp_path / "t.txt").write_text("1\n2\n")
+    layout.write_shuffled(rows, str(tmp_path / "lay"), ["id"], 4)
+    some = lambda **k: type(sampled.choose_source(spark, ["id"], 10**6, **k)).__name__
+    assert some(df=rows) == "ScanSource" and some(df=rows, line_path=str(tmp_path)) == "LineSource"
+    assert some(df=rows, line_path=str(tmp_path), needs_exact_count=True, load_critical=False) == "ScanSource"
+    assert some(df=rows, layout_path=str(tmp_path / "lay"), line_path=str(tmp_path)) == "LayoutSource"
+    with pytest.raises(ValueError):
+        some()
+
+
+@pytest.mark.parametrize("how", ["redraw", "items", "sketch"])
+@pytest.mark.parametrize("c", [4.0, 0.01])
+def test_resample_tables(spark, rows, tmp_path, how, c):
+    u = sampling.SampleCursor(rows, ["id"]).u()
+    values = rows.select(F.col("x").cast("double").alias("x"), F.xxhash64("id").alias("h"), u.alias("u"))
+    n, half = values.count(), values.where("u < 0.5").count()
+    kept = maintain.ResampleTables(spark, str(tmp_path / "d"), 6, c, rows_per_part=700)
+    kept.grow(values.where("u < 0.5"))
+    state, touched = kept.grown(values.where("u >= 0.5"), how)
+    got = state.groupBy("b").agg(F.sum("n").alias("n"), F.sum("total").alias("s")).collect()
+    m, s = rows.agg(F.avg("x"), F.stddev_pop("x")).first()
+    assert len(got) == 6 and {r["n"] for r in got} == {n} and all(abs(r["s"] / n - m) < 6 * s / n**0.5 for r in got)
+    assert touched >= 6 * (n - half) * 0.8 and (how != "sketch" or c < 1 or touched < 6 * (n - half) * 1.25)
+    assert (kept.disk_hits > 0) == (how == "sketch" and c < 1)
+
+
+def test_numbers_of_a_whole_table(spark):
+    df = spark.range(5000).select((F.col("id") * 7919 % 5003).alias("k"))
+    got = resample.numbered_table(df, ["k"]).orderBy("pos").collect()
+    assert [r["pos"] for r in got] == list(range(5000)) and [r["k"] for r in got] == sorted(r["k"] for r in got)
+    assert resample.numbered_table(df.limit(0), ["k"]).count() == 0
+
+
+def test_small_tables_are_dealt_out(spark):
+    small, large = spark.range(100), spark.range(1 << 20)
+    assert resample.spread(small, ["id"]) is small
+    assert resample.spread(large.coalesce(1), ["id"]).rdd.getNumPartitions() == spark.sparkContext.defaultParallelism
+
+
+@pytest.mark.parametrize("n", [1, 2, 3, 10, 11, 2001])
+def test_jackknife_of_a_median(spark, n):
+    v = [float(i * 31 % 97) for i in range(n)]
+    got = resample.jackknife_median(spark.createDataFrame([(x,) for x in v], "x double"), "x").first()
+    left = np.array([np.median(np.delete(v, i)) for i in range(n)]) if n > 1 else np.array([v[0]])
+    assert got["n"] == n and got["theta"] == np.median(v)
+    if n > 2:
+        assert abs(got["se"] - np.sqrt((n - 1) * left.var())) < 1e-9

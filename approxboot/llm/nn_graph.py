@@ -1,10 +1,11 @@
 """Near-duplicate embeddings by NN-descent.
 
-A neighbour graph is refined round by round: the neighbours of a vector's neighbours are compared with it,
-in both directions. Lists start from hyperplane signatures. The descent only has to find which vectors belong
-to one component: links within a component are then counted by comparing all its vectors, block by block, so
-lists that are full lose none. Whether components are whole is audited against a brute-force search for a
-sample of vectors: a miss adds signatures and another descent, and where misses remain all vectors are compared.
+A neighbour graph is refined round by round: the members of a vector's list, and those that list it, meet at that
+vector and are compared with each other there. Lists start from hyperplane signatures, and grow where they are
+full of links. The descent only has to find which vectors belong to one component: links within a component are
+then counted by comparing all its vectors, block by block, so lists that are full lose none. Whether components
+are whole is audited against a brute-force search for a sample of vectors: a miss adds signatures and another
+descent, and where misses remain all vectors are compared.
 
 Equal vectors are one node with a count, so a vector that a large part of all rows share costs one row.
 """
@@ -27,6 +28,18 @@ RECALL = 1.0
 COMPONENT_BLOCK, WHOLE_BLOCK = 512, 2048
 
 
+def _unit(v: list | None) -> np.ndarray | None:
+    """The vector over its norm, which is taken after scaling, so that no finite vector is too long or too short; None for what has no direction."""
+    if not v or any(x is None for x in v):
+        return None
+    x = np.array(v, np.float64)
+    longest = np.abs(x).max()
+    if not np.isfinite(longest) or longest == 0:
+        return None
+    x = x / longest
+    return x / np.sqrt((x * x).sum())
+
+
 def _nodes(batches):
     """Rows (vec_id, node, unit) of usable vectors: node names the exact direction's bytes, unit is the vector over its norm."""
     import hashlib
@@ -34,15 +47,12 @@ def _nodes(batches):
     for batch in batches:
         ids, names, units = [], [], []
         for i, v in zip(batch.column("vec_id").to_pylist(), batch.column("embedding").to_pylist()):
-            if not v or any(x is None for x in v):
-                continue
-            x = np.array(v, np.float64)
-            norm = np.sqrt((x * x).sum())
-            if not np.isfinite(norm) or norm == 0:
+            unit = _unit(v)
+            if unit is None:
                 continue
             ids.append(i)
-            names.append(int.from_bytes(hashlib.blake2b(x.tobytes(), digest_size=8).digest(), "little", signed=True))
-            units.append(x / norm)
+            names.append(int.from_bytes(hashlib.blake2b(np.array(v, np.float64).tobytes(), digest_size=8).digest(), "little", signed=True))
+            units.append(unit)
         yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(names, pa.int64()), pa.array([u.tolist() for u in units], pa.list_(pa.float64()))], names=["vec_id", "node", "unit"])
 
 
@@ -51,8 +61,13 @@ def _matrix(column) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1)
 
 
-def _signatures(tables: int, bits: int, seed: int, dims: int):
-    """Rows (bucket, node) of each vector: a signature of hyperplane sides for each table."""
+def _list_of(rows: np.ndarray) -> pa.Array:
+    """Rows of a matrix as lists."""
+    return pa.ListArray.from_arrays(pa.array(np.arange(0, rows.size + 1, rows.shape[1] or 1, dtype=np.int32)), pa.array(rows.ravel()))
+
+
+def _signatures(tables: int, bits: int, seed: int, dims: int, whole: bool):
+    """Rows (bucket, node) of each vector, with its unit if whole: a signature of hyperplane sides for each table."""
 
     def run(batches):
         planes = np.random.Generator(np.random.PCG64(seed)).standard_normal((tables * bits, dims))
@@ -63,40 +78,104 @@ def _signatures(tables: int, bits: int, seed: int, dims: int):
             units = _matrix(batch.column("unit"))
             sides = (units @ planes.T > 0).reshape(len(units), tables, bits)
             code = (sides * weights).sum(2) + (np.arange(tables, dtype=np.int64) << 40)
-            nodes = batch.column("node").to_numpy()
-            yield pa.RecordBatch.from_arrays([pa.array(code.ravel()), pa.array(np.repeat(nodes, tables))], names=["bucket", "node"])
+            columns = [pa.array(code.ravel()), pa.array(np.repeat(batch.column("node").to_numpy(), tables))]
+            yield pa.RecordBatch.from_arrays(columns + ([_list_of(np.repeat(units, tables, axis=0))] if whole else []), names=["bucket", "node", "unit"][: 2 + whole])
 
     return run
 
 
-def _cosines(batches):
-    for batch in batches:
-        if not batch.num_rows:
-            continue
-        x = _matrix(batch.column("_x"))
-        y = _matrix(batch.column("_y"))
-        yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array((x * y).sum(1))], names=["a", "b", "cos"])
+#: Candidates that a vector takes from one bucket, or from one meeting, at most; and rows of a bucket that stay together.
+TAKEN, TOGETHER = 3, 4096
+#: kind 0: other is a candidate for node's list; kind 1: node and other belong to one component.
+FOUND = "kind int, node long, other long, cos double"
+
 
+def _found(node, other, cos, joined) -> pa.RecordBatch:
+    kind = np.repeat([0, 1], [len(node), len(joined[0])]).astype(np.int32)
+    both = [np.concatenate(x) for x in zip((node, other, cos), joined)]
+    return pa.RecordBatch.from_arrays([pa.array(kind), *map(pa.array, both)], names=["kind", "node", "other", "cos"])
 
-def _compared(pairs: DataFrame, vectors: DataFrame) -> DataFrame:
-    """Cosines of pairs (a, b)."""
-    both = pairs.join(vectors.select(F.col("node").alias("a"), F.col("unit").alias("_x")), "a").join(vectors.select(F.col("node").alias("b"), F.col("unit").alias("_y")), "b")
-    return both.mapInArrow(_cosines, "a long, b long, cos double")
 
+def _along(reach: int, threshold: float):
+    """Compare each row of a sorted stream (bucket, sub, node, unit) with the reach rows after it in its bucket."""
+
+    def run(batches):
+        held = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            key = np.stack([batch.column(c).to_numpy() for c in ("bucket", "sub")], 1)
+            node, x = batch.column("node").to_numpy(), _matrix(batch.column("unit"))
+            if held is not None:
+                key, node, x = (np.concatenate(p) for p in zip(held, (key, node, x)))
+            n = len(node)
+            near = np.full((n, 2 * reach), -2.0)
+            for step in range(1, min(reach, n - 1) + 1):
+                same = (key[step:] == key[:-step]).all(1) & (node[step:] != node[:-step])
+                cos = np.where(same, (x[step:] * x[:-step]).sum(1), -2.0)
+                near[:-step, step - 1] = cos
+                near[step:, reach + step - 1] = cos
+            shift = np.concatenate([np.arange(1, reach + 1), -np.arange(1, reach + 1)])
+            best = np.argsort(-near, axis=1)[:, :TAKEN]
+            cos = np.take_along_axis(near, best, 1).ravel()
+            row, other = np.repeat(np.arange(n), best.shape[1]), (np.arange(n)[:, None] + shift[best]).ravel()
+            real = cos > -2
+            i, j = np.nonzero(near[:, :reach] >= threshold)
+            yield _found(node[row[real]], node[other[real]], cos[real], (node[i], node[i + shift[j]], near[i, j]))
+            held = tuple(p[-reach:] for p in (key, node, x))
+
+    return run
 
-def _chained(buckets: DataFrame, reach: int, seed: int) -> DataFrame:
-    """Candidate pairs within buckets: in a random order of a bucket's nodes, each and the reach nodes after it."""
-    order = Window.partitionBy("bucket").orderBy(F.xxhash64(F.lit(seed), "node"))
-    ahead = F.array(*[F.lead("node", i).over(order) for i in range(1, reach + 1)])
-    pairs = buckets.select("node", ahead.alias("_n")).select("node", F.explode("_n").alias("o")).where("o is not null and o <> node")
-    return pairs.select(F.least("node", "o").alias("a"), F.greatest("node", "o").alias("b")).distinct()
 
+def _meeting(threshold: float):
+    """Compare the members (member, fresh, unit, worst) that meet at a node, in a stream sorted by node: pairs with a fresh one.
 
-def _lists(edges: DataFrame, k: int) -> DataFrame:
-    """Neighbour lists (node, other): the k nearest of each. They steer the descent only; links are counted later."""
-    both = edges.select(F.col("a").alias("node"), F.col("b").alias("other"), "cos").unionByName(edges.select(F.col("b").alias("node"), F.col("a").alias("other"), "cos"))
+    A member takes what is nearer than the worst of its full list. What links is joined up.
+    """
+
+    def compare(members, fresh, units, worst):
+        cos = units @ units.T
+        np.fill_diagonal(cos, -2.0)
+        cos[~(fresh[:, None] | fresh[None, :])] = -2.0
+        near = cos >= threshold
+        least, _ = _reached(near, members, members) if near.any() else (members, members)
+        best = np.argsort(-cos, axis=1)[:, :TAKEN]
+        value = np.take_along_axis(cos, best, 1)
+        i, j = np.nonzero(value > np.maximum(worst, -1.5)[:, None])
+        moved = np.flatnonzero(least != members)
+        return members[i], members[best[i, j]], value[i, j], members[moved], least[moved], np.ones(len(moved))
+
+    def run(batches):
+        held, found = None, []
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            part = [batch.column("node").to_numpy(), batch.column("member").to_numpy(), batch.column("fresh").to_numpy() > 0, _matrix(batch.column("unit")), batch.column("worst").to_numpy()]
+            if held is not None:
+                part = [np.concatenate(p) for p in zip(held, part)]
+            cuts = np.flatnonzero(part[0][1:] != part[0][:-1]) + 1
+            bounds = [0, *cuts.tolist()]
+            for lo, hi in zip(bounds, bounds[1:]):
+                if hi - lo > 1 and part[2][lo:hi].any():
+                    found.append(compare(*(p[lo:hi] for p in part[1:])))
+            held = [p[bounds[-1] :] for p in part]
+            if found:
+                x = [np.concatenate(c) for c in zip(*found)]
+                yield _found(*x[:3], x[3:])
+                found = []
+        if held is not None and len(held[0]) > 1 and held[2].any():
+            x = compare(*held[1:])
+            yield _found(*x[:3], x[3:])
+
+    return run
+
+
+def _best(candidates: DataFrame, k: int, most: int, threshold: float) -> DataFrame:
+    """Lists (node, other, cos): the k nearest of each node, and up to most that link."""
+    one = candidates.repartition("node").groupBy("node", "other").agg(F.max("cos").alias("cos"))
     rank = F.row_number().over(Window.partitionBy("node").orderBy(F.desc("cos"), "other"))
-    return both.withColumn("_k", rank).where(F.col("_k") <= k).select("node", "other", "cos")
+    ranked = one.withColumn("_k", rank).where(F.col("_k") <= most)
+    return ranked.where((F.col("_k") <= k) | (F.col("cos") >= threshold)).select("node", "other", "cos")
 
 
 def _audit(sample: np.ndarray, names: np.ndarray, threshold: float):
@@ -119,13 +198,14 @@ def _audit(sample: np.ndarray, names: np.ndarray, threshold: float):
 def descend(vectors: DataFrame, threshold: float = COSINE, k: int = 10, tables: int = 24, bits: int = 12, reach: int = 8, rounds: int = 6, audit: int = 500, recall: float = RECALL, seed: int = 11) -> tuple[DataFrame, float]:
     """Edges (a, b) that join up vectors (node, unit) with cosines >= threshold, and the audited recall of their components.
 
-    audit nodes, chosen by hash, are compared with all others by brute force: a query set of fixed size
-    against all rows. The recall is the share of their links that lie within one component before these links
+    Lists hold k neighbours; one that is full of links holds twice as many in the next round, and four times in
+    those after it. audit nodes, chosen by hash, are compared with all others by brute force: a query set of fixed
+    size against all rows. The recall is the share of their links that lie within one component before these links
     become edges too. Below recall, more signatures are added and the graph descends again, three times at
     most; what the caller does with a lower one is its own matter.
     """
     spark = vectors.sparkSession
-    edges, known, got = None, None, 0.0
+    edges, lists, got = None, None, 0.0
     first = vectors.select("unit").head()
     if first is None:
         return spark.createDataFrame([], "a long, b long"), 1.0
@@ -134,27 +214,37 @@ def descend(vectors: DataFrame, threshold: float = COSINE, k: int = 10, tables:
     sample, names = np.array([r["unit"] for r in chosen]), np.array([r["node"] for r in chosen], np.int64)
     truth = written(vectors.mapInArrow(_audit(sample, names, threshold), "a long, b long").distinct(), "nn-truth")
     for attempt in range(3):
-        buckets = vectors.mapInArrow(_signatures(tables, bits, seed + attempt, dims), "bucket long, node long")
-        start = _chained(buckets, reach, seed + attempt)
-        if edges is not None:
-            start = start.join(known.select("a", "b"), ["a", "b"], "left_anti")
-        fresh = written(_compared(start, vectors), "nn-edges")
-        known = fresh if known is None else written(known.unionByName(fresh), "nn-known")
-        lists = written(_lists(known, k), "nn-lists")
-        new = fresh.select(F.col("a").alias("node"), F.col("b").alias("other")).unionByName(fresh.select(F.col("b").alias("node"), F.col("a").alias("other")))
-        for _ in range(rounds):
-            # local join: a neighbour that is new in a list meets the others of the list
-            turned = lists.join(new, ["node", "other"], "left_semi").select("node", F.col("other").alias("x"))
-            met = turned.join(lists.select("node", F.col("other").alias("y")), "node").where("x <> y")
-            pairs = met.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
-            pairs = pairs.join(known.select("a", "b"), ["a", "b"], "left_anti")
-            fresh = written(_compared(pairs, vectors), "nn-edges")
-            known = written(known.unionByName(fresh), "nn-known")
-            before, lists = lists, written(_lists(known, k), "nn-lists")
-            new = written(lists.join(before, ["node", "other"], "left_anti").select("node", "other"), "nn-new")
-            if fresh.where(F.col("cos") >= threshold).isEmpty():
+        # a bucket that many vectors share is dealt into parts by their hash
+        signed = vectors.mapInArrow(_signatures(tables, bits, seed + attempt, dims, False), "bucket long, node long")
+        large = signed.groupBy("bucket").agg(F.ceil(F.count(F.lit(1)) / TOGETHER).alias("_n")).where("_n > 1")
+        whole = vectors.mapInArrow(_signatures(tables, bits, seed + attempt, dims, True), "bucket long, node long, unit array<double>")
+        order = F.xxhash64(F.lit(seed + attempt), "node", "bucket")
+        dealt = whole.join(F.broadcast(written(large, "nn-large")), "bucket", "left").withColumn("_o", order).withColumn("sub", F.coalesce(F.pmod("_o", "_n"), F.lit(0)).cast("long"))
+        met = dealt.select("bucket", "sub", "_o", "node", "unit").repartition("bucket", "sub").sortWithinPartitions("bucket", "sub", "_o")
+        found = written(met.mapInArrow(_along(reach, threshold), FOUND), "nn-found")
+        for turn in range(rounds + 1):
+            joined = found.where("kind = 1").select(F.col("node").alias("a"), F.col("other").alias("b")).distinct()
+            edges = joined if edges is None else edges.unionByName(joined)
+            candidates = found.where("kind = 0").select("node", "other", "cos")
+            before = lists
+            lists = written(_best(candidates if lists is None else lists.unionByName(candidates), k, k << min(turn, 2), threshold), "nn-lists")
+            if turn == rounds:
+                break
+            fresh = F.lit(1) if before is None else F.when(F.col("_was").isNull(), 1).otherwise(0)
+            marked = lists if before is None else lists.join(before.select("node", "other", F.lit(1).alias("_was")), ["node", "other"], "left")
+            marked = marked.select("node", "other", "cos", fresh.alias("fresh"))
+            # who meets at a node: its list, and the nearest of those that list it
+            turned = marked.select(F.col("other").alias("node"), F.col("node").alias("other"), "cos", "fresh")
+            rank = F.row_number().over(Window.partitionBy("node").orderBy(F.desc("cos"), "other"))
+            turned = turned.withColumn("_k", rank).where(F.col("_k") <= k).drop("_k")
+            members = marked.unionByName(turned).groupBy("node", F.col("other").alias("member")).agg(F.max("fresh").alias("fresh"))
+            full = lists.groupBy("node").agg(F.when(F.count(F.lit(1)) >= k, F.min("cos")).otherwise(F.lit(-2.0)).alias("worst"))
+            known = vectors.join(full, "node", "left").select(F.col("node").alias("member"), "unit", F.coalesce("worst", F.lit(-2.0)).alias("worst"))
+            meeting = members.join(known, "member").select("node", "member", "fresh", "unit", "worst").repartition("node").sortWithinPartitions("node")
+            found = written(meeting.mapInArrow(_meeting(threshold), FOUND), "nn-found")
+            if found.where((F.col("kind") == 1) | (F.col("cos") >= threshold)).isEmpty():
                 break
-        edges = written(known.where(F.col("cos") >= threshold).select("a", "b"), "nn-links")
+        edges = written(edges.distinct(), "nn-links")
         roots = written(connected_components(edges), "nn-roots")
         ends = truth.join(roots.select(F.col("node").alias("a"), F.col("root").alias("_r")), "a").join(roots.select(F.col("node").alias("b"), F.col("root").alias("_s")), "b")
         n = truth.count()
@@ -275,10 +365,7 @@ def near_duplicates(rows: DataFrame, threshold: float = COSINE, **options) -> tu
 
 def _unusable(batches):
     for batch in batches:
-        ids = []
-        for i, v in zip(batch.column("vec_id").to_pylist(), batch.column("embedding").to_pylist()):
-            if not v or any(x is None for x in v) or not np.isfinite(n := np.sqrt((np.array(v, np.float64) ** 2).sum())) or n == 0:
-                ids.append(i)
+        ids = [i for i, v in zip(batch.column("vec_id").to_pylist(), batch.column("embedding").to_pylist()) if _unit(v) is None]
         yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64())], names=["vec_id"])
 
 

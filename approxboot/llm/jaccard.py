@@ -31,6 +31,8 @@ SMALL_REGION = 16
 PIVOTS = [4, 16]
 #: Pivots of later rounds, members of the region's smallest components first: what is left to compare is theirs.
 LATE_PIVOTS = 1024
+#: Holders of one anchor that one task groups, about; those of commoner anchors are dealt over several.
+SPLIT_HOLDERS = 20_000
 #: Ids of documents that are broadcast at most: 16 bytes each.
 BROADCAST_IDS = 1_000_000
 #: Bytes of anchors that one task groups.
@@ -74,8 +76,8 @@ def _rows(batch, n: int):
 
 def _describe(n: int):
     """Rows of documents (doc_id, n_shingles, node) and, at a task's end, its counts of shingles by bucket."""
-    names = ["doc_id", "n_shingles", "node", "bits", "half", "block", "counts"]
-    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.int32(), pa.binary()]
+    names = ["doc_id", "uid", "n_shingles", "node", "bits", "half", "block", "counts"]
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.int32(), pa.binary()]
 
     def run(batches):
         counts = np.zeros(1 << SKETCH_BITS, np.uint32)
@@ -92,12 +94,12 @@ def _describe(n: int):
                     _count(counts, held)
             _count(counts, held)
             none = [None] * len(sizes)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), *[pa.array(x, k) for x, k in zip((sizes, nodes, bits, halves, none, none), kinds[1:])]], names=names)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), batch.column("uid"), *[pa.array(x, k) for x, k in zip((sizes, nodes, bits, halves, none, none), kinds[2:])]], names=names)
         for lo in range(0, len(counts), 64 * SKETCH_BLOCK):
             packed = [(b, _sparse(counts[b * SKETCH_BLOCK : (b + 1) * SKETCH_BLOCK])) for b in range(lo // SKETCH_BLOCK, lo // SKETCH_BLOCK + 64)]
             packed = [x for x in packed if x[1]]
             none = [None] * len(packed)
-            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip((none, none, none, none, none, [b for b, _ in packed], [c for _, c in packed]), kinds)], names=names)
+            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip((*[none] * 6, [b for b, _ in packed], [c for _, c in packed]), kinds)], names=names)
 
     return run
 
@@ -135,8 +137,8 @@ def _add_up(batches):
         yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.int32()), pa.array([_sparse(_dense(c)) for c in held.values()], pa.binary())], names=["block", "counts"])
 
 
-def commonness(described: DataFrame) -> tuple[np.ndarray, int]:
-    """Level of each bucket of shingles, by how common it is, and the number of all shingles.
+def commonness(described: DataFrame) -> tuple[np.ndarray, np.ndarray, int]:
+    """Level of each bucket of shingles, by how common it is; how many tasks the holders of its shingles are dealt over; and the number of all shingles.
 
     As many counters as 2**SKETCH_BITS reach the driver, however large the input is. Levels only order
     shingles: whatever they are, the join's result is the same.
@@ -150,7 +152,9 @@ def commonness(described: DataFrame) -> tuple[np.ndarray, int]:
     z = (total.astype(np.float64) - mean) / np.sqrt(mean + 1)
     # eighths of a deviation up to 12 of them, then steps of the logarithm: any monotone scale will do
     level = np.where(z <= 12, np.clip(8 * (z + 4), 0, 128), 128 + 4 * np.log2(np.maximum(z, 12) / 12))
-    return np.minimum(np.ceil(level), 255).astype(np.uint8), int(total.sum())
+    # what a bucket holds beyond its share of all shingles can be one shingle's
+    splits = np.clip((total.astype(np.float64) - mean - 10 * np.sqrt(mean + 1)) // SPLIT_HOLDERS + 1, 1, 65_535)
+    return np.minimum(np.ceil(level), 255).astype(np.uint8), splits.astype(np.uint16), int(total.sum())
 
 
 def anchors(s: np.ndarray, levels: np.ndarray, percent: int) -> np.ndarray:
@@ -160,7 +164,7 @@ def anchors(s: np.ndarray, levels: np.ndarray, percent: int) -> np.ndarray:
     return s[np.argsort(levels[s >> np.uint64(64 - SKETCH_BITS)], kind="stable")[:take]]
 
 
-def _deal_anchors(n: int, levels, percent: int, parts: int):
+def _deal_anchors(n: int, held_levels, percent: int, parts: int):
     """Anchors of all rows as (part, payload): arrays of anchors, nodes and sizes that one part holds."""
 
     def flush(held):
@@ -168,7 +172,8 @@ def _deal_anchors(n: int, levels, percent: int, parts: int):
         sizes = np.array([len(x[0]) for x in held])
         node = np.repeat(np.array([x[1] for x in held], np.int64), sizes)
         size = np.concatenate([x[2] for x in held]).astype(np.uint32)
-        part = (mix(h) % np.uint64(parts)).astype(np.int64)
+        splits = held_levels.value[1][h >> np.uint64(64 - SKETCH_BITS)].astype(np.uint64)
+        part = (mix(h + mix(node.view(np.uint64)) % splits) % np.uint64(parts)).astype(np.int64)
         order = np.argsort(part, kind="stable")
         cuts = np.searchsorted(part[order], np.arange(parts + 1))
         rows = []
@@ -188,7 +193,7 @@ def _deal_anchors(n: int, levels, percent: int, parts: int):
                 if node in seen:  # a copy of a set that this flush has
                     continue
                 seen.add(node)
-                a = anchors(s, levels.value, percent)
+                a = anchors(s, held_levels.value[0], percent)
                 # of two sets that link, the smaller (both, if equal) shares one of its first mid anchors
                 mid = len(s) - -(-2 * percent * len(s) // (100 + percent)) + 1
                 held.append((a, node, 2 * len(s) + (np.arange(len(a)) < mid)))
@@ -202,8 +207,8 @@ def _deal_anchors(n: int, levels, percent: int, parts: int):
     return run
 
 
-def _regions(percent: int):
-    """Group the anchors of a task: kind 0 rows (node, other) to compare first, kind 1 rows (region, node, size, pivot) of large regions."""
+def _regions(percent: int, held_levels):
+    """Group the anchors of a task: kind 0 rows (node, other) to compare first, kind 1 rows (region, node, size, pivot) of large regions, kind 2 rows (anchor, node, size) of anchors that other tasks hold too."""
     names = ["kind", "a", "b", "size", "pivot"]
     kinds = [pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64()]
 
@@ -245,7 +250,11 @@ def _regions(percent: int):
             zero = np.zeros(len(part), np.int64)
             yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip((zero.astype(np.int32), part[:, 0], part[:, 1], zero, zero), kinds)], names=names)
         seen = set()
-        large = count > SMALL_REGION
+        shared = held_levels.value[1][h[first] >> np.uint64(64 - SKETCH_BITS)] > 1
+        for f, c in zip(first[shared].tolist(), count[shared].tolist()):
+            name = int(mix(h[f : f + 1]).view(np.int64)[0])
+            yield pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip((np.full(c, 2, np.int32), np.full(c, name), node[f : f + c], size[f : f + c], np.zeros(c, np.int64)), kinds)], names=names)
+        large = (count > SMALL_REGION) & ~shared
         for f, c in zip(first[large].tolist(), count[large].tolist()):
             members = node[f : f + c]
             with np.errstate(over="ignore"):
@@ -320,24 +329,30 @@ def _labelled(df: DataFrame, roots: DataFrame, column: str, out: str) -> DataFra
 def jaccard_components(docs: DataFrame, percent: int = PERCENT, shingle: int = 5) -> tuple[DataFrame, DataFrame]:
     """Similar documents among docs (doc_id, text).
 
-    Returns (doc_id, n_shingles, component_id) of every row and the measured links (a, b, d) between nodes.
-    Nulls and texts without words have no shingles and are alone in their component. Rows with equal sets
-    are one node, whatever their number; component_id is the smallest doc_id of a component, or of equal
-    sets; where all of those are null it is null. Rows with a null doc_id link like others.
+    Returns (doc_id, n_shingles, component_id, root, uid) of every row, and links (a, b, d) between nodes that join
+    up all components: pairs that are known to lie in one component already are not measured. Nulls and texts
+    without words have no shingles and are alone in their component. Rows with equal sets are one node, whatever
+    their number; component_id is the smallest doc_id of a component, or of equal sets; where all of those are
+    null it is null. Rows with a null doc_id link like others. root names the component (null without words), uid
+    is a hash of the text. Other columns are not looked at; an empty table gives no rows.
     """
     spark = docs.sparkSession
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    described = written(docs.mapInArrow(_describe(shingle), "doc_id long, n_shingles long, node long, bits array<long>, half array<long>, block int, counts binary"), "jaccard-sets")
-    rows = described.where("block is null").select("doc_id", "n_shingles", "node", "bits", "half")
-    level, total = commonness(described)
-    held = spark.sparkContext.broadcast(level)
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("uid"))
+    described = written(docs.mapInArrow(_describe(shingle), "doc_id long, uid long, n_shingles long, node long, bits array<long>, half array<long>, block int, counts binary"), "jaccard-sets")
+    rows = described.where("block is null").select("doc_id", "uid", "n_shingles", "node", "bits", "half")
+    *levels, total = commonness(described)
+    held = spark.sparkContext.broadcast(levels)
     width = max(shuffle_width(spark), total * 20 * (100 - percent) // 100 // GROUP_BYTES + 1)
     dealt = docs.select("text").mapInArrow(_deal_anchors(shingle, held, percent, 2 * width), "part int, payload binary")
-    grouped = dealt.repartition(width, "part").mapInArrow(_regions(percent), "kind int, a long, b long, size long, pivot long")
+    grouped = dealt.repartition(width, "part").mapInArrow(_regions(percent, held), "kind int, a long, b long, size long, pivot long")
     found = written(grouped, "jaccard-regions")
     pairs = written(found.where("kind = 0").select("a", "b").distinct(), "jaccard-pairs")
     # regions around one pivot overlap almost wholly: they are one
     regions = found.where("kind = 1").select(F.col("pivot").alias("region"), F.col("b").alias("node"), "size", "pivot").distinct()
+    # an anchor that several tasks hold: its smallest node names the region; distances to that are not known
+    parted = found.where("kind = 2").select("a", F.col("b").alias("node"), "size")
+    parted = parted.join(parted.groupBy("a").agg(F.min("node").alias("region")), "a").select("region", "node", "size", F.lit(None).cast("long").alias("pivot")).distinct()
+    regions = regions.unionByName(parted)
 
     nodes = rows.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.min("n_shingles").alias("n_shingles"), F.first("bits").alias("bits"), F.first("half").alias("half"))
     space = _Space(docs, written(nodes, "jaccard-nodes"), percent, shingle)
@@ -355,7 +370,7 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, shingle: int = 5
 
     distances = measured.unionByName(more).select(F.col("a").alias("node"), F.col("b").alias("pivot"), "d")
     open_regions = regions.join(distances, ["node", "pivot"], "left")
-    open_regions = open_regions.withColumn("d", F.when(F.col("node") == F.col("pivot"), F.lit(0.0)).otherwise(F.col("d"))).where("node <> pivot")
+    open_regions = open_regions.withColumn("d", F.when(F.col("node") == F.col("pivot"), F.lit(0.0)).otherwise(F.col("d"))).where("pivot is null or node <> pivot")
     eps, turn = 1 - percent / 100 + 1e-9, 0
     while True:
         named = _labelled(open_regions, roots, "node", "root")
@@ -383,13 +398,13 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, shingle: int = 5
 
     node_doc = _labelled(space.nodes.select("node", "doc_id"), roots, "node", "root")
     least = node_doc.groupBy("root").agg(F.min("doc_id").alias("component_id"))
-    component = node_doc.join(least, "root").select("node", "component_id")
+    component = node_doc.join(least, "root").select("node", "component_id", "root")
     out = rows.join(component, "node", "left")
-    return out.select("doc_id", "n_shingles", F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id")), links
+    return out.select("doc_id", "n_shingles", F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), "root", "uid"), links
 
 
 def op2_jaccard_regions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return jaccard_components(table(spark, sf_dir, "documents").select("doc_id", "text"))[0]
+    return jaccard_components(table(spark, sf_dir, "documents").select("doc_id", "text"))[0].select("doc_id", "n_shingles", "component_id")
 
 
 QUERIES = {"op2_jaccard_regions": op2_jaccard_regions}

@@ -368,9 +368,18 @@ def components(rows, link):
     return [find(i) for i in range(len(rows))]
 
 
-@pytest.mark.parametrize("small", [16, 2])
-def test_jaccard_components(spark, corpus, small, monkeypatch):
+@pytest.mark.parametrize("small,splits,ids", [(16, 1, 1_000_000), (2, 1, 0), (2, 3, 1_000_000), (16, 2, 0)])
+def test_jaccard_components(spark, corpus, small, splits, ids, monkeypatch):
+    """Also with anchors that several tasks hold, and with texts looked up by a shuffle."""
     monkeypatch.setattr(jaccard, "SMALL_REGION", small)
+    monkeypatch.setattr(jaccard, "BROADCAST_IDS", ids)
+    counted = jaccard.commonness
+
+    def split(described):
+        level, own, total = counted(described)
+        return level, np.maximum(own, np.uint16(splits)), total
+
+    monkeypatch.setattr(jaccard, "commonness", split)
     sets = [shingles(t) for _, t in corpus]
     link = lambda i, j: bool(sets[i] and sets[j]) and 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j])
     want = components(corpus, link)
@@ -381,7 +390,7 @@ def test_jaccard_components(spark, corpus, small, monkeypatch):
 def test_jaccard_rest_cases(spark):
     assert jaccard.jaccard_components(frame(spark, []))[0].count() == 0
     rows = [(5, "a b c d e f"), (5, "a b c d e f"), (None, "a b c d e f"), (None, None), (2, "A B C D E F"), (3, "")]
-    out = sorted((tuple(r) for r in jaccard.jaccard_components(frame(spark, rows))[0].collect()), key=str)
+    out = sorted((tuple(r)[:3] for r in jaccard.jaccard_components(frame(spark, rows))[0].collect()), key=str)
     assert out == sorted([(5, 2, 2), (5, 2, 2), (None, 2, 2), (None, 0, None), (2, 2, 2), (3, 0, 3)], key=str)
 
 
@@ -567,6 +576,13 @@ def test_nn_descent(spark):
     assert nn_graph.near_duplicates(df.limit(0))[0].count() == 0
 
 
+def test_vectors_of_extreme_length(spark):
+    rows = [[1e300, 1e300], [1e-300, 1e-300], [5e-324, 5e-324], [1e308, -1e308], [float("inf"), 1.0], [0.0, 0.0]]
+    df = spark.createDataFrame(list(enumerate(rows)), "vec_id long, embedding array<double>").selectExpr("*", *[f"1 as {c}" for c in ("node", "unit", "root", "copies", "n_links", "kept")])
+    got = {r["vec_id"]: (r["n_links"], r["component_id"], r["kept"]) for r in nn_graph.near_duplicates(df)[0].collect()}
+    assert got == {0: (2, 0, True), 1: (2, 0, False), 2: (2, 0, False), 3: (0, 3, True), 4: (0, 4, True), 5: (0, 5, True)}
+
+
 @pytest.mark.parametrize("options", [{}, {"tables": 1, "bits": 40, "reach": 1, "rounds": 1}])
 def test_nn_descent_counts_all_links(spark, options):
     """A group larger than any list; with signatures that hardly ever meet, the descent alone would miss most."""

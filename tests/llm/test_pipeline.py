@@ -80,3 +80,16 @@ def test_odd_documents_pass(spark):
             docs = stage(spark, docs, SF)
             assert docs.columns == odd.columns
         assert corpus_pipeline.STAGES[-1][1](spark, docs, SF).count() >= 0
+
+
+def test_rows_of_one_component_are_told_apart(spark):
+    """Repeated rows, a doc_id that two texts share, and copies without a doc_id."""
+    text = [" ".join(f"w{i}x{k}" for k in range(60)) for i in range(4)]
+    rows = [(5, text[0]), (5, text[0]), (5, text[1]), (3, text[0]), (None, text[2]), (None, text[2] + " more"), (None, text[2]), (7, text[3]), (7, text[3]), (8, ""), (8, "")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("doc_id", "text", "1 as uid", "2 as root", "3 as _doc")
+    kept = corpus_pipeline.keep_one_of_similar(spark, docs, SF)
+    assert kept.columns == docs.columns
+    got = sorted([(r["doc_id"], r["text"]) for r in kept.collect()], key=str)
+    fixed = [(5, text[1]), (3, text[0]), (7, text[3]), (8, ""), (8, "")]
+    assert len(got) == 6 and all(got.count(x) == fixed.count(x) for x in fixed)
+    assert [d for d, t in got if t.startswith(text[2])] == [None]

@@ -59,6 +59,16 @@ def written(df: DataFrame, what: str) -> DataFrame:
     return _written(df, what)[0]
 
 
+def free_names(df: DataFrame, *names: str) -> list[str]:
+    """The names, longer by underscores where df has columns called so."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for n in names:
+        while n.lower() in taken:
+            n += "_"
+        out.append(n)
+    return out
+
+
 class Scratch:
     """Tables that a computation writes and needs no longer once its result is written."""
 

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from approxboot.llm import decontam, jaccard, packing, quality, secrets
-from approxboot.llm.common import prepare, table, written
+from approxboot.llm.common import free_names, prepare, table, written
 
 #: Documents whose quality score is lower are rejected.
 LEAST_QUALITY = 0.3
@@ -24,11 +24,23 @@ def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def keep_one_of_similar(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, that of the smallest doc_id, of each component of similar documents; those without words all stay."""
+    """One document of each component of similar documents: that of the smallest doc_id, null ones last. Of rows equal in doc_id and text one stays; texts without words all stay."""
     prepare(spark)
     members, _ = jaccard.jaccard_components(docs)
-    dropped = members.where("doc_id <> component_id").select("doc_id").distinct()
-    return docs.join(dropped, "doc_id", "left_anti").select(docs.columns)
+    members = written(members.where("root is not null").select("doc_id", "uid", "root"), "pipeline-members")
+    first = members.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "uid")).alias("first"))
+    own = members.join(first, "root").withColumn("stays", F.col("doc_id").eqNullSafe(F.col("first.doc_id")) & (F.col("uid") == F.col("first.uid")))
+    doc, uid = free_names(docs, "_doc", "_uid")
+    dropped = own.where("not stays").select(F.col("doc_id").alias(doc), F.col("uid").alias(uid)).distinct()
+    same = F.col("doc_id").eqNullSafe(F.col(doc)) & (F.xxhash64("text") == F.col(uid))
+    out = docs.join(dropped, same, "left_anti").select(docs.columns)
+    # rows that are there more than once: few, or none
+    again = own.where("stays").groupBy(F.col("doc_id").alias(doc), F.col("uid").alias(uid)).agg(F.count(F.lit(1)).alias("_count")).where("_count > 1").select(doc, uid)
+    again = written(again, "pipeline-again")
+    if again.isEmpty():
+        return out
+    once = out.join(again, same, "left_semi").dropDuplicates(["doc_id", "text"])
+    return out.join(again, same, "left_anti").unionByName(once).select(docs.columns)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -9,6 +9,7 @@ from dataclasses import dataclass, field
 import numpy as np
 
 from approxboot.functions.accuracy import z_value
+from approxboot.operators.maintain import maintain_plain
 
 Statistic = Callable[[np.ndarray], float]
 
@@ -88,15 +89,24 @@ def invert_curve(curve: dict, sigma: float) -> float:
 
 
 def plan_n(pilot: np.ndarray, f: Statistic, B: int, sigma: float, tau: float, levels: int = 5, model: str = "power", seed: int = 0, least: int = 8) -> tuple[int, dict]:
-    """Sample size for c_v <= sigma from nested subsamples of the first 1 / tau pilot values (more, where levels would be too small)."""
+    """Sample size for c_v <= sigma from nested subsamples of the first 1 / tau pilot values (more, where levels would be too small).
+
+    Resamples are drawn for the smallest subsample and maintained from one to the next; touched counts the items
+    that were drawn or taken out on the way.
+    """
     n0 = min(len(pilot), max(math.ceil(1 / tau), least * 2 ** (levels - 1)))
     sizes = [int(s) for s in subsample_sizes(n0, levels, least)] or [n0]
     gen = np.random.Generator(np.random.PCG64([seed, 1]))
-    cvs = [cv_of(replicate(pilot[:s], f, B, gen)) for s in sizes]
+    held = [pilot[: sizes[0]][gen.integers(0, sizes[0], sizes[0])] for _ in range(B)]
+    touched, cvs = B * sizes[0], [cv_of(np.array([f(r) for r in held]))]
+    for before, s in zip(sizes, sizes[1:]):
+        grown = [maintain_plain(r, pilot[:before], pilot[before:s], seed + s, b) for b, r in enumerate(held)]
+        held, touched = [r for r, _ in grown], touched + sum(n for _, n in grown)
+        cvs.append(cv_of(np.array([f(r) for r in held])))
     if max(cvs) == 0:
         return sizes[0], {"model": "constant", "sizes": sizes, "cvs": cvs, "a": 0.0, "k": -0.5, "c": 0.0}
     curve = fit_curve(sizes, cvs, model) if len(sizes) > 1 else {"model": "invsqrt", "a": cvs[0] * math.sqrt(sizes[0]), "k": -0.5, "c": 0.0}
-    curve |= {"sizes": sizes, "cvs": cvs}
+    curve |= {"sizes": sizes, "cvs": cvs, "touched": touched}
     n = invert_curve(curve, sigma)
     return (int(math.ceil(n)) if math.isfinite(n) else 1 << 62), curve
 

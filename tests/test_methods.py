@@ -501,3 +501,11 @@ def test_jackknife_of_a_median(spark, n):
     assert got["n"] == n and got["theta"] == np.median(v)
     if n > 2:
         assert abs(got["se"] - np.sqrt((n - 1) * left.var())) < 1e-9
+
+
+def test_planner_maintains_its_resamples():
+    v = np.random.Generator(np.random.PCG64(5)).exponential(1, 400)
+    n, curve = planner.plan_n(v, np.mean, 30, 0.05, 1 / 400)
+    assert curve["sizes"] == [25, 50, 100, 200, 400] and 150 < n < 1200
+    # drawn anew, all sizes would be drawn in full
+    assert curve["touched"] < 0.75 * 30 * sum(curve["sizes"])

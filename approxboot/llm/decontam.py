@@ -325,6 +325,7 @@ def clean(docs: DataFrame, benchmark: DataFrame, params: Cgk = Cgk(), text: str
 
 
 def op8_cgk_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents against all benchmark items; a document without an item has no row."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     return contaminated(docs, table(spark, sf_dir, "benchmark"))
 

@@ -404,6 +404,7 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, shingle: int = 5
 
 
 def op2_jaccard_regions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sets and components of all documents, by words of every whole text."""
     return jaccard_components(table(spark, sf_dir, "documents").select("doc_id", "text"))[0].select("doc_id", "n_shingles", "component_id")
 
 

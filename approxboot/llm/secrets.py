@@ -160,6 +160,7 @@ def masked(docs: DataFrame, findings: DataFrame, mark: str = "[secret]") -> Data
 
 
 def op1_secret_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Secrets of all documents. A null text is empty and has none; repeated rows and equal texts each get the findings of their blob."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     findings, _ = scan(docs)
     return findings_by_path(docs, findings, ["doc_id"])

@@ -124,6 +124,7 @@ def documents_to_shards(docs: DataFrame, shards: int = 8, seed: int = 17) -> Dat
 
 
 def op6_hypergeometric_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents in eight shards under the law of equal row counts; null texts are empty, repeated rows get slots of their own."""
     return documents_to_shards(table(spark, sf_dir, "documents"))
 
 

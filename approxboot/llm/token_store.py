@@ -277,6 +277,7 @@ def read_digests(blocks: DataFrame) -> DataFrame:
 
 
 def op3_repair_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents written as grammar-compressed ids and read back. A null or empty text is the end id alone; rows with one doc_id, or a null one, are documents of their own."""
     import public_tokenizers
 
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")

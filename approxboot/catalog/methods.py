@@ -674,7 +674,7 @@ def plan_doubling(spark, sf_dir):
     return v.where("met = 0").select(F.col("n_i").cast("long").alias("n"), F.round("cv", 9).alias("cv"), (F.col("cv") <= 0.03).alias("stops"))
 
 
-@query("plan_search", f"with {SQL_O} select rule, cast(sigma as double) as sigma, (select count(*) from o) as total, true as resamples_right, case rule when 'rel' then true end as slope_right, true as mode_right from (values ('abs'), ('rel')) as v(rule), (select unnest([0.02, 0.05, 0.1]) as sigma)")
+@query("plan_search", f"with {SQL_O} select rule, cast(sigma as double) as sigma, (select count(*) from o) as total, true as resamples_right, case rule when 'rel' then 'about -1/2' else 'not judged' end as slope, true as mode_right from (values ('abs'), ('rel')) as v(rule), (select unnest([0.02, 0.05, 0.1]) as sigma)")
 def plan_search(spark, sf_dir):
     """Plans over tolerances and stop rules: whether resamples are in their bounds, c_v falls about with the root of n, and the mode follows from B * n.
 
@@ -687,8 +687,8 @@ def plan_search(spark, sf_dir):
         for sigma in (0.02, 0.05, 0.1):
             p = planner.plan(pilot, np.mean, total, sigma, rule=rule)
             k = float(p.curve.get("k", 0.0))
-            out.append((rule, sigma, total, (30 if rule == "rel" else 3) <= p.B <= 100, -0.8 <= k <= -0.2 if rule == "rel" else None, (p.mode == "early") == (p.B * p.n < total)))
-    return spark.createDataFrame(out, "rule string, sigma double, total long, resamples_right boolean, slope_right boolean, mode_right boolean")
+            out.append((rule, sigma, total, (30 if rule == "rel" else 3) <= p.B <= 100, "not judged" if rule == "abs" else "about -1/2" if -0.8 <= k <= -0.2 else "other", (p.mode == "early") == (p.B * p.n < total)))
+    return spark.createDataFrame(out, "rule string, sigma double, total long, resamples_right boolean, slope string, mode_right boolean")
 
 
 

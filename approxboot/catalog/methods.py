@@ -245,6 +245,15 @@ def boot_poisson_mean(spark, sf_dir):
     return boot_orders(spark, sf_dir).select("b", "n_b", F.round("theta", 6).alias("mean_b"))
 
 
+@query("boot_poisson_fast", f"with {SQL_O} select b, true as n_near, true as mean_near from o, {reps()} group by b")
+def boot_poisson_fast(spark, sf_dir):
+    """The same by the fast generator: whether each replicate's weights and mean lie within five standard errors."""
+    o = orders_of(spark, sf_dir)
+    truth = o.agg(F.count(F.lit(1)).alias("n"), F.avg("c").alias("_m"), F.stddev_pop("c").alias("_s"))
+    out = resample.bootstrap_states(o, st.mean("c"), ["o_orderkey"], B).join(F.broadcast(truth))
+    return out.select(F.col("b").cast("long").alias("b"), (F.abs(F.col("sw") - F.col("n")) <= 5 * F.sqrt("n")).alias("n_near"), (F.abs(F.col("swx") / F.col("sw") - F.col("_m")) <= 5 * F.col("_s") / F.sqrt("n")).alias("mean_near"))
+
+
 @query("boot_poisson_grouped", f"with {SQL_O} select o_orderpriority, b, round(sum(w * c) / sum(w) / 100.0, 6) as mean_b from {boot_sql('o', ['o_orderkey'])} group by all")
 def boot_poisson_grouped(spark, sf_dir):
     out = resample.bootstrap_poisson(orders_of(spark, sf_dir), st.mean("c"), ["o_orderkey"], B, ["o_orderpriority"], kind="md5")
@@ -994,6 +1003,6 @@ def base_cached_sample(spark, sf_dir):
 
 @query("cost_of_a_run", f"with {SQL_O} select count(*) as rows_read, true as bytes_read, true as shuffled, true as jobs from o")
 def cost_of_a_run(spark, sf_dir):
-    """What one bootstrap cost, by the engine's own counters: the rows that were read, and whether bytes, shuffle and jobs are in their bounds."""
+    """What one bootstrap cost, by the engine's own counters: the rows that were read, and whether bytes, shuffle and jobs are in their bounds. Small tables are dealt over all cores first."""
     facts = cost.measured(spark, lambda: resample.bootstrap_poisson(orders_of(spark, sf_dir), st.mean("c"), ["o_orderkey"], B).collect())
     return spark.createDataFrame([(facts["rows_read"], facts["bytes_read"] > 0, facts["shuffle_bytes"] > 0, 1 <= facts["jobs"] <= 4)], "rows_read long, bytes_read boolean, shuffled boolean, jobs boolean")

@@ -34,7 +34,7 @@ def plan_facts(df: DataFrame) -> dict:
 
 
 def measured(spark, run) -> dict:
-    """result, seconds, jobs, rows_read, bytes_read and shuffle_bytes of what run() does, by the engine's own counters of its jobs."""
+    """result, seconds, jobs, tasks, most (tasks of the widest stage), rows_read, bytes_read and shuffle_bytes of what run() does, by the engine's own counters of its jobs."""
     sc = spark.sparkContext
     group = f"measured-{uuid.uuid4().hex}"
     begin = time.perf_counter()
@@ -43,7 +43,7 @@ def measured(spark, run) -> dict:
         result = run()
     finally:
         sc.setLocalProperty("spark.jobGroup.id", None)
-    out = {"result": result, "seconds": time.perf_counter() - begin, "jobs": 0, "rows_read": 0, "bytes_read": 0, "shuffle_bytes": 0}
+    out = {"result": result, "seconds": time.perf_counter() - begin, "jobs": 0, "tasks": 0, "most": 0, "rows_read": 0, "bytes_read": 0, "shuffle_bytes": 0}
     sc._jsc.sc().listenerBus().waitUntilEmpty()
     store, tracker, seen = sc._jsc.sc().statusStore(), sc.statusTracker(), set()
     for job in tracker.getJobIdsForGroup(group):
@@ -53,6 +53,8 @@ def measured(spark, run) -> dict:
                 continue
             seen.add(stage)
             facts = store.lastStageAttempt(stage)
+            out["tasks"] += facts.numCompleteTasks()
+            out["most"] = max(out["most"], facts.numCompleteTasks())
             out["rows_read"] += facts.inputRecords()
             out["bytes_read"] += facts.inputBytes()
             out["shuffle_bytes"] += facts.shuffleWriteBytes()

@@ -75,13 +75,14 @@ def uniform_shards(df: DataFrame, key_cols: list[str], shards: int, seed: int =
 
     Shards 0 to (rows mod shards) - 1 hold one row more. Slots run from 0 without a gap. Nulls in any
     column are ordinary values, repeated rows get places of their own, an empty table gives an empty one.
-    Columns named shard or slot are replaced. df is checkpointed first, so that counting and dealing see
+    Columns named shard or slot are replaced, others may have any name. df is checkpointed first, so that counting and dealing see
     the same blocks, whatever is lost meanwhile; give it slim rows and join large columns back by key.
     """
     spark = df.sparkSession
     ensure_checkpoint(spark)
     df = df.drop("shard", "slot")
-    fixed = df.checkpoint()
+    # the row travels as one column, so that its names meet none of those below
+    fixed = df.select(F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("row")).checkpoint()
     here = F.spark_partition_id()
     sizes = {r["blk"]: r["n"] for r in fixed.groupBy(here.alias("blk")).agg(F.count(F.lit(1)).alias("n")).collect()}
     blocks = sorted(sizes)
@@ -97,7 +98,7 @@ def uniform_shards(df: DataFrame, key_cols: list[str], shards: int, seed: int =
         ends.append((b, cum))
     # one row for each block of the input: as long as the list of its partitions, which the driver holds anyway
     plan = spark.createDataFrame(ends or [(0, [0] * shards)], "blk int, ends array<long>")
-    mixed = fixed.withColumn("_r", F.xxhash64(F.lit(seed), *[F.col(c) for c in key_cols], F.monotonically_increasing_id()))
+    mixed = fixed.withColumn("_r", F.xxhash64(F.lit(seed), *[F.col(f"row.`{c}`") for c in key_cols], F.monotonically_increasing_id()))
     mixed = mixed.sortWithinPartitions("_r").withColumn("_m", F.monotonically_increasing_id())
     mixed = mixed.withColumn("blk", F.shiftright("_m", 33).cast("int")).withColumn("_k", F.col("_m").bitwiseAND(F.lit((1 << 33) - 1)))
     dealt = mixed.join(F.broadcast(plan), "blk").withColumn("shard", F.size(F.filter("ends", lambda e: e <= F.col("_k"))))
@@ -109,10 +110,10 @@ def uniform_shards(df: DataFrame, key_cols: list[str], shards: int, seed: int =
     before = Window.partitionBy("shard").orderBy("_piece").rowsBetween(Window.unboundedPreceding, -1)
     offsets = counts.withColumn("_before", F.coalesce(F.sum("_n").over(before), F.lit(0))).drop("_n")
     rank = F.row_number().over(Window.partitionBy("shard", "_piece").orderBy("_q", "_m"))
-    ranked = dealt.select(*df.columns, "shard", "_piece", rank.alias("_rank"))
+    ranked = dealt.select("row", "shard", "_piece", rank.alias("_rank"))
     # shards x pieces rows, each counting about rows_per_sort rows
     placed = ranked.join(F.broadcast(offsets), ["shard", "_piece"])
-    return placed.select(*df.columns, "shard", (F.col("_before") + F.col("_rank") - 1).cast("long").alias("slot"))
+    return placed.select("row.*", "shard", (F.col("_before") + F.col("_rank") - 1).cast("long").alias("slot"))
 
 
 def documents_to_shards(docs: DataFrame, shards: int = 8, seed: int = 17) -> DataFrame:

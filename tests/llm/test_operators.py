@@ -159,6 +159,17 @@ def test_shuffle_is_uniform(spark):
     assert all(abs(r["count"] - 250) < 75 for r in out)
 
 
+def test_shards_of_columns_with_any_name(spark):
+    names = ["blk", "ends", "row", "_k", "_piece", "_n", "_rank", "shard", "a.b"]
+    df = spark.range(300).selectExpr("id", *[f"id as `{c}`" for c in names])
+    out = sharding.uniform_shards(df, ["id", "row"], 7).collect()
+    assert sorted(r["row"] for r in out) == list(range(300)) and all(r["id"] == r["a.b"] == r["blk"] == r["_k"] for r in out)
+    by = {}
+    for r in out:
+        by.setdefault(r["shard"], []).append(r["slot"])
+    assert sorted(map(len, by.values())) == [42] * 1 + [43] * 6 and all(sorted(v) == list(range(len(v))) for v in by.values())
+
+
 def test_empty_shards(spark):
     assert sharding.documents_to_shards(frame(spark, []), 8).count() == 0
 

@@ -86,14 +86,26 @@ def wl_layout_ladder(spark, sf_dir):
 
 @query("wl_median_three")
 def wl_median_three(spark, sf_dir):
-    """Median: exact, plain bootstrap with a job for each replicate, and all replicates in one plan: (variant, seconds, value, rel_error)."""
-    e = t(spark, sf_dir, "events", "event_id", "value")
-    exact, s0 = _clock(lambda: e.agg(F.percentile("value", F.lit(0.5))).first()[0])
-    sample = sampling.bernoulli(e, ["event_id"], 0.1)
-    plain, s1 = _clock(lambda: float(np.mean(resample.bootstrap_loop(sample, 10, lambda d: d.agg(F.percentile("value", F.lit(0.5))).first()[0]))))
-    ours, s2 = _clock(lambda: accuracy.summarise(resample.bootstrap_poisson(sample, st.quantile("value"), ["event_id"], 10)).first()["value"])
-    rows = [("exact", s0, float(exact)), ("plain", s1, plain), ("one_plan", s2, float(ours))]
-    return spark.createDataFrame([(k, s, v, abs(v - exact) / exact) for k, s, v in rows], "variant string, seconds double, value double, rel_error double")
+    """Median of events.value over 64 copies of its lines: loaded and sorted exactly; from 2,000 sampled lines with a job for each of ten resamples; and with all of them in one plan: (variant, n_rows, seconds, speed_up, value, rel_error). The samples' seconds hold the drawing of lines."""
+    ship_package(spark)
+    path, copies = fresh_path(spark, "medians"), 64
+    e = t(spark, sf_dir, "events", "event_id", "value").select(F.concat_ws("|", F.col("event_id").cast("string"), F.col("value").cast("string")).alias("value"))
+    e.withColumn("_c", F.explode(F.sequence(F.lit(1), F.lit(copies)))).repartition(8, "_c", "value").drop("_c").write.text(path)
+    parse = lambda d: d.withColumn("x", F.split("value", "[|]")[1].cast("double")).drop("value")
+    median = lambda d: d.agg(F.percentile("x", F.lit(0.5))).first()[0]
+    exact, s0 = _clock(lambda: median(parse(spark.read.text(path))))
+
+    def drawn():
+        got = parse(lines.sample_lines(spark, path, 2_000, 3, "back", "reject", short="allow")).select("split", "offset", "x")
+        # a planned number of rows
+        return spark.createDataFrame(got.collect(), got.schema)
+
+    sample, load = _clock(drawn)
+    plain, s1 = _clock(lambda: float(np.mean(resample.bootstrap_loop(sample, 10, median))))
+    ours, s2 = _clock(lambda: accuracy.summarise(resample.bootstrap_poisson(sample, st.quantile("x"), ["split", "offset"], 10)).first()["value"])
+    rows = [("exact", s0, float(exact)), ("plain", load + s1, plain), ("one_plan", load + s2, float(ours))]
+    n = copies * t(spark, sf_dir, "events").count()
+    return spark.createDataFrame([(k, n if k == "exact" else 2_000, s, s0 / s, v, abs(v - exact) / exact) for k, s, v in rows], "variant string, n_rows long, seconds double, speed_up double, value double, rel_error double")
 
 
 @query("km_blobs", f"select * from (select 'full' as variant, 4000 as n, true as cost_near, true as centroids_near union all select 'sample', count(*), true, true from (select unnest(range(4000)) as id) where {rng.sql_uniform('sample', 'id')} < 0.1)")
@@ -269,12 +281,12 @@ def wl_errors_three(spark, sf_dir):
 _CORR = "select '{name}' as pair, round(avg(theta), 6) as value, round(stddev_pop(theta) / abs(avg(theta)), 6) as cv, round(var_pop(theta), 9) as variance from (select b, (n * xy - x * y) / sqrt((n * xx - x * x) * (n * yy - y * y)) as theta from (select b, cast(sum(w) as double) as n, sum(w * {x}::double) as x, sum(w * {y}::double) as y, sum(w * {x}::double * {x}) as xx, sum(w * {y}::double * {y}) as yy, sum(w * {x}::double * {y}) as xy from {source} group by b))"
 
 
-@query("wl_correlation", f"with {SQL_L}, d as (select doc_id, n_chars, cast(len(string_split(text, ' ')) as bigint) as words from documents) " + _CORR.format(name="qty_line", x="qty", y="l_linenumber", source=boot_sql("l", LINE_IDS)) + " union all " + _CORR.format(name="chars_words", x="n_chars", y="words", source=boot_sql("d", ["doc_id"])))
+@query("wl_correlation", f"with {SQL_L}, d as (select doc_id, n_chars, cast(len(string_split(text, ' ')) as bigint) as words from documents) " + _CORR.format(name="qty_price", x="qty", y="price", source=boot_sql("l", LINE_IDS)) + " union all " + _CORR.format(name="chars_words", x="n_chars", y="words", source=boot_sql("d", ["doc_id"])))
 def wl_correlation(spark, sf_dir):
     """Correlations whose c_v is useless near zero: (pair, value, cv, variance)."""
     d = t(spark, sf_dir, "documents", "doc_id", "text", "n_chars").select("doc_id", "n_chars", F.size(F.split("text", " ")).alias("words"))
     double = lambda c: F.col(c).cast("double")
-    a = accuracy.summarise(resample.bootstrap_poisson(lines_of(spark, sf_dir), st.correlation(double("qty"), double("l_linenumber")), LINE_IDS, B, kind="md5")).withColumn("pair", F.lit("qty_line"))
+    a = accuracy.summarise(resample.bootstrap_poisson(lines_of(spark, sf_dir), st.correlation(double("qty"), double("price")), LINE_IDS, B, kind="md5")).withColumn("pair", F.lit("qty_price"))
     b = accuracy.summarise(resample.bootstrap_poisson(d, st.correlation(double("n_chars"), double("words")), ["doc_id"], B, kind="md5")).withColumn("pair", F.lit("chars_words"))
     return a.unionByName(b).select("pair", F.round("value", 6).alias("value"), F.round("cv", 6).alias("cv"), F.round("variance", 9).alias("variance"))
 

@@ -78,18 +78,21 @@ def exact(df: DataFrame, stat: Statistic, by: list[str] | None = None) -> DataFr
 
 def early_result(
     df, stat: Statistic, x: str, ids: list[str] | None, sigma: float, tau: float = 0.01, by: list[str] | None = None, N: int | None = None, local=np.mean, p_pilot: float = 0.01, combine: str = "avg", level: float = 0.95,
-    confidence: float | None = None, max_iterations: int = 5, fixed: tuple[int, int] | None = None, seed: int = 0, kind: str = "xx", whole: DataFrame | None = None,
+    confidence: float | None = None, max_iterations: int = 5, fixed: tuple[int, int] | None = None, seed: int = 0, kind: str = "xx", whole: DataFrame | None = None, least_bytes: int = 0,
 ) -> Answer:
     """Answer stat over df with an error of sigma at most, early where that pays.
 
     df is a table, or a source of samples (approxboot.sources.sampled) that reads less than all of it; then whole
     is the table for the exact run. x is the column whose pilot values plan the run through local, the statistic
     as a function of an array. Growth reads only new rows: their states are merged into those so far. fixed gives
-    (B, n) instead of a plan.
+    (B, n) instead of a plan. A table that the optimizer takes to be smaller than least_bytes is answered exactly
+    at once: a pilot would cost as much.
     """
     by = by or []
     source = df if hasattr(df, "grow") else ScanSource(df, ids, seed, kind, N)
     whole, ids = whole if whole is not None else getattr(source, "df", None), source.ids
+    if whole is not None and least_bytes and (size := int(whole._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())) < least_bytes:
+        return _exact_answer(whole, stat, by, f"a table of {size} bytes is answered exactly", source.read)
     N = source.count()
     if fixed:
         B, n = fixed
@@ -100,8 +103,7 @@ def early_result(
         values = source.pilot(share).select(F.col(x).cast("double").alias("x")).where("x is not null").collect()
         made = planner.plan(np.array([r["x"] for r in values]), local, N, sigma, tau, confidence, seed=seed)
     if made.mode == "exact" and whole is not None:
-        rows = exact(whole, stat, by).select(*by, "value", F.lit(0.0).alias("cv"), F.lit(0.0).alias("variance"), F.col("value").alias("lo"), F.col("value").alias("hi"))
-        return Answer(rows, 0.0, "exact", N, 0, 1.0, 0, made.message, read=source.read)
+        return _exact_answer(whole, stat, by, made.message, source.read, N)
     z = accuracy.z_value(confidence) if confidence else 1.0
     log, states, p, B = ErrorLog(), None, made.p, made.B or 30
     for i in range(1, max_iterations + 1):
@@ -118,6 +120,11 @@ def early_result(
     return Answer(rows, error, "early", int(round(p * N)), B, p, i, made.message, log.rows, source.read)
 
 
+def _exact_answer(whole: DataFrame, stat: Statistic, by: list[str], message: str, read: dict, n: int = 0) -> Answer:
+    rows = exact(whole, stat, by).select(*by, "value", F.lit(0.0).alias("cv"), F.lit(0.0).alias("variance"), F.col("value").alias("lo"), F.col("value").alias("hi"))
+    return Answer(rows, 0.0, "exact", n, 0, 1.0, 0, message, read=read)
+
+
 def _kept(df: DataFrame) -> DataFrame:
     ensure_checkpoint(df.sparkSession)
     return df.checkpoint()

@@ -509,3 +509,9 @@ def test_planner_maintains_its_resamples():
     assert curve["sizes"] == [25, 50, 100, 200, 400] and 150 < n < 1200
     # drawn anew, all sizes would be drawn in full
     assert curve["touched"] < 0.75 * 30 * sum(curve["sizes"])
+
+
+def test_small_tables_are_answered_at_once(rows):
+    a = driver.early_result(rows, st.mean("x"), "x", ["id"], 0.05, least_bytes=1 << 40)
+    assert a.mode == "exact" and "exactly" in a.message and a.read["rows"] == 0
+    assert abs(a.rows.first()["value"] - rows.agg(F.avg("x")).first()[0]) < 1e-9

@@ -7,7 +7,7 @@ from approxboot import catalog
 from .conftest import SF
 
 
-@pytest.mark.parametrize("name", ["strm_dedup", "strm_dedup_watermark", "strm_session"])
+@pytest.mark.parametrize("name", ["strm_dedup", "strm_dedup_watermark", "strm_session", "strm_static_join"])
 def test_appended_rows_lie_in_files(spark, name):
     before = {k: v for k, v in spark.conf.getAll.items() if "stateStore" in k}
     files = catalog.QUERIES[name](spark, SF).inputFiles()

@@ -58,7 +58,8 @@ def total(x, known_n: int | None = None) -> Statistic:
     x = _c(x)
     begin = lambda w: {"sw": F.sum(w), "swx": F.sum(w * x)}
     if known_n is not None:
-        return Statistic("sum", begin, lambda: F.lit(known_n) * F.col("swx") / F.nullif(F.col("sw"), F.lit(0)))
+        # as a double: N times a sum of whole numbers can exceed 64 bits
+        return Statistic("sum", begin, lambda: F.lit(float(known_n)) * F.col("swx") / F.nullif(F.col("sw"), F.lit(0)))
     return Statistic("sum", begin, lambda: F.col("swx"), rescale=lambda r, p: r / F.lit(p))
 
 

@@ -220,6 +220,12 @@ def test_array_bootstrap_agrees(rows):
     assert abs(a[0] - se["mean"]) < 4 * se["se"] and abs(a[1] / se["se"] - 1) < 0.3
 
 
+def test_known_n_times_a_sum_beyond_64_bits(spark):
+    df = spark.createDataFrame([(i, 4 * 10**13) for i in range(4)], "id long, x long")
+    thetas = [r["theta"] for r in resample.bootstrap_poisson(df, st.total("x", known_n=36_000_000), ["id"], 10).collect()]
+    assert thetas and all(v == 36_000_000 * 4e13 for v in thetas)
+
+
 def test_block_bootstrap_sees_dependence(spark):
     m = spark.range(3000).select(F.col("id").alias("rn"), F.sin(F.floor(F.col("id") / 50) * 12.9898).alias("x"))
     rows = resample.bootstrap_poisson(m, st.mean("x"), ["rn"], 100).agg(F.stddev_pop("theta")).first()[0]

@@ -133,18 +133,22 @@ def bootstrap_multinomial_at_scale(df: DataFrame, x: str, replicates: int = 30,
 def bootstrap_arrow(df: DataFrame, x: str, block: Column, replicates: int = 30, seed: int = 0) -> DataFrame:
     """Poisson bootstrap of moments with weights drawn in arrays: (b, sw, swx, swxx).
 
-    block (a hash bucket of the row id) seeds the weights of its rows, so a retried task draws the same.
-    Best for many replicates.
+    block (a hash bucket of the row id) seeds the weights of its rows together with the places of their task and
+    batch, so that no two runs of rows share weights and a retried task over the same rows draws the same. Best
+    for many replicates.
     """
     grouped = df.select(F.col(x).cast("double").alias("x"), block.cast("long").alias("k"))
 
     def draw(batches):
-        for batch in batches:
+        from pyspark import TaskContext
+
+        part = TaskContext.get().partitionId()
+        for number, batch in enumerate(batches):
             xs, ks = batch.column("x").to_numpy(zero_copy_only=False), batch.column("k").to_numpy(zero_copy_only=False)
             out = np.zeros((replicates, 3))
             for k in np.unique(ks):
                 v = xs[ks == k]
-                w = np.random.Generator(np.random.PCG64([seed, int(k) & 0x7FFFFFFFFFFFFFFF, len(v)])).poisson(1.0, (replicates, len(v)))
+                w = np.random.Generator(np.random.PCG64([seed, int(k) & 0x7FFFFFFFFFFFFFFF, part, number])).poisson(1.0, (replicates, len(v)))
                 out += np.column_stack([w.sum(1), w @ v, w @ (v * v)])
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(replicates)), *[pa.array(out[:, i]) for i in range(3)]], names=["b", "sw", "swx", "swxx"])
 

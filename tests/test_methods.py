@@ -220,6 +220,19 @@ def test_array_bootstrap_agrees(rows):
     assert abs(a[0] - se["mean"]) < 4 * se["se"] and abs(a[1] / se["se"] - 1) < 0.3
 
 
+def test_array_bootstrap_batches_are_independent(spark):
+    """Blocks of one size in many batches: replicates' weights vary as those of independent rows do."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    spark.conf.set(key, "640")
+    try:
+        df = spark.range(0, 64_000, 1, 4)
+        sw = [r["sw"] for r in resample.bootstrap_arrow(df, "id", F.pmod("id", F.lit(64)), 400, 1).collect()]
+    finally:
+        spark.conf.set(key, before)
+    assert abs(np.std(sw) / np.sqrt(64_000) - 1) < 0.2
+
+
 def test_known_n_times_a_sum_beyond_64_bits(spark):
     df = spark.createDataFrame([(i, 4 * 10**13) for i in range(4)], "id long, x long")
     thetas = [r["theta"] for r in resample.bootstrap_poisson(df, st.total("x", known_n=36_000_000), ["id"], 10).collect()]

@@ -39,9 +39,9 @@ def list_files(path: str) -> list[tuple[str, int]]:
     return sorted((f.path, f.size) for f in found if f.type == fs.FileType.File and not any(p.startswith(("_", ".")) for p in f.path[len(folder) :].split("/")))
 
 
-def list_splits(path: str, split_bytes: int) -> list[tuple[str, int, int, int]]:
-    """(file, start, end, file's size) of logical splits."""
-    return [(f, a, min(a + split_bytes, size), size) for f, size in list_files(path) for a in range(0, size, split_bytes)]
+def list_splits(path: str, split_bytes: int, copies: int = 1) -> list[tuple[str, int, int, int]]:
+    """(file, start, end, file's size) of logical splits; with copies, of files that count as so many files of the same lines."""
+    return [(f, a, min(a + split_bytes, size), size) for f, size in list_files(path) * copies for a in range(0, size, split_bytes)]
 
 
 def quota(weights: list[int], n: int, seed: int) -> list[int]:
@@ -86,7 +86,7 @@ def _line_at(f, at: int, size: int, align: str) -> tuple[int, int] | None:
 
 
 class LineSampleReader(DataSourceReader):
-    """Reads options: path, n, seed, align (next, back), debias (none, reject, weight), split_bytes, max_tries."""
+    """Reads options: path, n, seed, align (next, back), debias (none, reject, weight), split_bytes, max_tries, copies."""
 
     def __init__(self, options: dict):
         self.o = options
@@ -96,7 +96,7 @@ class LineSampleReader(DataSourceReader):
             raise ValueError("align is next or back; debias is none, reject or weight")
 
     def partitions(self):
-        splits = list_splits(self.o["path"], int(self.o.get("split_bytes", 64 << 20)))
+        splits = list_splits(self.o["path"], int(self.o.get("split_bytes", 64 << 20)), int(self.o.get("copies", 1)))
         sizes = quota([e - s for _, s, e, _ in splits], int(self.o["n"]), int(self.o.get("seed", 0)))
         return [_Split(i, *split, k) for i, (split, k) in enumerate(zip(splits, sizes)) if k]
 
@@ -143,7 +143,8 @@ class LineSampleSource(DataSource):
     align=next): debias=reject evens that out where lengths are near each other, debias=weight gives each
     line the weight 1 / length, for statistics in ratio form. Empty lines, CRLF, a missing last newline and
     lines longer than a split are read as they are. Splits that do not hold as many distinct lines as they are
-    asked for raise an error, or give fewer with short=allow.
+    asked for raise an error, or give fewer with short=allow. copies reads each file as so many files that hold
+    the same lines, without their bytes on disk; each copy has splits of its own.
     """
 
     @classmethod
@@ -157,9 +158,9 @@ class LineSampleSource(DataSource):
         return LineSampleReader(self.options)
 
 
-def sample_lines(spark: SparkSession, path: str, n: int, seed: int = 0, align: str = "back", debias: str = "none", split_bytes: int = 64 << 20, short: str = "error") -> DataFrame:
+def sample_lines(spark: SparkSession, path: str, n: int, seed: int = 0, align: str = "back", debias: str = "none", split_bytes: int = 64 << 20, short: str = "error", copies: int = 1) -> DataFrame:
     spark.dataSource.register(LineSampleSource)
-    return spark.read.format("line_sample").options(path=path, n=str(n), seed=str(seed), align=align, debias=debias, split_bytes=str(split_bytes), short=short).load()
+    return spark.read.format("line_sample").options(path=path, n=str(n), seed=str(seed), align=align, debias=debias, split_bytes=str(split_bytes), short=short, copies=str(copies)).load()
 
 
 class _Group(InputPartition):

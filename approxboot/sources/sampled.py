@@ -78,14 +78,15 @@ class LineSource:
 
     weight = "ht_weight"
 
-    def __init__(self, spark: SparkSession, path: str, parse: Callable[[DataFrame], DataFrame], seed: int = 0, split_bytes: int = 64 << 20, pilot_rows: int = 1_000):
+    def __init__(self, spark: SparkSession, path: str, parse: Callable[[DataFrame], DataFrame], seed: int = 0, split_bytes: int = 64 << 20, pilot_rows: int = 1_000, copies: int = 1):
+        self.copies = copies
         self.spark, self.path, self.parse, self.seed, self.split_bytes, self.pilot_rows = spark, path, parse, seed, split_bytes, pilot_rows
-        self.bytes = sum(size for _, size in lines.list_files(path))
+        self.bytes = copies * sum(size for _, size in lines.list_files(path))
         self.ids, self.steps, self.n, self.N, self.held = ["_step", "split", "offset"], 0, 0, None, None
         self.read = {"rows": 0, "bytes": 0}
 
     def _draw(self, n: int) -> DataFrame:
-        got = lines.sample_lines(self.spark, self.path, n, self.seed * 1_000 + self.steps, "back", "weight", self.split_bytes, "allow")
+        got = lines.sample_lines(self.spark, self.path, n, self.seed * 1_000 + self.steps, "back", "weight", self.split_bytes, "allow", self.copies)
         got = self.parse(got).withColumn("_step", F.lit(self.steps))
         self.steps += 1
         self.read["rows"] += n

@@ -233,6 +233,21 @@ def test_array_bootstrap_batches_are_independent(spark):
     assert abs(np.std(sw) / np.sqrt(64_000) - 1) < 0.2
 
 
+def test_lines_of_copies_take_no_space(spark, tmp_path, monkeypatch):
+    """The mean ladder reads 64 copies of the lines, and writes them once."""
+    from approxboot.catalog import workloads
+    from approxboot.sources.sampled import LineSource
+
+    paths = []
+    monkeypatch.setattr(workloads, "line_copy", lambda *a, f=workloads.line_copy: paths.append(f(*a)) or paths[-1])
+    monkeypatch.setattr(workloads, "fresh_path", lambda *a, f=workloads.fresh_path: paths.append(f(*a)) or paths[-1])
+    rows = {r["copies"]: r for r in workloads.QUERIES["wl_mean_ladder"](spark, SF).collect()}
+    assert all(rows[c]["n_rows"] == c * rows[1]["n_rows"] and rows[c]["n_bytes"] == c * rows[1]["n_bytes"] for c in (8, 64))
+    assert sum(size for p in paths for _, size in lines.list_files(p)) == rows[1]["n_bytes"]
+    assert len(lines.list_splits(paths[0], 64 << 20, 8)) == 8 * len(lines.list_splits(paths[0], 64 << 20))
+    assert LineSource(spark, paths[0], None, copies=8).bytes == rows[8]["n_bytes"]
+
+
 def test_known_n_times_a_sum_beyond_64_bits(spark):
     df = spark.createDataFrame([(i, 4 * 10**13) for i in range(4)], "id long, x long")
     thetas = [r["theta"] for r in resample.bootstrap_poisson(df, st.total("x", known_n=36_000_000), ["id"], 10).collect()]

@@ -48,10 +48,11 @@ class WordEncoder:
     """Encodes lists of texts with the tokenizer in a file of the tokenizers library.
 
     lead: what stands before every word but the first (" " for byte-level BPE, "" where white space is
-    dropped). max_ids bounds the cache: beyond it the cache starts anew.
+    dropped). max_ids and max_words bound the cache: beyond them only words that were met again stay, the most
+    frequent ones, in half the room at most.
     """
 
-    def __init__(self, path: str, lead: str, max_ids: int = 6_000_000):
+    def __init__(self, path: str, lead: str, max_ids: int = 6_000_000, max_words: int = 2_000_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -62,7 +63,7 @@ class WordEncoder:
         self.mark_id = self.tokenizer.token_to_id(self.mark)
         self.opens = np.zeros(self.tokenizer.get_vocab_size(), bool)
         self.opens[[i for t, i in self.tokenizer.get_vocab().items() if t.startswith("\u0120")]] = True  # how byte-level vocabularies write a blank
-        self.lead, self.max_ids = lead, max_ids
+        self.lead, self.max_ids, self.max_words = lead, max_ids, max_words
         self._reset()
 
     def _reset(self) -> None:
@@ -70,6 +71,22 @@ class WordEncoder:
         self.flat = np.zeros(0, np.uint32)
         self.starts = np.zeros(0, np.int64)
         self.lengths = np.zeros(0, np.int64)
+        self.met = np.zeros(0, np.int64)
+
+    def _thin(self) -> None:
+        """Forget words that were met once and, of the others, all that do not fit half the bounds."""
+        order = np.argsort(-self.met, kind="stable")
+        fits = (np.cumsum(self.lengths[order]) <= self.max_ids // 2) & (np.arange(len(order)) < self.max_words // 2) & (self.met[order] > 1)
+        keep = np.sort(order[fits])
+        flat, lengths, met = ragged(self.flat, self.starts[keep], self.lengths[keep]), self.lengths[keep], self.met[keep]
+        names = list(self.words)
+        names = [names[i] for i in keep.tolist()]
+        self._reset()
+        for w in names:
+            self.words[w]
+        self.words.fresh = []
+        # halves, so that what was frequent long ago makes room in time
+        self.flat, self.starts, self.lengths, self.met = flat, np.cumsum(lengths) - lengths, lengths, met // 2 + 1
 
     def _ids(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Ids of texts that stand alone, and their numbers."""
@@ -104,6 +121,7 @@ class WordEncoder:
         first = len(self.starts)
         self.starts = np.concatenate([self.starts, np.zeros(len(fresh), np.int64)])
         self.lengths = np.concatenate([self.lengths, np.zeros(len(fresh), np.int64)])
+        self.met = np.concatenate([self.met, np.zeros(len(fresh), np.int64)])
         alone, joined, led = [], [], []
         for i, w in enumerate(fresh):
             (alone if any(m in w for m in self.marks) else led if self.lead and LED(w) else joined).append(i)
@@ -134,19 +152,20 @@ class WordEncoder:
             lo = i + 1
         self._learn()
         numbers = np.array(numbers, np.int64)
+        self.met += np.bincount(numbers, minlength=len(self.met))
         lengths = self.lengths[numbers]
         ids = ragged(self.flat, self.starts[numbers], lengths)
         ends = np.concatenate([[0], np.cumsum(lengths)])
         at = np.concatenate([[0], np.cumsum(np.array(counts, np.int64))])
-        if len(self.flat) > self.max_ids:
-            self._reset()
+        if len(self.flat) > self.max_ids or len(self.starts) > self.max_words:
+            self._thin()
         return ids, np.diff(ends[at])
 
 
 @lru_cache(maxsize=2)
-def encoder(path: str, lead: str, max_ids: int = 6_000_000) -> WordEncoder:
+def encoder(path: str, lead: str, max_ids: int = 6_000_000, max_words: int = 2_000_000) -> WordEncoder:
     """One encoder for each worker process, so that its cache serves all tasks there."""
-    return WordEncoder(path, lead, max_ids)
+    return WordEncoder(path, lead, max_ids, max_words)
 
 
 def slices(texts: list[str], limit: int = 2_000_000):

@@ -129,9 +129,9 @@ def certificate(packed: DataFrame, pieces: DataFrame, capacity: int = CAPACITY)
 PIECES = "doc_id long, row_key long, piece int, start long, length int, ids_crc32 long"
 
 
-def _cut(path: str, end_id: int, capacity: int):
+def _cut(path: str, end_id: int, capacity: int, max_words: int):
     def run(batches):
-        enc = encoder(path, "")
+        enc = encoder(path, "", max_words=max_words)
         for batch in batches:
             texts = [t or "" for t in batch.column("text").to_pylist()]
             docs, keys = batch.column("doc_id").to_pylist(), batch.column("row_key").to_pylist()
@@ -157,23 +157,23 @@ def _cut(path: str, end_id: int, capacity: int):
     return run
 
 
-def cut_pieces(docs: DataFrame, tokenizer_path: str, end_id: int, capacity: int = CAPACITY) -> DataFrame:
+def cut_pieces(docs: DataFrame, tokenizer_path: str, end_id: int, capacity: int = CAPACITY, max_words: int = 2_000_000) -> DataFrame:
     """Pieces of all docs (doc_id, text): each document's ids and end_id, cut only where they exceed capacity.
 
     Written once to the shared folder, so that keys given to rows by position stay the same.
     """
     keyed = docs.select("doc_id", "text", F.monotonically_increasing_id().alias("row_key"))
-    return written(keyed.mapInArrow(_cut(tokenizer_path, end_id, capacity), PIECES), "pieces")
+    return written(keyed.mapInArrow(_cut(tokenizer_path, end_id, capacity, max_words), PIECES), "pieces")
 
 
-def pack_documents(docs: DataFrame, tokenizer_path: str, end_id: int, capacity: int = CAPACITY) -> DataFrame:
+def pack_documents(docs: DataFrame, tokenizer_path: str, end_id: int, capacity: int = CAPACITY, max_words: int = 2_000_000) -> DataFrame:
     """(doc_id, piece, start, length, ids_crc32, sequence_id, offset, round, gap) for every piece of docs (doc_id, text).
 
     A null or empty text is one piece of the end id alone. Rows with one doc_id, or a null one, are documents of
     their own. Texts of any length are cut into as many pieces as they need. Other columns are not looked at; an
-    empty table gives an empty one.
+    empty table gives an empty one. max_words bounds each worker's cache of words.
     """
-    pieces = cut_pieces(docs, tokenizer_path, end_id, capacity)
+    pieces = cut_pieces(docs, tokenizer_path, end_id, capacity, max_words)
     out = pieces.join(pack(pieces, capacity, ["row_key", "piece"]), ["row_key", "piece"])
     return out.select("doc_id", "piece", "start", F.col("length").cast("long").alias("length"), "ids_crc32", "sequence_id", "offset", "round", "gap")
 

@@ -59,7 +59,8 @@ def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     import public_tokenizers
 
     prepare(spark)
-    return packing.pack_documents(docs, public_tokenizers.path("word_bpe_49k.json"), 1)
+    # a small cache: executors still hold what the stages before have left in their memory
+    return packing.pack_documents(docs, public_tokenizers.path("word_bpe_49k.json"), 1, max_words=250_000)
 
 
 STAGES = [
